@@ -19,8 +19,6 @@ for a component only if it has no other id.
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame
@@ -30,8 +28,7 @@ from concord.llm.rows import map_text
 from concord.operators.graph import weak_components
 from concord.runtime import keep
 
-WORD = re.compile(r"[^\x20\x09-\x0D]+")
-LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 SEED = 42
 REACH = 3
 BLOCK = 1 << 14
@@ -39,7 +36,7 @@ BLOCK = 1 << 14
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
     """Majority fingerprint of the word shingles, repeats included; 0 without words."""
-    words = WORD.findall((text or "").translate(LOWER))
+    words = (text or "").encode().translate(LOWER).split()  # of bytes, split() parts at 09-0D and 20 only
     if not words:
         return 0
     digest = xxhash.xxh64_intdigest
@@ -47,7 +44,7 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     votes = np.zeros(64, dtype=np.int64)
     for at in range(0, n, BLOCK):
         part = words[at : at + BLOCK + shingle - 1] if n > 1 else words
-        grams = map(" ".join, zip(*(part[k:] for k in range(shingle)))) if len(part) >= shingle else [" ".join(part)]
+        grams = map(b" ".join, zip(*(part[k:] for k in range(shingle)))) if len(part) >= shingle else [b" ".join(part)]
         hashes = np.array([digest(g, SEED) for g in grams], dtype=">u8")
         votes += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
     return int(np.packbits(2 * votes > n).view(">u8")[0])
