@@ -4,9 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from concord.llm import gif, simhash
+from concord.llm import bpe, gif, simhash
+
+VOCABULARY = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,6 +20,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_gif": lambda spark, d: gif.media_digest(_docs(spark, d)),
         "op2_simhash": lambda spark, d: simhash.near_duplicates(_docs(spark, d)),
+        "op6_bpe": lambda spark, d: bpe.token_digest(_docs(spark, d), VOCABULARY, public_tokenizers.PATTERN),
     }
 
 
