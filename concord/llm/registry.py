@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from concord.llm import bpe, gif, simhash
+from concord.llm import bpe, decontamination, gif, pii, simhash
 
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
@@ -21,8 +21,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_gif": lambda spark, d: gif.media_digest(_docs(spark, d)),
         "op2_simhash": lambda spark, d: simhash.near_duplicates(_docs(spark, d)),
         "op6_bpe": lambda spark, d: bpe.token_digest(_docs(spark, d), VOCABULARY, public_tokenizers.PATTERN),
+        "op7_pii": lambda spark, d: pii.personal_data(_docs(spark, d)),
+        "op9_decontamination": lambda spark, d: decontamination.contamination(_docs(spark, d), spark.read.parquet(f"{d}/benchmark.parquet")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_decontamination": decontamination.ORACLE}
