@@ -11,7 +11,7 @@ A document is cut into windows at spaces, all of them are compressed with both d
 them to a probability; the decision threshold applies to that.
 
 Learning uses only rows whose crc32(doc_id) mod 3 is not 1, at most ``TRAIN_TOXIC`` and ``TRAIN_ORDINARY`` of them (the
-least by a hash of id and text, so the choice doesn't depend on partitioning) and texts up to
+least by a hash of the id, so the choice doesn't depend on partitioning) and texts up to
 ``TRAIN_BYTES``. Everything else covers all rows and whole texts. Labels, language, source and id are no inputs of a score.
 
 Defined results: a null text scores like an empty one; unlabelled, null or conflicting labels don't teach (a
@@ -144,21 +144,18 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.01, steps: int = 30)
     return w.tolist(), mean.tolist(), scale.tolist()
 
 
-def _teachers(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    one = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("toxic").alias("__low"), F.max("toxic").alias("__high"))
-    one = one.where("__low = __high").select("doc_id", F.col("__low").alias("__toxic"))
-    mine = docs.select("doc_id", F.coalesce(docs["text"].cast("string"), F.lit("")).alias("text"))
-    mine = mine.where((F.crc32(F.col("doc_id").cast("string")) % 3 != 1) & (F.octet_length("text") <= TRAIN_BYTES))
-    return mine.join(one, "doc_id")
+def _teachers(docs: DataFrame, labels: DataFrame, kind: int, bound: int) -> DataFrame:
+    """Texts of at most ``bound`` teachers of one kind. The ids are chosen from the labels alone, so no text is shuffled."""
+    one = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("toxic").alias("low"), F.max("toxic").alias("high"))
+    one = one.where((F.col("low") == kind) & (F.col("high") == kind) & (F.crc32(F.col("doc_id").cast("string")) % 3 != 1))
+    ids = one.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound).select("doc_id")
+    mine = docs.select("doc_id", F.coalesce(docs["text"].cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= TRAIN_BYTES)
+    return mine.join(F.broadcast(ids), "doc_id").orderBy(F.xxhash64("doc_id", "text"), "doc_id").limit(bound).select("text")
 
 
 def train(docs: DataFrame, labels: DataFrame) -> dict:
     """Dictionaries and calibration from a bounded sample of teachers."""
-    rows = _teachers(docs, labels)
-    text = {}
-    for kind, bound in ((1, TRAIN_TOXIC), (0, TRAIN_ORDINARY)):
-        chosen = rows.where(F.col("__toxic") == kind).orderBy(F.xxhash64("doc_id", "text"), "doc_id").limit(bound)
-        text[kind] = [r["text"] for r in chosen.select("text").collect()]
+    text = {k: [r["text"] for r in _teachers(docs, labels, k, bound).collect()] for k, bound in ((1, TRAIN_TOXIC), (0, TRAIN_ORDINARY))}
     if not text[1] or not text[0]:
         return {"share": 1.0 if text[1] else 0.0}
     base, toxic = train_dictionaries(text[1], text[0])
