@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from concord.llm import bpe, decontamination, gif, pii, simhash, toxicity
+from concord.llm import bpe, decontamination, gif, license_scan, pii, secret_scan, sharding, simhash, toxicity
 
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
@@ -20,6 +20,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_gif": lambda spark, d: gif.media_digest(_docs(spark, d)),
         "op2_simhash": lambda spark, d: simhash.near_duplicates(_docs(spark, d)),
+        "op3_sharding": lambda spark, d: sharding.shard(_docs(spark, d)),
+        "op4_secrets": lambda spark, d: secret_scan.secrets(_docs(spark, d)),
+        "op5_licenses": lambda spark, d: license_scan.license_report(_docs(spark, d)),
         "op6_bpe": lambda spark, d: bpe.token_digest(_docs(spark, d), VOCABULARY, public_tokenizers.PATTERN),
         "op7_pii": lambda spark, d: pii.personal_data(_docs(spark, d)),
         "op9_decontamination": lambda spark, d: decontamination.contamination(_docs(spark, d), spark.read.parquet(f"{d}/benchmark.parquet")),
@@ -28,4 +31,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_decontamination": decontamination.ORACLE}
+    return {"op5_licenses": license_scan.oracle(), "op9_decontamination": decontamination.ORACLE}
