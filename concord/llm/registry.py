@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from concord.llm import bpe, decontamination, gif, license_scan, pii, secret_scan, sharding, simhash, toxicity
+from concord.llm import bpe, cotraining, decontamination, gif, license_scan, pii, secret_scan, sharding, simhash, toxicity
 
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
@@ -25,6 +25,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_licenses": lambda spark, d: license_scan.license_report(_docs(spark, d)),
         "op6_bpe": lambda spark, d: bpe.token_digest(_docs(spark, d), VOCABULARY, public_tokenizers.PATTERN),
         "op7_pii": lambda spark, d: pii.personal_data(_docs(spark, d)),
+        "op8_quality": lambda spark, d: cotraining.quality(_docs(spark, d), spark.read.parquet(f"{d}/labels.parquet")),
         "op9_decontamination": lambda spark, d: decontamination.contamination(_docs(spark, d), spark.read.parquet(f"{d}/benchmark.parquet")),
         "op10_toxicity": lambda spark, d: toxicity.toxicity(_docs(spark, d), spark.read.parquet(f"{d}/labels.parquet")),
     }
