@@ -166,8 +166,11 @@ def personal_data(docs: DataFrame) -> DataFrame:
     return map_text(docs, start, SPANS)
 
 
-def redact(docs: DataFrame) -> DataFrame:
-    """The documents with every span replaced by its kind in brackets; of overlapping spans the union goes, under the first kind."""
+def redact(docs: DataFrame, length_col: str | None = None) -> DataFrame:
+    """The documents with every span replaced by its kind in brackets; of overlapping spans the union goes, under the first kind.
+
+    Where a text changes, ``length_col`` gets its new length in code points.
+    """
 
     def start():
         find = finder()
@@ -185,4 +188,4 @@ def redact(docs: DataFrame) -> DataFrame:
 
         return one
 
-    return replace_text(docs, start)
+    return replace_text(docs, start, length_col=length_col)

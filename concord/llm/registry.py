@@ -12,12 +12,19 @@ from concord.llm import bpe, cotraining, decontamination, gif, license_scan, pii
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
 
+def _pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "pipeline": _pipeline,
         "op1_gif": lambda spark, d: gif.media_digest(_docs(spark, d)),
         "op2_simhash": lambda spark, d: simhash.near_duplicates(_docs(spark, d)),
         "op3_sharding": lambda spark, d: sharding.shard(_docs(spark, d)),

@@ -56,17 +56,26 @@ def map_text(df: DataFrame, start: Callable[[], Callable[[str | None], tuple]],
     return df.select(df[id_col], df[text_col].cast("string")).mapInArrow(run, out)
 
 
-def replace_text(df: DataFrame, start: Callable[[], Callable[[str | None], str | None]], text_col: str = "text") -> DataFrame:
-    """Rewrite the text column row by row; every other column passes through as Arrow data."""
+def replace_text(df: DataFrame, start: Callable[[], Callable[[str | None], str | None]], text_col: str = "text", length_col: str | None = None) -> DataFrame:
+    """Rewrite the text column row by row; every other column passes through as Arrow data.
+
+    ``length_col`` may name a column that gets the length of a text that has changed.
+    """
     arrow = to_arrow_schema(df.schema)
     at = df.columns.index(text_col)
+    size = df.columns.index(length_col) if length_col else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         with no_cycle_search():
             one = start()
             for piece in slices(batches):
                 cols = [c.cast(f.type) for c, f in zip(piece.columns, arrow, strict=True)]
-                cols[at] = pa.array([one(t) for t in piece.column(at).to_pylist()], type=arrow.field(at).type)
+                before = piece.column(at).to_pylist()
+                after = [one(t) for t in before]
+                cols[at] = pa.array(after, type=arrow.field(at).type)
+                if size is not None:
+                    stated = [n if a == b else len(b) for n, a, b in zip(cols[size].to_pylist(), before, after, strict=True)]
+                    cols[size] = pa.array(stated, type=arrow.field(size).type)
                 yield pa.RecordBatch.from_arrays(cols, schema=arrow)
 
     return df.mapInArrow(run, df.schema)
