@@ -266,17 +266,19 @@ def value_sets(survivors: DataFrame, requests: DataFrame, coord: list[str]) -> D
 
 
 def assign(best: DataFrame, requests: DataFrame, data: DataFrame, key: Key, coord: list[str]) -> DataFrame:
-    """(user, key): for each member the least key that fits its own constants at the chosen value."""
-    members = best.select(*coord, F.explode("ids").alias("qid")).join(signatures(requests), "qid").join(requests.select("qid", "user"), "qid")
+    """(user, key): for each member, by the user of its request, the least key that fits its own constants at the chosen value."""
+    members = best.select(*coord, F.explode("ids").alias("qid")).join(signatures(requests), "qid").join(requests.select("qid", F.col("user").alias("__user")), "qid")
     near = data.join(F.broadcast(best.select(*coord)), coord, "left_semi")  # one value
+    others = [k for k in keys(key) if k != "user"]
     out = None
     for mask in [r["mask"] for r in members.select("mask").distinct().collect()]:
         fixed = [a for a in mask.split(",") if a]
-        some = members.where(F.col("mask") == mask).select("user", *coord, *[F.element_at("own", F.lit(a)).alias(f"__{a}") for a in fixed])
-        rows = near.select(*dict.fromkeys([*keys(key), *coord]), *[F.col(a).cast("string").alias(f"__{a}") for a in fixed])
-        part = some.join(rows, [*coord, *[f"__{a}" for a in fixed]]).groupBy("user").agg(F.min(F.struct(*keys(key))).alias("k")).select("user", "k.*")
+        some = members.where(F.col("mask") == mask).select("__user", *coord, *[F.element_at("own", F.lit(a)).alias(f"__{a}_") for a in fixed])
+        rows = near.select(*dict.fromkeys([*others, *coord]), *[F.col(a).cast("string").alias(f"__{a}_") for a in fixed])
+        least = some.join(rows, [*coord, *[f"__{a}_" for a in fixed]]).groupBy("__user").agg(F.min(F.struct(*others)).alias("k"))
+        part = least.select(F.col("__user").alias("user"), "k.*")
         out = part if out is None else out.unionByName(part)
-    return out if out is not None else members.select("user", *[F.lit(None).cast(data.schema[k].dataType).alias(k) for k in keys(key)]).where("false")
+    return out if out is not None else members.select(F.col("__user").alias("user"), *[F.lit(None).cast(data.schema[k].dataType).alias(k) for k in others]).where("false")
 
 
 def consistent_coordinate(

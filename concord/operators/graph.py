@@ -56,3 +56,226 @@ def weak_components(edges: DataFrame, src: str = "src", dst: str = "dst", max_ro
         raise RuntimeError("component contraction did not converge")
     stars = e.select(F.col("src").alias("node"), F.col("dst").alias("comp_id"))
     return stars.unionByName(e.select(F.col("dst").alias("node"), F.col("dst").alias("comp_id")).distinct())
+
+
+# ---------------------------------------------------------------- directed structure
+
+NODE = "comp_id long, qid long, scc_id long, level int"
+
+
+def tarjan(nodes: list, out: dict) -> dict:
+    """Strongly connected components without recursion: node -> least node of its component."""
+    index: dict = {}
+    low: dict = {}
+    on: set = set()
+    stack: list = []
+    scc: dict = {}
+    for root in nodes:
+        if root in index:
+            continue
+        work = [(root, iter(out.get(root, ())))]
+        index[root] = low[root] = len(index)
+        stack.append(root)
+        on.add(root)
+        while work:
+            node, it = work[-1]
+            for nxt in it:
+                if nxt not in index:
+                    index[nxt] = low[nxt] = len(index)
+                    stack.append(nxt)
+                    on.add(nxt)
+                    work.append((nxt, iter(out.get(nxt, ()))))
+                    break
+                if nxt in on:
+                    low[node] = min(low[node], index[nxt])
+            else:
+                work.pop()
+                if work:
+                    low[work[-1][0]] = min(low[work[-1][0]], low[node])
+                if low[node] == index[node]:
+                    members = []
+                    while True:
+                        m = stack.pop()
+                        on.discard(m)
+                        members.append(m)
+                        if m == node:
+                            break
+                    least = min(members)
+                    for m in members:
+                        scc[m] = least
+    return scc
+
+
+def condense_local(scc: dict, out: dict) -> tuple[dict, dict]:
+    """(component -> successors, component -> level): level 0 has no successor, others stand above their highest one."""
+    succ: dict = {s: set() for s in set(scc.values())}
+    for a, targets in out.items():
+        for b in targets:
+            if scc[a] != scc[b]:
+                succ[scc[a]].add(scc[b])
+    level: dict = {}
+    for root in succ:
+        work = [root]
+        while work:
+            n = work[-1]
+            waiting = [m for m in succ[n] if m not in level]
+            if n not in level and waiting:
+                work += waiting
+            else:
+                work.pop()
+                level.setdefault(n, 1 + max((level[m] for m in succ[n]), default=-1))
+    return succ, level
+
+
+def _adjacency(pdf) -> tuple[list, dict]:
+    out: dict = {}
+    nodes: dict = {}
+    for a, b in zip(pdf["src"].tolist(), pdf["dst"].tolist(), strict=True):
+        nodes[a] = None
+        if b == b and b is not None:
+            b = int(b)
+            nodes[b] = None
+            out.setdefault(a, []).append(b)
+    return sorted(nodes), out
+
+
+def with_components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """(comp_id, src, dst): every edge under its weak component; a node without edges has one row with a null dst."""
+    comp = weak_components(edges)
+    lone = nodes.select(F.col("qid").alias("src")).join(edges.select("src").distinct(), "src", "left_anti").join(edges.select(F.col("dst").alias("src")).distinct(), "src", "left_anti")
+    inside = edges.join(comp, F.col("src") == F.col("node")).select("comp_id", "src", "dst")
+    return inside.unionByName(lone.select(F.col("src").alias("comp_id"), "src", F.lit(None).cast("long").alias("dst")))
+
+
+def strong_components(nodes: DataFrame, edges: DataFrame, method: str = "local") -> DataFrame:
+    """(comp_id, qid, scc_id, level). ``local`` runs one pass per weak component in a grouped map; ``fwbw`` trims and colours
+    over the whole edge table, for components beyond one task (its level is null: see ``levels``)."""
+    if method == "fwbw":
+        return _fwbw(nodes, edges)
+
+    def run(pdf):
+        import pandas as pd
+
+        ids, out = _adjacency(pdf)
+        scc = tarjan(ids, out)
+        _, level = condense_local(scc, out)
+        comp = int(pdf["comp_id"].iloc[0])
+        return pd.DataFrame([(comp, q, scc[q], level[scc[q]]) for q in ids], columns=["comp_id", "qid", "scc_id", "level"])
+
+    return with_components(nodes, edges).groupBy("comp_id").applyInPandas(run, NODE)
+
+
+def _fwbw(nodes: DataFrame, edges: DataFrame, max_rounds: int = 1000) -> DataFrame:
+    """Distributed components: trim, spread the greatest id forwards as a colour, walk back from each colour's root, repeat."""
+    left = cut(nodes.select("qid").distinct())
+    e = cut(edges.select("src", "dst").where("src <> dst").distinct())
+    done = None
+    for _ in range(max_rounds):
+        if left.isEmpty():
+            break
+        while True:  # nodes without a way in or a way out are components of their own
+            inner = e.select(F.col("src").alias("qid")).intersect(e.select(F.col("dst").alias("qid")))
+            trimmed = cut(left.join(inner, "qid", "left_anti").select("qid", F.col("qid").alias("scc_id")))
+            if trimmed.isEmpty():
+                break
+            done = trimmed if done is None else done.unionByName(trimmed)
+            left = cut(left.join(trimmed, "qid", "left_anti"))
+            e = cut(e.join(left.withColumnRenamed("qid", "src"), "src", "left_semi").join(left.withColumnRenamed("qid", "dst"), "dst", "left_semi"))
+        if left.isEmpty():
+            break
+        colour = cut(left.withColumn("c", F.col("qid")))
+        while True:
+            via = e.join(colour.withColumnRenamed("qid", "src"), "src").groupBy(F.col("dst").alias("qid")).agg(F.max("c").alias("m"))
+            nxt = cut(colour.join(via, "qid", "left").select("qid", F.greatest("c", F.coalesce("m", "c")).alias("c"), (F.coalesce("m", "c") > F.col("c")).alias("up")))
+            colour = nxt.drop("up")
+            if nxt.where("up").isEmpty():
+                break
+        reached = cut(colour.where("qid = c"))
+        front = reached
+        while True:  # backwards inside the colour
+            step = e.join(front.withColumnsRenamed({"qid": "dst", "c": "k"}), "dst").select(F.col("src").alias("qid"), "k").distinct()
+            step = step.join(colour, "qid").where("c = k").select("qid", "c").join(reached, ["qid", "c"], "left_anti")
+            front = cut(step)
+            if front.isEmpty():
+                break
+            reached = cut(reached.unionByName(front))
+        found = cut(reached.join(reached.groupBy("c").agg(F.min("qid").alias("scc_id")), "c").select("qid", "scc_id"))
+        done = found if done is None else done.unionByName(found)
+        left = cut(left.join(found, "qid", "left_anti"))
+        e = cut(e.join(left.withColumnRenamed("qid", "src"), "src", "left_semi").join(left.withColumnRenamed("qid", "dst"), "dst", "left_semi"))
+    if done is None:
+        done = nodes.select("qid", F.col("qid").alias("scc_id")).where("false")
+    comp = weak_components(edges)
+    return done.join(comp, F.col("qid") == F.col("node"), "left").select(F.coalesce("comp_id", "qid").alias("comp_id"), "qid", "scc_id", F.lit(None).cast("int").alias("level"))
+
+
+def condense(edges: DataFrame, scc: DataFrame) -> DataFrame:
+    """(src_scc, dst_scc) of the acyclic components graph."""
+    a = scc.select(F.col("qid").alias("src"), F.col("scc_id").alias("src_scc"))
+    b = scc.select(F.col("qid").alias("dst"), F.col("scc_id").alias("dst_scc"))
+    return edges.join(a, "src").join(b, "dst").where("src_scc <> dst_scc").select("src_scc", "dst_scc").distinct()
+
+
+def levels(dag: DataFrame, nodes: DataFrame, max_rounds: int = 100_000) -> DataFrame:
+    """(scc_id, level) by peeling sinks, for graphs beyond one task."""
+    left, e, done, k = cut(nodes.select("scc_id").distinct()), cut(dag), None, 0
+    while not left.isEmpty() and k < max_rounds:
+        sinks = cut(left.join(e.select(F.col("src_scc").alias("scc_id")).distinct(), "scc_id", "left_anti").withColumn("level", F.lit(k)))
+        done = sinks if done is None else done.unionByName(sinks)
+        left = cut(left.join(sinks, "scc_id", "left_anti"))
+        e = cut(e.join(sinks.select(F.col("scc_id").alias("dst_scc")), "dst_scc", "left_anti"))
+        k += 1
+    return done if done is not None else nodes.select("scc_id", F.lit(0).alias("level")).where("false")
+
+
+def reach_sets(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """(scc_id, n, members): the queries in the components reachable from each component, itself included."""
+
+    def run(pdf):
+        import pandas as pd
+
+        ids, out = _adjacency(pdf)
+        scc = tarjan(ids, out)
+        succ, level = condense_local(scc, out)
+        own: dict = {}
+        for q in ids:
+            own.setdefault(scc[q], set()).add(q)
+        reach: dict = {}
+        for s in sorted(succ, key=level.get):
+            reach[s] = own[s].union(*(reach[t] for t in succ[s]))
+        return pd.DataFrame([(s, len(r), ",".join(map(str, sorted(r)))) for s, r in reach.items()], columns=["scc_id", "n", "members"])
+
+    return with_components(nodes, edges).groupBy("comp_id").applyInPandas(run, "scc_id long, n long, members string")
+
+
+def prune_unmatched(eqs: DataFrame, ext: DataFrame, comp: DataFrame | None = None) -> DataFrame:
+    """(qid) of the queries whose every postcondition keeps a head to match, to the greatest such set.
+
+    Each weak component (``comp``, if known) is peeled in one pass with counters per postcondition.
+    """
+    posts = eqs.select(F.col("qid").alias("src"), F.posexplode("post").alias("post_pos", "p")).select("src", "post_pos")
+    slots = posts.join(ext.select("src", "post_pos", "dst").distinct(), ["src", "post_pos"], "left")
+    comp = weak_components(ext) if comp is None else comp
+    dealt = slots.join(comp, F.col("src") == F.col("node"), "left").select(F.coalesce("comp_id", "src").alias("comp_id"), "src", "post_pos", "dst")
+
+    def run(pdf):
+        import pandas as pd
+
+        left: dict = {}
+        users: dict = {}
+        for s, p, t in zip(pdf["src"].tolist(), pdf["post_pos"].tolist(), pdf["dst"].tolist(), strict=True):
+            left.setdefault((s, p), 0)
+            if t == t and t is not None:
+                left[s, p] += 1
+                users.setdefault(int(t), []).append((s, p))
+        dead = {s for (s, _), n in left.items() if n == 0}
+        queue = list(dead)
+        while queue:
+            for slot in users.get(queue.pop(), ()):
+                left[slot] -= 1
+                if left[slot] == 0 and slot[0] not in dead:
+                    dead.add(slot[0])
+                    queue.append(slot[0])
+        return pd.DataFrame({"qid": sorted(dead)}, dtype="int64")
+
+    return eqs.select("qid").join(dealt.groupBy("comp_id").applyInPandas(run, "qid long"), "qid", "left_anti")

@@ -327,7 +327,7 @@ SELECT unnest(ids) AS user, party_type, CAST(party_day AS VARCHAR) AS party_day
 
 def _rollup(spark, d):
     s = travel().run(spark, d).sets
-    return s.rollup("destination", F.year("day").alias("y")).agg(F.count("*").alias("n_sets"), F.max("n").alias("largest"))
+    return s.rollup("destination", F.year("day").cast("string").alias("y")).agg(F.count("*").alias("n_sets"), F.max("n").alias("largest"))
 
 
 def _topk(spark, d):
@@ -336,7 +336,7 @@ def _topk(spark, d):
 
 
 Q |= {"set_size_rollup": _rollup, "topk_sets": _topk}
-SQL["set_size_rollup"] = travel().sql() + "SELECT destination, year(day) AS y, count(*) AS n_sets, max(n) AS largest FROM sets GROUP BY ROLLUP (destination, year(day))"
+SQL["set_size_rollup"] = travel().sql() + "SELECT destination, CAST(year(day) AS VARCHAR) AS y, count(*) AS n_sets, max(n) AS largest FROM sets GROUP BY ROLLUP (destination, CAST(year(day) AS VARCHAR))"
 SQL["topk_sets"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n FROM sets ORDER BY n DESC, destination, day LIMIT 10"
 
 
