@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from concord.plans import consistent_queries, entangled_queries
+from concord.plans import consistent_queries, entangled_queries, other_queries
 
-MODULES = (consistent_queries, entangled_queries)
+MODULES = (consistent_queries, entangled_queries, other_queries)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
