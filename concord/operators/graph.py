@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from concord.runtime import cut
+from concord.runtime import cut, keep
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -175,7 +175,7 @@ def _fwbw(nodes: DataFrame, edges: DataFrame, max_rounds: int = 1000) -> DataFra
             break
         while True:  # nodes without a way in or a way out are components of their own
             inner = e.select(F.col("src").alias("qid")).intersect(e.select(F.col("dst").alias("qid")))
-            trimmed = cut(left.join(inner, "qid", "left_anti").select("qid", F.col("qid").alias("scc_id")))
+            trimmed = keep(left.join(inner, "qid", "left_anti").select("qid", F.col("qid").alias("scc_id")))  # united later: a scan has no constraints to carry over
             if trimmed.isEmpty():
                 break
             done = trimmed if done is None else done.unionByName(trimmed)
@@ -199,7 +199,7 @@ def _fwbw(nodes: DataFrame, edges: DataFrame, max_rounds: int = 1000) -> DataFra
             if front.isEmpty():
                 break
             reached = cut(reached.unionByName(front))
-        found = cut(reached.join(reached.groupBy("c").agg(F.min("qid").alias("scc_id")), "c").select("qid", "scc_id"))
+        found = keep(reached.join(reached.groupBy("c").agg(F.min("qid").alias("scc_id")), "c").select("qid", "scc_id"))
         done = found if done is None else done.unionByName(found)
         left = cut(left.join(found, "qid", "left_anti"))
         e = cut(e.join(left.withColumnRenamed("qid", "src"), "src", "left_semi").join(left.withColumnRenamed("qid", "dst"), "dst", "left_semi"))

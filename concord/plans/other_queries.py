@@ -143,7 +143,7 @@ SQL["stream_windows"] = survivors_sql([
     "done AS (SELECT ev.* FROM ev, last WHERE window_start + 3600 <= mark)",
     "data AS (SELECT DISTINCT window_start * 100000 + user_id AS rid, window_start, party_type, party_day FROM done)",
     "req AS (SELECT DISTINCT rid AS qid, 0.0 AS weight FROM data)",
-    "named AS (SELECT 0 AS qid, 0 AS partner WHERE false)", "ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)",
+    "named AS (SELECT 0::BIGINT AS qid, 0::BIGINT AS partner WHERE false)", "ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)",
     "pairs AS (SELECT DISTINCT a.user_id AS u, b.user_id AS f FROM ev a JOIN ev b USING (bucket) WHERE a.user_id <> b.user_id)",
     "w AS (SELECT DISTINCT window_start, user_id FROM done)",
     "fr AS (SELECT a.window_start * 100000 + u AS usr, a.window_start * 100000 + f AS friend, 'friends' AS rel FROM pairs JOIN w a ON a.user_id = u JOIN w b ON b.user_id = f AND b.window_start = a.window_start)",
