@@ -1,13 +1,13 @@
 """Byte-level BPE encoding and decoding.
 
-Encoding. ``Transducer`` compiles a rank table into a finite-state transducer that is determinised as texts ask for it. A
-non-deterministic reader of one pretoken holds a set of items (trie node reached since some token boundary, last token before that
-boundary, tokens not yet emitted). On a byte each item walks the vocabulary trie; where a token ends that may
-follow the item's last token, the unique canonical boundary for that prefix appears as a new item. Tokens on which all live items
-agree are emitted: an item lives only while its bytes are the beginning of some token, so lookahead is bounded by the longest
-token. States are item sets with emitted tokens stripped; their byte transitions are kept once made. Two
-tokens may follow one another if merging their joined bytes by rank gives back those two; that is the local condition which
-makes a token sequence the one that rank-ordered merging gives.
+Encoding. ``Transducer`` compiles the merges into a finite-state transducer. Its states are the beginnings of vocabulary tokens:
+after some bytes of a pretoken, the longest suffix that may still become a token. The trie's own transitions are compiled, all
+others are determinised when a text first asks for them, and kept. In each state few tokens can end; the one
+that ends the canonical encoding of what has been read is the one that may follow the token before it. Two tokens
+may follow one another if rank-ordered merging of their joined bytes gives back those two; that local condition
+makes a token sequence the one that merging gives. A token that may still start must start within the state's suffix,
+so lookahead is bounded by the longest token: tokens before the point where the chains of all open starts
+meet are emitted (in long pretokens on the way, otherwise at their end).
 
 Decoding. ``StreamDecoder`` runs a UTF-8 state machine over the bytes of each id; the effect of an id in a state is kept, so
 decoding is one lookup per id, and text comes out as soon as characters are complete. Ill-formed bytes
@@ -21,7 +21,9 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from itertools import chain, count
+import re
+import sys
+from itertools import chain
 from pathlib import Path
 
 import pyarrow as pa
@@ -33,8 +35,8 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from concord.llm.rows import map_text, replace_text, slices
 
 MAX_VOCABULARY_BYTES = 64 << 20
-MAX_STATES = 1 << 17
-MAX_PIECES = 1 << 18
+SETTLE = 1 << 12
+MAX_CHUNKS = 3 << 17
 
 
 def read_ranks(data: bytes) -> dict[bytes, int]:
@@ -57,25 +59,19 @@ class Transducer:
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks = ranks
         self.bytes_of = {i: b for b, i in ranks.items()}
-        # a trie node maps a byte to (number of the child, child, token that ends there or -1)
-        self.root: dict[int, tuple[int, dict, int]] = {}
-        numbers = count(1)
-        for word, rank in sorted(ranks.items()):  # a word comes after its beginnings
-            node = self.root
-            for b in word[:-1]:
-                step = node.get(b)
-                if step is None:
-                    step = node[b] = (next(numbers), {}, -1)
-                node = step[1]
-            node[word[-1]] = (next(numbers), {}, rank)
-        self.follows: dict[tuple[int, int], bool] = {}
+        self.size_of = {i: len(b) for b, i in ranks.items()}
+        # vocabulary prefixes are states, the empty one is 1; moves are keyed by state << 8 | byte
+        number = {b"": 1}
+        self.word = [b"", b""]
+        self.moves: dict[int, tuple[int, tuple]] = {}  # to the next state and the (token, size) that can end there, longest first
+        for word in sorted(ranks, key=len):
+            for k in range(1, len(word) + 1):
+                if (start := word[:k]) not in number:
+                    number[start] = len(self.word)
+                    self.word.append(start)
+        self.number = number
+        self.follows: dict[int, bool] = {}  # last << 20 | token
         self.made_of: dict[int, tuple[int, int] | None] = {}
-        self._forget()
-
-    def _forget(self) -> None:
-        self.items: list[list[tuple]] = [[(0, self.root, -1, ())]]
-        self.number = {(0, -1, ()): 0}
-        self.moves: list[dict[int, tuple[tuple[int, ...], int]]] = [{}]
 
     def _halves(self, token: int) -> tuple[int, int] | None:
         """The two tokens whose merge made this one; None for a byte; (-1, -1) if merging never makes it."""
@@ -96,7 +92,7 @@ class Transducer:
         the seam must not merge with each other before the next of them merges on its own side; of
         equal ranks the merge further left comes first.
         """
-        seam = (last, token)
+        seam = last << 20 | token
         ranks, word = self.ranks, self.bytes_of
         fine = self._halves(token) != (-1, -1)
         if last >= 0 and fine:
@@ -118,53 +114,64 @@ class Transducer:
         self.follows[seam] = fine
         return fine
 
-    def _move(self, state: int, byte: int) -> tuple[tuple[int, ...], int]:
-        live, end, follows = [], None, self.follows
-        for _, node, last, owed in self.items[state]:
-            step = node.get(byte)
-            if step is None:
-                continue
-            number, child, token = step
-            if token >= 0:
-                fits = follows.get((last, token))
-                if fits or (fits is None and self._may_follow(last, token)):
-                    if end is not None:
-                        raise ValueError("the vocabulary does not give every byte string one canonical encoding")
-                    end = (0, self.root, token, (*owed, token))
-            if child:
-                live.append((number, child, last, owed))
-        if end is None:
-            raise ValueError("the vocabulary does not give every byte string one canonical encoding")
-        live.append(end)  # items stay in the order of their boundaries
-        first = live[0][3]
-        same = 0
-        while same < len(first) and all([same < len(x[3]) and x[3][same] == first[same] for x in live]):
-            same += 1
-        if same:
-            live = [(number, node, last, owed[same:]) for number, node, last, owed in live]
-        key = tuple([v for number, _, last, owed in live for v in (number, last, owed)])
-        to = self.number.get(key)
-        if to is None:
-            to = self.number[key] = len(self.items)
-            self.items.append(live)
-            self.moves.append({})
-        made = self.moves[state][byte] = (first[:same], to)
+    def _move(self, state: int, byte: int) -> tuple[int, tuple]:
+        """Determinise one transition: to the longest suffix that begins a token."""
+        read, number, ranks = self.word[state] + bytes([byte]), self.number, self.ranks
+        to = next((number[read[k:]] for k in range(len(read)) if read[k:] in number), 1)
+        word = self.word[to]
+        ends = [(ranks[word[k:]], len(word) - k) for k in range(len(word)) if word[k:] in ranks]
+        made = self.moves[state << 8 | byte] = (to, tuple([(t, size) for t, size in ends if self._halves(t) != (-1, -1)]))
         return made
 
+    def _settled(self, last: list[int], at: int, depth: int) -> int:
+        """The furthest boundary that every continuation passes: where the chains of all open starts have met."""
+        open_ = set(range(at - depth, at + 1))
+        while len(open_) > 1:
+            far = max(open_)
+            open_.discard(far)
+            open_.add(far - self.size_of[last[far]])
+        return open_.pop()
+
     def encode(self, piece: bytes) -> list[int]:
         """Ids of one pretoken."""
         whole = self.ranks.get(piece)
         if whole is not None:
             return [whole]
-        if len(self.items) > MAX_STATES:
-            self._forget()
         out: list[int] = []
-        state, moves = 0, self.moves
+        state, last, at = 1, [-1], 0  # last: the token that ends at each place since the last settled boundary
+        whole = True  # nothing is settled yet: a token that is all of what was read needs no look at its seam
+        moves, follows, put = self.moves.get, self.follows.get, last.append
         for byte in piece:
-            emitted, state = moves[state].get(byte) or self._move(state, byte)
-            if emitted:
-                out += emitted
-        out += self.items[state][-1][3]
+            state, ends = moves(state << 8 | byte) or self._move(state, byte)
+            at += 1
+            for token, size in ends:
+                if size >= at:
+                    if size == at and whole:
+                        put(token)
+                        break
+                    if size > at:  # it would start before the last settled boundary
+                        continue
+                fits = follows(last[at - size] << 20 | token)
+                if fits or (fits is None and self._may_follow(last[at - size], token)):
+                    put(token)
+                    break
+            else:
+                raise ValueError("the vocabulary does not give every byte string a canonical encoding")
+            if at >= SETTLE:
+                done = self._settled(last, at, len(self.word[state]))
+                if done:
+                    out += self._back(last, done)
+                    last, at = last[done:], at - done
+                    put, whole = last.append, False
+        return out + self._back(last, at)
+
+    def _back(self, last: list[int], at: int) -> list[int]:
+        out, size_of = [], self.size_of
+        while at > 0:
+            token = last[at]
+            out.append(token)
+            at -= size_of[token]
+        out.reverse()
         return out
 
 
@@ -172,48 +179,85 @@ class Transducer:
 #: and none looks past it. (Fixed value, the published byte-level pattern.)
 CUTTABLE = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 NO_CUT = (None, None)
+RUN = re.compile(r" (?:\s|$)").search
+MARKS = frozenset(".,;:!?")
 
 
 class Encoder:
     """Whole texts to ids: split by the pretoken pattern, each piece through the transducer.
 
-    Frequent pieces are remembered, and with a cuttable pattern whole space-delimited chunks; both memories are bounded.
+    With a cuttable pattern, space-delimited chunks are remembered, in bounded number.
     """
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.split = regex.compile(pattern).findall
         self.cuttable = pattern == CUTTABLE
         self.machine = Transducer(ranks)
-        self.ids_of: dict[str, list[int]] = {}
+        self.name = {i: str(i) for i in ranks.values()}
         self.chunks: dict[str, tuple] = {}
+        self.old: dict[str, tuple] = {}
+        self.lines: dict[str, tuple] = {}
 
     def _whole(self, text: str) -> tuple[list[int], str]:
         ids: list[int] = []
-        known = self.ids_of
+        encode = self.machine.encode
         for piece in self.split(text):
-            made = known.get(piece)
-            if made is None:
-                if len(known) >= MAX_PIECES:
-                    known.clear()
-                made = known[piece] = self.machine.encode(piece.encode())
-            ids += made
-        return ids, " ".join(map(str, ids))
+            ids += encode(piece.encode())
+        return ids, " ".join([self.name[i] for i in ids])
+
+    def _keep(self, chunk: str, made: tuple) -> tuple:
+        """Remember in the young generation; when that is full, it takes the place of the old one."""
+        if len(self.chunks) >= MAX_CHUNKS:
+            self.old, self.chunks = self.chunks, {}
+        self.chunks[chunk] = made
+        return made
+
+    def _plain(self, letters: str) -> tuple[list[int], str]:
+        """A space and letters: one piece."""
+        known = self.chunks.get(letters)
+        if known is None:
+            known = self.old.get(letters)
+            if known is None:
+                ids = self.machine.encode((" " + letters).encode())
+                known = ids, " ".join([self.name[i] for i in ids])
+            self._keep(letters, known)
+        return known
 
     def _chunk(self, after_space: str) -> tuple:
-        if len(self.chunks) >= MAX_PIECES:
-            self.chunks.clear()
-        made = NO_CUT if not after_space or after_space[0].isspace() else self._whole(" " + after_space)
-        self.chunks[after_space] = made
-        return made
+        """What no generation's first look has found. Letters are remembered alone, marks and lone line ends are joined to them."""
+        if after_space.isalpha():
+            return self._plain(after_space)
+        if not after_space or after_space[0].isspace():
+            return NO_CUT
+        if after_space[-1] in MARKS and after_space[:-1].isalpha():  # letters and one mark: two pieces
+            ids, names = self._plain(after_space[:-1])
+            mark = self.machine.ranks[after_space[-1].encode()]
+            return [*ids, mark], f"{names} {self.name[mark]}"
+        left, line, right = after_space.partition("\n")
+        if line and left and right and not (left[-1].isspace() or right[0].isspace()):  # a lone line end is a piece
+            ids, names = self.chunks.get(left) or self._chunk(left)
+            more, more_names = self._line(right)
+            return ids + more, f"{names} {more_names}"
+        known = self.old.get(after_space)
+        return self._keep(after_space, known if known is not None else self._whole(" " + after_space))
+
+    def _line(self, text: str) -> tuple[list[int], str]:
+        """A line end and what follows it up to the next space."""
+        known = self.lines.get(text)
+        if known is None:
+            if len(self.lines) >= MAX_CHUNKS // 4:
+                self.lines.clear()
+            known = self.lines[text] = self._whole("\n" + text)
+        return known
 
     def chunked(self, text: str) -> list[tuple[list[int], str]]:
         """(ids, ids as text) of consecutive parts of the text."""
         if not self.cuttable or " " not in text:
             return [self._whole(text)] if text else []
         first, *rest = text.split(" ")
-        get, make = self.chunks.get, self._chunk
-        made = [get(p) or make(p) for p in rest]
-        if NO_CUT not in made:
+        make = self._chunk
+        made = [self.chunks.get(p) or make(p) for p in rest]
+        if not RUN(text):
             return [self._whole(first), *made] if first else made
         joined: list[list] = [[first, None]]
         for part, known in zip(rest, made, strict=True):
@@ -297,6 +341,17 @@ class StreamDecoder:
         return "".join(out)
 
 
+def coders(data: bytes, pattern: str) -> tuple[Encoder, StreamDecoder]:
+    """Encoder and decoder for a vocabulary file. A worker process keeps them from task to task: what they learn is bounded and only saves time."""
+    kept = sys.__dict__.setdefault("_byte_bpe_coders", {})
+    key = (hashlib.sha256(data).hexdigest(), pattern)
+    if key not in kept:
+        kept.clear()
+        ranks = read_ranks(data)
+        kept[key] = Encoder(ranks, pattern), StreamDecoder({i: b for b, i in ranks.items()})
+    return kept[key]
+
+
 def vocabulary(spark: SparkSession, path: str):
     """The vocabulary file as a broadcast of its bytes."""
     data = Path(path).read_bytes()
@@ -310,7 +365,7 @@ def encode_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     held = vocabulary(docs.sparkSession, path)
 
     def start():
-        encoder = Encoder(read_ranks(held.value), pattern)
+        encoder, _ = coders(held.value, pattern)
         return lambda text: (encoder.encode(text),)
 
     return map_text(docs, start, "ids array<int>")
@@ -336,8 +391,7 @@ def token_digest(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     held = vocabulary(docs.sparkSession, path)
 
     def start():
-        ranks = read_ranks(held.value)
-        encoder, decoder = Encoder(ranks, pattern), StreamDecoder({i: b for b, i in ranks.items()})
+        encoder, decoder = coders(held.value, pattern)
 
         def one(text: str | None) -> tuple:
             parts = encoder.chunked(text or "")
@@ -355,8 +409,7 @@ def round_trip_text(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     held = vocabulary(docs.sparkSession, path)
 
     def start():
-        ranks = read_ranks(held.value)
-        encoder, decoder = Encoder(ranks, pattern), StreamDecoder({i: b for b, i in ranks.items()})
+        encoder, decoder = coders(held.value, pattern)
         return lambda text: None if text is None else decoder.decode(encoder.encode(text))
 
     return replace_text(docs, start)
