@@ -61,12 +61,12 @@ def _doubled(s, d) -> DataFrame:
 
 def _safety(s, d):
     eqs = _doubled(s, d)
-    return U.safety(U.extended_graph(eqs), eqs).select("qid", "is_safe", F.col("offending_post").cast("int").alias("offending_post"))
+    return U.safety(U.extended_graph(eqs), eqs).select("qid", "is_safe", F.coalesce("offending_post", F.lit(-1)).cast("int").alias("offending_post"))
 
 
 Q["safety_report"] = _safety
-SQL["safety_report"] = """SELECT c_custkey AS qid, NOT (c_custkey % 10 = 9 AND c_custkey < 99) AS is_safe, CASE WHEN c_custkey % 10 = 9 AND c_custkey < 99 THEN 0 END AS offending_post FROM customer WHERE c_custkey < 100
-UNION ALL SELECT c_custkey + 1000, true, NULL FROM customer WHERE c_custkey < 100 AND c_custkey % 10 = 0"""
+SQL["safety_report"] = """SELECT c_custkey AS qid, NOT (c_custkey % 10 = 9 AND c_custkey < 99) AS is_safe, CASE WHEN c_custkey % 10 = 9 AND c_custkey < 99 THEN 0 ELSE -1 END AS offending_post FROM customer WHERE c_custkey < 100
+UNION ALL SELECT c_custkey + 1000, true, -1 FROM customer WHERE c_custkey < 100 AND c_custkey % 10 = 0"""
 
 
 def _unique(s, d):

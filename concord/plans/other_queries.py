@@ -171,8 +171,8 @@ def _ring(n, k):
 
 SQL["friend_intersect"] = f"""WITH r AS (SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer WHERE c_custkey < 200)
 SELECT DISTINCT * FROM ({_ring(200, 3)}) EXCEPT SELECT * FROM ({_ring(200, 1)})"""
-Q["request_lead"] = lambda s, d: T.customers(s, d, 200).select(F.col("c_custkey").alias("user"), F.lead("c_custkey").over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
-SQL["request_lead"] = "SELECT c_custkey AS user, lead(c_custkey) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS next_user FROM customer WHERE c_custkey < 200"
+Q["request_lead"] = lambda s, d: T.customers(s, d, 200).select(F.col("c_custkey").alias("user"), F.lead("c_custkey", 1, -1).over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
+SQL["request_lead"] = "SELECT c_custkey AS user, lead(c_custkey, 1, -1) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS next_user FROM customer WHERE c_custkey < 200"
 Q["props_json"] = lambda s, d: T.table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n"))
 SQL["props_json"] = "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1"
 Q["asof_request"] = lambda s, d: T.table(s, d, "events").where("day(ts) <= 15").groupBy("user_id").agg(F.max_by("event_type", F.struct("ts", "event_id")).alias("event_type"))
