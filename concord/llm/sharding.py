@@ -40,11 +40,18 @@ def propagate(links: DataFrame, shards: int, rounds: int = ROUNDS, slack: float
 
     def leaders(held: DataFrame) -> DataFrame:
         most = held.where("key is not null").groupBy("key").agg(F.max(F.struct("n", F.negative("label").alias("minus"))).alias("m"), F.sum("n").alias("size"))
-        return most.where("size > 1").select("key", F.negative(F.col("m.minus")).alias("target"))
+        return most.where("size > 1").select("key", F.negative(F.col("m.minus")).alias("target"), "size")
+
+    def proposed(lead: DataFrame) -> DataFrame:
+        """The rows with the target of their key. Keys with more rows than a partition's share are fewer than partitions: they are broadcast, the rest is shuffled."""
+        many = F.broadcast(lead.where(F.col("size") * partitions(links.sparkSession) > total))
+        hot = state.join(many.select("key", "target"), "key").select("row", "key", "label", "target")
+        rest = state.join(many.select("key"), "key", "left_anti").join(lead.select("key", "target"), "key", "left")
+        return hot.unionByName(rest.select("row", "key", "label", "target"))
 
     for k in range(1, rounds + 1):
         held = state.groupBy("key", "label").agg(F.count("*").alias("n"))
-        lead = leaders(held)
+        lead = cut(leaders(held))
         load = held.groupBy("label").agg(F.sum("n").alias("load"))
         wish = held.join(lead, "key").where("target <> label")
         want = wish.groupBy(F.col("target").alias("label")).agg(F.sum("n").alias("entering"))
@@ -54,12 +61,12 @@ def propagate(links: DataFrame, shards: int, rounds: int = ROUNDS, slack: float
             F.col("label").alias("target"),
             F.greatest(F.lit(0.0), (F.lit(slack * total / shards) - F.coalesce("load", F.lit(0)) + F.coalesce("leaving", F.lit(0)) / 2) / F.col("entering")).alias("share"),
         )
-        moved = state.join(lead, "key", "left").join(F.broadcast(quota), "target", "left")
+        moved = proposed(lead).join(F.broadcast(quota), "target", "left")
         go = (F.col("target") != F.col("label")) & (_part(k, "row") < F.col("share"))
         state = cut(moved.select("row", "key", F.when(go, F.col("target")).otherwise(F.col("label")).alias("label")))
     # those whom a quota still holds back stand with their key; the final cut into equal ranges restores the balance
-    lead = leaders(state.groupBy("key", "label").agg(F.count("*").alias("n")))
-    return state.join(lead, "key", "left").select("row", "key", F.coalesce("target", "label").alias("label"))
+    lead = cut(leaders(state.groupBy("key", "label").agg(F.count("*").alias("n"))))
+    return proposed(lead).select("row", "key", F.coalesce("target", "label").alias("label"))
 
 
 def ranked(df: DataFrame, order: list[str], name: str) -> DataFrame:
