@@ -36,7 +36,7 @@ from concord.llm.rows import map_text, replace_text, slices
 
 MAX_VOCABULARY_BYTES = 64 << 20
 SETTLE = 1 << 12
-MAX_CHUNKS = 3 << 17
+MAX_CHUNKS = 5 << 17
 
 
 def read_ranks(data: bytes) -> dict[bytes, int]:
@@ -256,7 +256,8 @@ class Encoder:
             return [self._whole(text)] if text else []
         first, *rest = text.split(" ")
         make = self._chunk
-        made = [self.chunks.get(p) or make(p) for p in rest]
+        get = self.chunks.get  # of a generation that may become the old one on the way
+        made = [get(p) or make(p) for p in rest]
         if not RUN(text):
             return [self._whole(first), *made] if first else made
         joined: list[list] = [[first, None]]
@@ -321,6 +322,8 @@ class StreamDecoder:
         self.bytes_of = bytes_of
         self.states: dict[bytes, dict[int, tuple]] = {b"": {}}
         self.pending_of = {id(self.states[b""]): b""}
+        made = {i: utf8_step(b"", b) for i, b in bytes_of.items()}
+        self.whole = {i: text for i, (text, rest) in made.items() if not rest and "\ufffd" not in text}
 
     def _learn(self, state: dict, token: int) -> tuple:
         text, rest = utf8_step(self.pending_of[id(state)], self.bytes_of[token])
@@ -331,13 +334,21 @@ class StreamDecoder:
         return made
 
     def decode(self, ids) -> str:
+        return self.decode_runs([ids])
+
+    def decode_runs(self, runs: list) -> str:
+        """Text of consecutive id lists. Tokens that begin and end in the accepting state need no stepping."""
+        try:
+            return "".join(map(self.whole.__getitem__, chain.from_iterable(runs)))
+        except KeyError:  # some token holds a part of a character
+            pass
         state, out = self.states[b""], []
         put, learn = out.append, self._learn
-        for i in ids:
+        for i in chain.from_iterable(runs):
             text, state = state.get(i) or learn(state, i)
             put(text)
         if state is not self.states[b""]:
-            put("�")
+            put("\ufffd")
         return "".join(out)
 
 
@@ -395,9 +406,9 @@ def token_digest(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
         def one(text: str | None) -> tuple:
             parts = encoder.chunked(text or "")
-            ids = list(chain.from_iterable([p[0] for p in parts]))
-            listed = " ".join([p[1] for p in parts])
-            return len(ids), hashlib.sha256(listed.encode()).hexdigest(), hashlib.sha256(decoder.decode(ids).encode()).hexdigest()
+            runs = [ids for ids, _ in parts]
+            listed = " ".join([names for _, names in parts])
+            return sum(map(len, runs)), hashlib.sha256(listed.encode()).hexdigest(), hashlib.sha256(decoder.decode_runs(runs).encode()).hexdigest()
 
         return one
 
