@@ -61,3 +61,26 @@ def test_arrivals_keep_what_waits(spark, tmp_path):
     assert {r["qid"] for r in loop.answers().collect()} == {1, 2} and loop.pending(2).count() == 0
     loop(eqs.where("qid = 2"), 1)  # the same batch again
     assert {r["qid"] for r in loop.answers().collect()} == {1, 2}
+
+
+def test_sql_surface(spark):
+    from concord.functions import sql
+    from concord.operators import scc, unify
+
+    sql.register(spark)
+    rows = spark.sql("select role, rel, size(terms) as n from parse_eq('seat(1,x) if seat(2,x) from flights(x,''Z'')')").collect()
+    assert {tuple(r) for r in rows} == {("head", "seat", 2), ("post", "seat", 2), ("body", "flights", 2)}
+    eqs, cat = E.two_flyers(spark)
+    sql.publish(eqs, unify.extended_graph(eqs), scc.scc_coordinate(eqs, cat))
+    assert spark.sql("select max(n) from eq_sets").first()[0] == 2 and spark.sql("select count(*) from eq_edges").first()[0] == 1
+
+
+def test_live_interest(spark, tmp_path):
+    from concord.streaming.state import live_interest
+
+    source = spark.readStream.schema(spark.read.parquet(f"{D}/events.parquet").schema).option("pathGlobFilter", "events.parquet").parquet(D)
+    out = live_interest(source, "ts", "user_id", ["event_type"], need=2, ttl_seconds=10**9)
+    out.writeStream.outputMode("update").format("memory").queryName("interest").option("checkpointLocation", str(tmp_path)).trigger(availableNow=True).start().awaitTermination(120)
+    want = {r[0]: r[1] for r in spark.read.parquet(f"{D}/events.parquet").groupBy("event_type").agg({"user_id": "count"}).collect()}
+    users = {r["event_type"]: r["users"] for r in spark.sql("select event_type, max(users) as users from interest group by 1").collect()}
+    assert set(users) == set(want) and all(2 <= n <= 15 for n in users.values())
