@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from concord.llm.rows import no_cycle_search, slices
 from concord.runtime import keep
 
-ROUNDS, STEPS = 2, 5
+ROUNDS, STEPS = 2, 8
 CONFIDENT = 0.95
 RIDGE = 1.0
 ACCEPT = 0.5
@@ -115,17 +115,33 @@ def _sigmoid(v: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(v, -30, 30)))
 
 
-def _newton(x: np.ndarray, y: np.ndarray, weight: np.ndarray, w: np.ndarray) -> np.ndarray:
-    """Gradient and curvature of the weighted logistic loss, flat."""
-    p = _sigmoid(x @ w)
-    return np.concatenate([x.T @ (weight * (p - y)), ((x * (weight * p * (1 - p))[:, None]).T @ x).ravel()])
+def _moments(x: np.ndarray, y: np.ndarray, weight: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Loss, gradient and curvature of the weighted logistic loss, flat."""
+    v = x @ w
+    p = _sigmoid(v)
+    loss = weight @ (np.logaddexp(0, v) - y * v)
+    return np.concatenate([[loss], x.T @ (weight * (p - y)), ((x * (weight * p * (1 - p))[:, None]).T @ x).ravel()])
 
 
-def _step(flat: np.ndarray, w: np.ndarray) -> np.ndarray:
-    d = len(w)
-    ridge = np.full(d, RIDGE)
-    ridge[0] = 1e-6
-    return w - np.linalg.solve(flat[d:].reshape(d, d) + np.diag(ridge), flat[:d] + ridge * w)
+class Descent:
+    """Newton's method with step halving: a step that has raised the loss is taken back by half, so few teachers cannot make it diverge."""
+
+    def __init__(self, w: np.ndarray):
+        self.w, self.base, self.step, self.loss = w, w, np.zeros_like(w), np.inf
+        self.ridge = np.full(len(w), RIDGE)
+        self.ridge[0] = 1e-6
+        self.prior = w if len(w) == 3 else np.zeros_like(w)
+
+    def tell(self, flat: np.ndarray) -> None:
+        """The sums at ``w``; moves ``w`` on."""
+        d, off = len(self.w), self.w - self.prior
+        loss = flat[0] + 0.5 * (self.ridge * off) @ off
+        if loss <= self.loss + 1e-9:
+            h = flat[1 + d :].reshape(d, d) + np.diag(self.ridge)
+            self.base, self.loss, self.step = self.w, loss, -np.linalg.solve(h, flat[1 : 1 + d] + self.ridge * off)
+        else:
+            self.step = self.step / 2
+        self.w = self.base + self.step
 
 
 class Model:
@@ -165,10 +181,13 @@ def train(table: DataFrame) -> Model:
     d1, d2 = 1 + N_CONTENT, 1 + N_METADATA
     share = min(1.0, (good + bad) / max(1.0, free))
 
+    size = lambda d: 1 + d + d * d
     for round_ in range(ROUNDS + 1):
         teacher = Model(model.mean, model.scale)
         teacher.w = [w.copy() for w in model.w]
+        ways = [Descent(w) for w in model.w]
         for _ in range(STEPS):
+            model.w = [way.w for way in ways]
 
             def part(x, y, held, teacher=teacher, now=model, exchange=round_ > 0):
                 views = now.views(x)
@@ -182,17 +201,22 @@ def train(table: DataFrame) -> Model:
                         sure = ~labelled & ~held & ((p >= CONFIDENT) | (p <= 1 - CONFIDENT))
                         target = np.where(sure, (p > 0.5).astype(float), target)
                         weight = np.where(sure, share, weight)
-                    out.append(_newton(views[k], target, weight, now.w[k]))
+                    out.append(_moments(views[k], target, weight, now.w[k]))
                 return np.concatenate(out)
 
-            flat = _sum(table, part, d1 + d1 * d1 + d2 + d2 * d2)
-            model.w = [_step(flat[: d1 + d1 * d1], model.w[0]), _step(flat[d1 + d1 * d1 :], model.w[1])]
+            flat = _sum(table, part, size(d1) + size(d2))
+            ways[0].tell(flat[: size(d1)])
+            ways[1].tell(flat[size(d1) :])
+        model.w = [way.base for way in ways]
+    way = Descent(model.both)
     for _ in range(STEPS):
+        model.both = way.w
 
         def part(x, y, held, now=model):
-            return _newton(now.odds(x), np.nan_to_num(y), (~np.isnan(y)).astype(float), now.both)
+            return _moments(now.odds(x), np.nan_to_num(y), (~np.isnan(y)).astype(float), now.both)
 
-        model.both = _step(_sum(table, part, 12), model.both)
+        way.tell(_sum(table, part, size(3)))
+    model.both = way.base
     return model
 
 
