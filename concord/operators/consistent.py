@@ -222,17 +222,16 @@ def subgraphs_of(dead: DataFrame, edges: DataFrame, coord: list[str]) -> DataFra
 
 def _clean_sequential(vq: DataFrame, edges: DataFrame, need: DataFrame, coord: list[str]) -> DataFrame:
     """One value after another (the baseline without parallelism), for small inputs."""
-    spark, out = vq.sparkSession, None
+    spark, schema = vq.sparkSession, _node_schema(vq, coord)
+    vq, edges, need = keep(vq), keep(edges), keep(need)
+    found = []
     for value in candidates(vq, coord).collect():
         here = None
         for c in coord:
             same = F.col(c).eqNullSafe(F.lit(value[c]))
             here = same if here is None else here & same
-        part = _clean_local(vq.where(here).coalesce(1), edges, need, coord).toPandas()
-        if len(part):
-            made = spark.createDataFrame(part, vq.select(*coord, "qid").schema)
-            out = made if out is None else out.unionByName(made)
-    return out if out is not None else vq.select(*coord, "qid").where("false")
+        found += _clean_local(vq.where(here).coalesce(1), edges, need, coord).collect()
+    return spark.createDataFrame(found, schema)
 
 
 def clean(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str], mode: str = "local") -> DataFrame:
@@ -295,6 +294,31 @@ def consistent_coordinate(
     return Consistent(coord, vq, edges, survivors, sets, best, assign(best, requests, data, key, coord))
 
 
+def largest_with_early_stop(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str], at_least: int = 256) -> tuple[DataFrame, int]:
+    """The largest set (least value on ties) and how many values were cleaned for it.
+
+    Values are taken in descending size of their uncleaned graphs, ``at_least`` of them at a time, until no later one can hold a larger set or an
+    equal one that would win the tie: a set cannot outgrow its graph.
+    """
+    sizes = keep(vq.groupBy(*coord).agg(F.count("*").alias("__n")))
+    steps = sizes.groupBy("__n").agg(F.count("*").alias("values")).orderBy(F.col("__n").desc()).collect()  # at most one row per request
+    best, cleaned, k = None, 0, 0
+    while k < len(steps):
+        top, took = steps[k]["__n"], 0
+        while k < len(steps) and took < at_least:
+            took += steps[k]["values"]
+            low = steps[k]["__n"]
+            k += 1
+        some = vq.join(sizes.where(F.col("__n").between(low, top)).select(*coord), coord, "left_semi")
+        sets = value_sets(clean(some, edges, requests, coord), requests, coord)
+        both = sets if best is None else best.unionByName(sets)
+        best, cleaned = cut(largest().pick(both, coord)), cleaned + took
+        found = best.first()
+        if found and k < len(steps) and found["n"] > steps[k]["__n"]:
+            break
+    return best if best is not None else value_sets(vq.select(*coord, "qid"), requests, coord), cleaned
+
+
 def call_counts(requests: DataFrame, best: DataFrame) -> DataFrame:
     """Database queries that one-at-a-time processing issues: option lists, friend lists, final look-ups."""
     n = requests.agg(F.count("*").alias("options"), F.count_if(F.size("any_friend") > 0).alias("friends"))

@@ -180,10 +180,10 @@ def _waves(nodes: DataFrame, catalog: dict, choose: str, one_by_one: bool) -> tu
 
 
 def _bisect(nodes: DataFrame, catalog: dict, choose: str) -> tuple[DataFrame, DataFrame | None]:
-    """Components that are chains: the levels that ground are a prefix, found by halving."""
-    per = nodes.groupBy("comp_id").agg(F.max("level").alias("top"), F.count("*").alias("k"), F.max(F.size("next")).alias("fan"))
-    if per.where("k <> top + 1 or fan > 1").limit(1).count():
-        raise ValueError("bisect needs components that are chains")
+    """Components with one node a level: reach sets are nested, so the levels that ground are a prefix, found by halving."""
+    per = nodes.groupBy("comp_id").agg(F.max("level").alias("top"), F.count("*").alias("k"))
+    if per.where("k <> top + 1").limit(1).count():
+        raise ValueError("bisect needs one node a level, so that reach sets are nested")
     span = cut(per.select("comp_id", F.lit(-1).alias("good"), (F.col("top") + 1).alias("bad")))
     made = None
     while span.where("bad - good > 1").limit(1).count():

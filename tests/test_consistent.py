@@ -151,3 +151,10 @@ def test_translation_refuses_many_and_detects_signatures(spark):
     assert X.coordination_signature(eqs.union(both), "data", ["place", "kind"]).select("attributes").distinct().count() == 2
     report = {r["qid"]: (r["coordinating"], r["non_coordinating"]) for r in X.consistency(eqs, "data", ["place", "kind"], ["place"]).collect()}
     assert report == {1: (True, False), 2: (True, False)}
+
+
+def test_early_stop_finds_the_same_set(spark):
+    requests, data, friends = T.travellers(spark, D, 60), T.flights(spark, D).where("month(day) <= 2"), T.friends_ring(spark, D, 60, 2)
+    run = C.consistent_coordinate(requests, data, "flight_id", ["destination", "day"], friends)
+    best, cleaned = C.largest_with_early_stop(run.vq, run.edges, requests, run.coord, 5)
+    assert [tuple(r) for r in best.collect()] == [tuple(r) for r in run.best.collect()] and 0 < cleaned <= C.candidates(run.vq, run.coord).count()
