@@ -5,10 +5,11 @@ ridge logistic models. They learn first from labelled documents; then in each ro
 about teach the other view as pseudo-labels, weighted so that they count together as much as the labelled ones. Last, a
 logistic model over both views' log-odds, learnt from labelled documents, calibrates and combines them.
 
-Nothing is sampled: a pass over the text writes the features of every document to a shared table, and
-each Newton step sums gradient and curvature over that whole table, as one array per task that Spark adds up element by
-element. Only these sums, whose number the features fix, reach the driver. Documents whose crc32(doc_id) mod 5 is 0 are
-held out: neither their labels nor pseudo-labels of theirs teach.
+At most ``TEACHERS`` labelled documents (the least by a hash) teach, on the driver. Everything else covers all documents: a
+pass over the text writes the features of every document to a shared table; scaling and each step on pseudo-labels
+sum over that whole table, as one array per task that Spark adds up element by element, so only sums whose number the
+features fix reach the driver. Documents whose crc32(doc_id) mod 5 is 0 are held out: neither their labels nor
+pseudo-labels of theirs teach.
 
 Defined results: a null text is an empty one; null metadata has its own feature value; documents that are labelled
 both ways teach nothing; without teachers of both kinds the score is 0.5 and everything is accepted; rows are
@@ -17,6 +18,7 @@ scored one by one, so ids may be null or repeat.
 
 from __future__ import annotations
 
+import gc
 import math
 import re
 import zlib
@@ -31,7 +33,9 @@ from pyspark.sql import functions as F
 from concord.llm.rows import no_cycle_search, slices
 from concord.runtime import keep
 
-ROUNDS, STEPS = 2, 8
+ROUNDS, STEPS, EXCHANGE_STEPS = 2, 25, 3
+TEACHERS = 10_000
+SETTLED = 0.01
 CONFIDENT = 0.95
 RIDGE = 1.0
 ACCEPT = 0.5
@@ -96,6 +100,7 @@ def _sum(table: DataFrame, part, width: int) -> np.ndarray:
     """Sum over the table of ``part(x, y, held_out)``, an array of ``width`` numbers per batch."""
 
     def run(batches):
+        gc.collect()  # what earlier passes of this worker have left; passes are many and short
         total = np.zeros(width)
         for batch in batches:
             if batch.num_rows:
@@ -131,6 +136,7 @@ class Descent:
         self.ridge = np.full(len(w), RIDGE)
         self.ridge[0] = 1e-6
         self.prior = w if len(w) == 3 else np.zeros_like(w)
+        self.done = False
 
     def tell(self, flat: np.ndarray) -> None:
         """The sums at ``w``; moves ``w`` on."""
@@ -141,6 +147,7 @@ class Descent:
             self.base, self.loss, self.step = self.w, loss, -np.linalg.solve(h, flat[1 : 1 + d] + self.ridge * off)
         else:
             self.step = self.step / 2
+        self.done = loss <= self.loss and np.abs(self.step).max() < SETTLED
         self.w = self.base + self.step
 
 
@@ -169,53 +176,57 @@ class Model:
         return _sigmoid(o[:, 1]), _sigmoid(o[:, 2]), _sigmoid(o @ self.both)
 
 
+def _teachers(table: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of at most ``TEACHERS`` labelled rows, the least by a hash."""
+    rows = table.where("y is not null").orderBy(F.xxhash64("doc_id", "x")).limit(TEACHERS).select("x", "y").toArrow()
+    y = rows.column("y").to_numpy().astype(float)
+    x = rows.column("x").combine_chunks() if len(y) else None
+    return (_matrix(x, N_CONTENT + N_METADATA) if len(y) else np.zeros((0, N_CONTENT + N_METADATA))), y
+
+
 def train(table: DataFrame) -> Model:
     d = N_CONTENT + N_METADATA
-    s = _sum(table, lambda x, y, held: np.concatenate([[len(x), np.nansum(y == 1), np.nansum(y == 0), (np.isnan(y) & ~held).sum()], x.sum(axis=0), (x * x).sum(axis=0)]), 4 + 2 * d)
-    n, good, bad, free = max(1.0, s[0]), s[1], s[2], s[3]
-    mean = s[4 : 4 + d] / n
-    model = Model(mean, np.sqrt(np.maximum(s[4 + d :] / n - mean * mean, 1e-12)) + 1e-6)
-    if not good or not bad:
+    s = _sum(table, lambda x, y, held: np.concatenate([[len(x), (np.isnan(y) & ~held).sum()], x.sum(axis=0), (x * x).sum(axis=0)]), 2 + 2 * d)
+    n, free = max(1.0, s[0]), max(1.0, s[1])
+    mean = s[2 : 2 + d] / n
+    model = Model(mean, np.sqrt(np.maximum(s[2 + d :] / n - mean * mean, 1e-12)) + 1e-6)
+    x, y = _teachers(table)
+    if not (y == 1).any() or not (y == 0).any():
         return model
     model.taught = True
-    d1, d2 = 1 + N_CONTENT, 1 + N_METADATA
-    share = min(1.0, (good + bad) / max(1.0, free))
+    views, one = model.views(x), np.ones(len(y))
+    size = [len(_moments(v, y, one, w)) for v, w in zip(views, model.w, strict=True)]
+    share = min(1.0, len(y) / free)  # pseudo-labels count together as much as the labels
 
-    size = lambda d: 1 + d + d * d
     for round_ in range(ROUNDS + 1):
         teacher = Model(model.mean, model.scale)
         teacher.w = [w.copy() for w in model.w]
         ways = [Descent(w) for w in model.w]
-        for _ in range(STEPS):
-            model.w = [way.w for way in ways]
-
-            def part(x, y, held, teacher=teacher, now=model, exchange=round_ > 0):
-                views = now.views(x)
-                labelled = ~np.isnan(y)
-                out = []
-                said = teacher.odds(x)
+        for _ in range(EXCHANGE_STEPS if round_ else STEPS):
+            now = Model(model.mean, model.scale)
+            now.w = [way.w for way in ways]
+
+            def part(x, y, held, teacher=teacher, now=now):
+                """The other view's confident answers on documents that nobody has labelled, over all documents."""
+                free = np.isnan(y) & ~held
+                said, seen, out = teacher.odds(x), now.views(x), []
                 for k in (0, 1):
-                    target, weight = np.nan_to_num(y), labelled.astype(float)
-                    if exchange:  # the other view's confident answers on documents nobody has labelled
-                        p = _sigmoid(said[:, 2 - k])
-                        sure = ~labelled & ~held & ((p >= CONFIDENT) | (p <= 1 - CONFIDENT))
-                        target = np.where(sure, (p > 0.5).astype(float), target)
-                        weight = np.where(sure, share, weight)
-                    out.append(_moments(views[k], target, weight, now.w[k]))
+                    p = _sigmoid(said[:, 2 - k])
+                    sure = free & ((p >= CONFIDENT) | (p <= 1 - CONFIDENT))
+                    out.append(_moments(seen[k], (p > 0.5).astype(float), np.where(sure, share, 0.0), now.w[k]))
                 return np.concatenate(out)
 
-            flat = _sum(table, part, size(d1) + size(d2))
-            ways[0].tell(flat[: size(d1)])
-            ways[1].tell(flat[size(d1) :])
+            pseudo = _sum(table, part, sum(size)) if round_ else np.zeros(sum(size))
+            ways[0].tell(pseudo[: size[0]] + _moments(views[0], y, one, now.w[0]))
+            ways[1].tell(pseudo[size[0] :] + _moments(views[1], y, one, now.w[1]))
+            if ways[0].done and ways[1].done:
+                break
         model.w = [way.base for way in ways]
     way = Descent(model.both)
     for _ in range(STEPS):
-        model.both = way.w
-
-        def part(x, y, held, now=model):
-            return _moments(now.odds(x), np.nan_to_num(y), (~np.isnan(y)).astype(float), now.both)
-
-        way.tell(_sum(table, part, size(3)))
+        way.tell(_moments(model.odds(x), y, one, way.w))
+        if way.done:
+            break
     model.both = way.base
     return model
 
