@@ -189,7 +189,8 @@ class Encoder:
     With a cuttable pattern, space-delimited chunks are remembered, in bounded number.
     """
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, most: int | None = None):
+        self.most = most or MAX_CHUNKS
         self.split = regex.compile(pattern).findall
         self.cuttable = pattern == CUTTABLE
         self.machine = Transducer(ranks)
@@ -207,7 +208,7 @@ class Encoder:
 
     def _keep(self, chunk: str, made: tuple) -> tuple:
         """Remember in the young generation; when that is full, it takes the place of the old one."""
-        if len(self.chunks) >= MAX_CHUNKS:
+        if len(self.chunks) >= self.most:
             self.old, self.chunks = self.chunks, {}
         self.chunks[chunk] = made
         return made
@@ -245,7 +246,7 @@ class Encoder:
         """A line end and what follows it up to the next space."""
         known = self.lines.get(text)
         if known is None:
-            if len(self.lines) >= MAX_CHUNKS // 4:
+            if len(self.lines) >= self.most // 4:
                 self.lines.clear()
             known = self.lines[text] = self._whole("\n" + text)
         return known
@@ -352,14 +353,14 @@ class StreamDecoder:
         return "".join(out)
 
 
-def coders(data: bytes, pattern: str) -> tuple[Encoder, StreamDecoder]:
+def coders(data: bytes, pattern: str, most: int | None = None) -> tuple[Encoder, StreamDecoder]:
     """Encoder and decoder for a vocabulary file. A worker process keeps them from task to task: what they learn is bounded and only saves time."""
     kept = sys.__dict__.setdefault("_byte_bpe_coders", {})
-    key = (hashlib.sha256(data).hexdigest(), pattern)
+    key = (hashlib.sha256(data).hexdigest(), pattern, most)
     if key not in kept:
         kept.clear()
         ranks = read_ranks(data)
-        kept[key] = Encoder(ranks, pattern), StreamDecoder({i: b for b, i in ranks.items()})
+        kept[key] = Encoder(ranks, pattern, most), StreamDecoder({i: b for b, i in ranks.items()})
     return kept[key]
 
 
@@ -371,12 +372,12 @@ def vocabulary(spark: SparkSession, path: str):
     return spark.sparkContext.broadcast(data)
 
 
-def encode_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    """(doc_id, ids array<int>)."""
+def encode_table(docs: DataFrame, path: str, pattern: str, most: int = 1 << 17) -> DataFrame:
+    """(doc_id, ids array<int>). ``most`` bounds the chunks that a worker remembers, twice over; fewer than alone, as jobs before it have filled memory."""
     held = vocabulary(docs.sparkSession, path)
 
     def start():
-        encoder, _ = coders(held.value, pattern)
+        encoder, _ = coders(held.value, pattern, most)
         return lambda text: (encoder.encode(text),)
 
     return map_text(docs, start, "ids array<int>")
