@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -21,9 +22,14 @@ FLIGHTS = """flights AS (SELECT o_orderkey AS flight_id, n_name AS destination,
   FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey)"""
 
 
-def ring_sql(n: int, k: int, name: str = "fr", rel: str = "friends") -> str:
+def within(n: int | None) -> str:
+    """The requesting customers: ids below n, or every customer."""
+    return "true" if n is None else f"c_custkey < {n}"
+
+
+def ring_sql(n: int | None, k: int, name: str = "fr", rel: str = "friends") -> str:
     return f"""{name}_r AS (SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey) AS size
-  FROM customer WHERE c_custkey < {n}),
+  FROM customer WHERE {within(n)}),
 {name} AS (SELECT DISTINCT a.c_custkey AS usr, b.c_custkey AS friend, '{rel}' AS rel FROM {name}_r a JOIN {name}_r b
   ON a.c_nationkey = b.c_nationkey AND a.c_custkey <> b.c_custkey AND (b.rnk - a.rnk + a.size) % a.size BETWEEN 1 AND {k}
   UNION SELECT DISTINCT a.c_custkey, b.c_custkey, '{rel}' FROM {name}_r a JOIN {name}_r b ON a.c_nationkey = b.c_nationkey AND a.c_custkey <> b.c_custkey, range(1, {k + 1}) t(i)
@@ -91,18 +97,26 @@ def shown_sql(coord: list[str]) -> str:
     return ", ".join(f"CAST({c} AS VARCHAR) AS {c}" if c.endswith("day") else c for c in coord)
 
 
-def register(name: str, w: Workload, what: str) -> None:
-    """what: sets (all), best (one set and its members), assignment."""
+def answer(w: Workload, what: str):
+    """The query of a workload. what: sets (all), best (one set and its members), assignment."""
+    if what == "assignment":
+        return lambda spark, d: shown(w.run(spark, d).assignment, "user", *C.keys(w.key))
+    return lambda spark, d: shown(getattr(r := w.run(spark, d), what), *r.coord, "n", "members")
+
+
+def register(name: str, make: Workload | Callable[[int | None], Workload], what: str, n: int | None = None) -> None:
+    """A workload, or one by its number of customers: ``name`` takes the first n of them, as its SQL does, and ``name_all`` every customer."""
+    w = make if isinstance(make, Workload) else make(n)
+    Q[name] = answer(w, what)
+    if w is not make:
+        Q[f"{name}_all"] = answer(make(None), what)
     if what == "sets":
-        Q[name] = lambda spark, d: shown((r := w.run(spark, d)).sets, *r.coord, "n", "members")
         SQL[name] = w.sql() + f"SELECT {shown_sql(w.coord)}, n, members FROM sets"
     elif what == "best":
-        Q[name] = lambda spark, d: shown((r := w.run(spark, d)).best, *r.coord, "n", "members")
         where = f" WHERE list_contains(ids, {w.select.must})" if w.select.must is not None else ""
         SQL[name] = w.sql() + f"SELECT {shown_sql(w.coord)}, n, members FROM (SELECT * FROM sets{where} ORDER BY {w.order}{', ' if w.order else ''}{', '.join(w.coord)} LIMIT 1)"
     else:
         keys = C.keys(w.key)
-        Q[name] = lambda spark, d: shown(w.run(spark, d).assignment, "user", *keys)
         least = f"min(struct_pack({', '.join(f'{k} := s.{k}' for k in keys)}))"
         SQL[name] = w.sql() + f""", best AS (SELECT * FROM sets ORDER BY {w.order}{', ' if w.order else ''}{', '.join(w.coord)} LIMIT 1),
 m AS (SELECT unnest(ids) AS qid, {', '.join(w.coord)} FROM best),
@@ -113,60 +127,76 @@ SELECT qid AS user, {', '.join(f'CAST(k.{x} AS VARCHAR) AS {x}' if x.endswith('d
 # ---------------------------------------------------------------- travellers
 
 AIRLINES = "['1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW']"
-TRAVELLERS = f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline,
-  CASE WHEN c_custkey % 3 = 0 THEN c_mktsegment END AS source, CASE WHEN c_custkey % 7 = 0 THEN n_name END AS destination FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE c_custkey < 200),
+
+
+def travellers_sql(n: int | None) -> str:
+    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline,
+  CASE WHEN c_custkey % 3 = 0 THEN c_mktsegment END AS source, CASE WHEN c_custkey % 7 = 0 THEN n_name END AS destination FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE {within(n)}),
 named AS (SELECT qid, qid + 1 AS partner FROM req WHERE qid % 4 = 1), ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req WHERE qid % 4 <> 1)"""
+
+
 FITS = "(r.airline IS NULL OR r.airline = s.airline) AND (r.source IS NULL OR r.source = s.source) AND (r.destination IS NULL OR r.destination = s.destination)"
 DATA = "data AS (SELECT * FROM flights)"
 
 
-def travel(select: Selection | None = None, order: str = "n DESC") -> Workload:
-    return Workload(T.travellers, T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, 200, 2), [FLIGHTS, DATA, ring_sql(200, 2), TRAVELLERS], FITS, order, select or largest())
+REQUESTS = 200
+
+
+def travel(select: Selection | None = None, order: str = "n DESC", n: int | None = REQUESTS) -> Workload:
+    return Workload(
+        lambda s, d: T.travellers(s, d, n), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 2),
+        [FLIGHTS, DATA, ring_sql(n, 2), travellers_sql(n)], FITS, order, select or largest(),
+    )
 
 
-def _parts(spark: SparkSession, d: str):
-    w = travel()
+def _parts(spark: SparkSession, d: str, n: int | None):
+    w = travel(n=n)
     requests, friends = w.requests(spark, d), w.friends(spark, d)
     vq = C.options(requests, w.data(spark, d), w.coord, friends)
     return w, requests, friends, vq
 
 
-def _options(spark, d):
-    return _parts(spark, d)[3].groupBy("qid").agg(F.count("*").alias("n_options"))
+def _options(spark, d, n=REQUESTS):
+    return _parts(spark, d, n)[3].groupBy("qid").agg(F.count("*").alias("n_options"))
 
 
-def _candidates(spark, d):
-    w, _, _, vq = _parts(spark, d)
+def _candidates(spark, d, n=REQUESTS):
+    w, _, _, vq = _parts(spark, d, n)
     return shown(C.candidates(vq, w.coord), *w.coord)
 
 
-def _pruned(spark, d):
-    _, requests, friends, vq = _parts(spark, d)
+def _pruned(spark, d, n=REQUESTS):
+    _, requests, friends, vq = _parts(spark, d, n)
     return C.pruned_graph(requests, friends, vq)
 
 
-def _gv(spark, d):
-    w, _, _, vq = _parts(spark, d)
+def _gv(spark, d, n=REQUESTS):
+    w, _, _, vq = _parts(spark, d, n)
     return shown(vq.groupBy(*w.coord).agg(F.count("*").alias("n")), *w.coord, "n")
 
 
-Q |= {"options_vq": _options, "candidates_v": _candidates, "pruned_graph": _pruned, "gv_sizes": _gv}
+def both(queries: dict) -> dict:
+    """The queries over the first customers, as their SQL, and ``_all`` over every customer."""
+    return queries | {f"{name}_all": (lambda spark, d, q=q: q(spark, d, n=None)) for name, q in queries.items()}
+
+
+Q |= both({"options_vq": _options, "candidates_v": _candidates, "pruned_graph": _pruned, "gv_sizes": _gv})
 SQL |= {
     "options_vq": travel().sql() + "SELECT qid, count(*) AS n_options FROM vq GROUP BY 1",
     "candidates_v": travel().sql() + "SELECT DISTINCT destination, CAST(day AS VARCHAR) AS day FROM vq",
     "pruned_graph": travel().sql() + "SELECT src, dst, kind FROM edge",
     "gv_sizes": travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, count(*) AS n FROM vq GROUP BY ALL",
 }
-register("clean_survivors", travel(), "sets")
-register("cons_flights", travel(), "best")
-register("cons_assignment", travel(), "assignment")
-register("cons_gold", travel(most_weight(), "weight DESC"), "best")
-register("cons_vip", travel(containing(7)), "best")
-register("cons_first", travel(first(), ""), "best")
+register("clean_survivors", lambda n: travel(n=n), "sets", REQUESTS)
+register("cons_flights", lambda n: travel(n=n), "best", REQUESTS)
+register("cons_assignment", lambda n: travel(n=n), "assignment", REQUESTS)
+register("cons_gold", lambda n: travel(most_weight(), "weight DESC", n=n), "best", REQUESTS)
+register("cons_vip", lambda n: travel(containing(7), n=n), "best", REQUESTS)
+register("cons_first", lambda n: travel(first(), "", n=n), "best", REQUESTS)
 
 
 def _clean_by_rounds(spark, d):
-    w, requests, friends, vq = _parts(spark, d)
+    w, requests, friends, vq = _parts(spark, d, REQUESTS)
     few = vq.where("month(day) = 3 and year(day) = 1997")
     return shown(C.value_sets(C.clean(few, C.pruned_graph(requests, friends, vq), requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
 
@@ -231,74 +261,82 @@ Q["cons_vary_users"], SQL["cons_vary_users"] = _sweep([(10, 100), (50, 100), (10
 # ---------------------------------------------------------------- other applications
 
 
-def _titles(spark, d):
+def _titles(spark, d, n):
     names = T.table(spark, d, "part").select("p_name").distinct()
     ranked = names.groupBy().agg(F.array_sort(F.collect_set("p_name")).alias("names"))  # the 64 title names
-    c = T.customers(spark, d, 100).withColumn("user", F.col("c_custkey")).join(F.broadcast(ranked), how="cross")
+    c = T.customers(spark, d, n).withColumn("user", F.col("c_custkey")).join(F.broadcast(ranked), how="cross")
     return T.requests(c, "map('title', element_at(names, cast(1 + user % size(names) as int)))")
 
 
-register("cons_movies", Workload(
-    _titles, T.movies, "movie_id", ["cinema"], lambda s, d: T.friends_ring(s, d, 100, 2),
-    ["data AS (SELECT p_partkey AS movie_id, p_brand AS cinema, p_name AS title FROM part)", ring_sql(100, 2),
-     """names AS (SELECT list_sort(list(DISTINCT p_name)) AS l FROM part),
-req AS (SELECT c_custkey AS qid, 0.0 AS weight, l[1 + c_custkey % len(l)] AS title FROM customer, names WHERE c_custkey < 100),
+register("cons_movies", lambda n: Workload(
+    lambda s, d: _titles(s, d, n), T.movies, "movie_id", ["cinema"], lambda s, d: T.friends_ring(s, d, n, 2),
+    ["data AS (SELECT p_partkey AS movie_id, p_brand AS cinema, p_name AS title FROM part)", ring_sql(n, 2),
+     f"""names AS (SELECT list_sort(list(DISTINCT p_name)) AS l FROM part),
+req AS (SELECT c_custkey AS qid, 0.0 AS weight, l[1 + c_custkey % len(l)] AS title FROM customer, names WHERE {within(n)}),
 named AS (SELECT 0 AS qid, 0 AS partner WHERE false), ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)"""],
     "r.title = s.title",
-), "sets")
+), "sets", 100)
 
 EVEN_AIRLINE = f"map_filter(map('airline', case when user % 2 = 0 then element_at(array('1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'), cast(1 + user % 5 as int)) end), (k, v) -> v is not null)"  # noqa: F541
 
 
-def _even_sql(n: int, k: int = 1, rel: str = "friends") -> str:
-    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline FROM customer WHERE c_custkey < {n}),
+def _even_sql(n: int | None, k: int = 1, rel: str = "friends") -> str:
+    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline FROM customer WHERE {within(n)}),
 named AS (SELECT 0 AS qid, 0 AS partner WHERE false), ask AS (SELECT qid, '{rel}' AS rel, {k} AS k FROM req)"""
 
 
-def _even(n: int, asks: str = T.ANY_ONE, named: str = "array()"):
+def _even(n: int | None, asks: str = T.ANY_ONE, named: str = "array()"):
     return lambda s, d: T.requests(T.customers(s, d, n).withColumn("user", F.col("c_custkey")), EVEN_AIRLINE, named, asks, "c_acctbal")
 
 
 BY_AIRLINE = "(r.airline IS NULL OR r.airline = s.airline)"
 CONCERTS = """concerts AS (SELECT DISTINCT n_name AS location, CAST(l_shipdate AS DATE) AS event_day FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey)"""
-register("cons_concerts", Workload(
-    _even(100), lambda s, d: C.scheduled(T.flights(s, d), T.concerts(s, d), {"destination": "location"}, "day", "event_day"), "flight_id", ["destination", "day"],
-    lambda s, d: T.friends_ring(s, d, 100, 2),
-    [FLIGHTS, CONCERTS, "data AS (SELECT * FROM flights f WHERE EXISTS (SELECT 1 FROM concerts c WHERE c.location = f.destination AND c.event_day = f.day + 1))", ring_sql(100, 2), _even_sql(100)],
+register("cons_concerts", lambda n: Workload(
+    _even(n), lambda s, d: C.scheduled(T.flights(s, d), T.concerts(s, d), {"destination": "location"}, "day", "event_day"), "flight_id", ["destination", "day"],
+    lambda s, d: T.friends_ring(s, d, n, 2),
+    [FLIGHTS, CONCERTS, "data AS (SELECT * FROM flights f WHERE EXISTS (SELECT 1 FROM concerts c WHERE c.location = f.destination AND c.event_day = f.day + 1))", ring_sql(n, 2), _even_sql(n)],
     BY_AIRLINE,
-), "best")
-
-register("cons_k_friends", Workload(
-    _even(200, "array(named_struct('rel', 'friends', 'k', 2))"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, 200, 3),
-    [FLIGHTS, DATA, ring_sql(200, 3), _even_sql(200, 2)], BY_AIRLINE,
-), "best")
-
-register("cons_two_friend_rels", Workload(
-    _even(200, "array(named_struct('rel', 'ring', 'k', 1), named_struct('rel', 'pair', 'k', 1))"), T.flights, "flight_id", ["destination", "day"],
-    lambda s, d: T.friends_ring(s, d, 200, 3).withColumn("rel", F.lit("ring")).unionByName(
-        T.customers(s, d, 200).select(F.col("c_custkey").alias("user"), F.expr("c_custkey ^ 1").alias("friend"), F.lit("pair").alias("rel"))),
-    [FLIGHTS, DATA, ring_sql(200, 3, "ring", "ring"), "fr AS (SELECT * FROM ring UNION ALL SELECT c_custkey, xor(c_custkey, 1), 'pair' FROM customer WHERE c_custkey < 200)",
-     _even_sql(200).replace("ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)", "ask AS (SELECT qid, rel, 1 AS k FROM req, (VALUES ('ring'), ('pair')) t(rel))")],
+), "best", 100)
+
+register("cons_k_friends", lambda n: Workload(
+    _even(n, "array(named_struct('rel', 'friends', 'k', 2))"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 3),
+    [FLIGHTS, DATA, ring_sql(n, 3), _even_sql(n, 2)], BY_AIRLINE,
+), "best", 200)
+
+register("cons_two_friend_rels", lambda n: Workload(
+    _even(n, "array(named_struct('rel', 'ring', 'k', 1), named_struct('rel', 'pair', 'k', 1))"), T.flights, "flight_id", ["destination", "day"],
+    lambda s, d: T.friends_ring(s, d, n, 3).withColumn("rel", F.lit("ring")).unionByName(
+        T.customers(s, d, n).select(F.col("c_custkey").alias("user"), F.expr("c_custkey ^ 1").alias("friend"), F.lit("pair").alias("rel"))),
+    [FLIGHTS, DATA, ring_sql(n, 3, "ring", "ring"), "fr AS (SELECT * FROM ring UNION ALL SELECT c_custkey, xor(c_custkey, 1), 'pair' FROM customer WHERE " + within(n) + ")",
+     _even_sql(n).replace("ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)", "ask AS (SELECT qid, rel, 1 AS k FROM req, (VALUES ('ring'), ('pair')) t(rel))")],
     BY_AIRLINE,
-), "best")
+), "best", 200)
 
-register("cons_multi_relation", Workload(
-    _even(40), lambda s, d: C.joined_relation(T.flights(s, d), T.hotels(s, d).withColumnRenamed("location", "destination"), ["destination"]), ("flight_id", "hotel_id"),
-    ["destination", "day", "hotel_id"], lambda s, d: T.friends_ring(s, d, 40, 2),
-    [FLIGHTS, "data AS (SELECT flights.*, s_suppkey AS hotel_id FROM flights JOIN nation ON n_name = destination JOIN supplier ON s_nationkey = n_nationkey)", ring_sql(40, 2), _even_sql(40)],
+register("cons_multi_relation", lambda n: Workload(
+    _even(n), lambda s, d: C.joined_relation(T.flights(s, d), T.hotels(s, d).withColumnRenamed("location", "destination"), ["destination"]), ("flight_id", "hotel_id"),
+    ["destination", "day", "hotel_id"], lambda s, d: T.friends_ring(s, d, n, 2),
+    [FLIGHTS, "data AS (SELECT flights.*, s_suppkey AS hotel_id FROM flights JOIN nation ON n_name = destination JOIN supplier ON s_nationkey = n_nationkey)", ring_sql(n, 2), _even_sql(n)],
     BY_AIRLINE,
-), "assignment")
+), "assignment", 40)
 
-register("cons_same_tuple", Workload(
-    lambda s, d: _even(30)(s, d).withColumn("same_tuple", F.lit(True)), T.flights, "flight_id", ["destination", "day", "flight_id"], lambda s, d: T.friends_ring(s, d, 30, 2),
-    [FLIGHTS, DATA, ring_sql(30, 2), _even_sql(30)], BY_AIRLINE,
-), "best")
+register("cons_same_tuple", lambda n: Workload(
+    lambda s, d: _even(n)(s, d).withColumn("same_tuple", F.lit(True)), T.flights, "flight_id", ["destination", "day", "flight_id"], lambda s, d: T.friends_ring(s, d, n, 2),
+    [FLIGHTS, DATA, ring_sql(n, 2), _even_sql(n)], BY_AIRLINE,
+), "best", 30)
 
-register("cons_named_only", Workload(
-    _even(60, T.NO_ASK, "array((user + 1) % 60)"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, 60, 1),
-    [FLIGHTS, DATA, ring_sql(60, 1), _even_sql(60).split(",\nnamed")[0] + ", named AS (SELECT qid, (qid + 1) % 60 AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
+
+def _next_user(s, d, n):
+    """Everyone names the next id, the last the first."""
+    c = T.customers(s, d, n).withColumn("user", F.col("c_custkey"))
+    size = F.broadcast(c.agg((F.max("user") + 1).alias("size"))) if n is None else F.broadcast(s.range(1).select(F.lit(n).alias("size")))
+    return T.requests(c.join(size, how="cross"), EVEN_AIRLINE, "array((user + 1) % size)", T.NO_ASK, "c_acctbal")
+
+
+register("cons_named_only", lambda n: Workload(
+    lambda s, d: _next_user(s, d, n), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 1),
+    [FLIGHTS, DATA, ring_sql(n, 1), _even_sql(n).split(",\nnamed")[0] + ", named AS (SELECT qid, (qid + 1) % " + ("(SELECT max(c_custkey) + 1 FROM customer)" if n is None else str(n)) + " AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
     BY_AIRLINE,
-), "sets")
+), "sets", 60)
 
 
 def _parties() -> Workload:
@@ -325,17 +363,17 @@ SQL["cons_composite_key"] = _parties().sql() + """, best AS (SELECT * FROM sets
 SELECT unnest(ids) AS user, party_type, CAST(party_day AS VARCHAR) AS party_day FROM best"""
 
 
-def _rollup(spark, d):
-    s = travel().run(spark, d).sets
+def _rollup(spark, d, n=REQUESTS):
+    s = travel(n=n).run(spark, d).sets
     return s.rollup("destination", F.year("day").cast("string").alias("y")).agg(F.count("*").alias("n_sets"), F.max("n").alias("largest"))
 
 
-def _topk(spark, d):
-    r = travel().run(spark, d)
+def _topk(spark, d, n=REQUESTS):
+    r = travel(n=n).run(spark, d)
     return shown(largest().ranked(r.sets, r.coord, 10), *r.coord, "n")
 
 
-Q |= {"set_size_rollup": _rollup, "topk_sets": _topk}
+Q |= both({"set_size_rollup": _rollup, "topk_sets": _topk})
 SQL["set_size_rollup"] = travel().sql() + "SELECT destination, CAST(year(day) AS VARCHAR) AS y, count(*) AS n_sets, max(n) AS largest FROM sets GROUP BY ROLLUP (destination, CAST(year(day) AS VARCHAR))"
 SQL["topk_sets"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n FROM sets ORDER BY n DESC, destination, day LIMIT 10"
 

@@ -12,7 +12,7 @@ from concord.operators import consistent as C
 from concord.operators import scc as S
 from concord.operators import single as O
 from concord.operators import verify as V
-from concord.plans.consistent_queries import survivors_sql
+from concord.plans.consistent_queries import both, survivors_sql
 from concord.runtime import shared_dir
 from concord.sources import entangled as E
 from concord.sources import tables as T
@@ -157,12 +157,16 @@ SQL["session_counts"] = "SELECT user_id AS user, count(*) FILTER (p IS NULL OR t
 # ---------------------------------------------------------------- reports
 
 
-def _intersect(s, d):
-    a, b = T.friends_ring(s, d, 200, 3), T.friends_ring(s, d, 200, 1)
+def _intersect(s, d, n=200):
+    a, b = T.friends_ring(s, d, n, 3), T.friends_ring(s, d, n, 1)
     return a.exceptAll(b).intersect(a).select("user", "friend")
 
 
-Q["friend_intersect"] = _intersect
+def _lead(s, d, n=200):
+    return T.customers(s, d, n).select(F.col("c_custkey").alias("user"), F.lead("c_custkey", 1, -1).over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
+
+
+Q |= both({"friend_intersect": _intersect, "request_lead": _lead})
 
 
 def _ring(n, k):
@@ -171,7 +175,6 @@ def _ring(n, k):
 
 SQL["friend_intersect"] = f"""WITH r AS (SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer WHERE c_custkey < 200)
 SELECT DISTINCT * FROM ({_ring(200, 3)}) EXCEPT SELECT * FROM ({_ring(200, 1)})"""
-Q["request_lead"] = lambda s, d: T.customers(s, d, 200).select(F.col("c_custkey").alias("user"), F.lead("c_custkey", 1, -1).over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
 SQL["request_lead"] = "SELECT c_custkey AS user, lead(c_custkey, 1, -1) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS next_user FROM customer WHERE c_custkey < 200"
 Q["props_json"] = lambda s, d: T.table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n"))
 SQL["props_json"] = "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1"
