@@ -325,20 +325,24 @@ def call_counts(requests: DataFrame, best: DataFrame) -> DataFrame:
     return n.join(F.broadcast(best.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("final"))), how="cross")
 
 
-def pack_values(run: Consistent, requests: DataFrame, limit: int = 100) -> DataFrame:
-    """Greedy packing of disjoint users over values: the best set, then the best of what remains after its users, and so on."""
-    out, vq = None, cut(run.vq)
-    edges = cut(run.edges)
-    for k in range(limit):
-        sets = value_sets(clean(vq, edges, requests, run.coord), requests, run.coord)
-        best = cut(largest().pick(sets, run.coord))
-        if best.isEmpty():
-            break
+def pack_values(run: Consistent, requests: DataFrame, limit: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """Greedy packing of disjoint users over values: the best set, then the best of what remains after its users, and so on.
+
+    Gives the places and the remainder: (coordination attributes, qid) of the users that a further place could still take. Without
+    a limit the packing ends when no set is left, so the remainder is empty; a limit asks for the first places only. Users that no later place
+    can hold are dropped as soon as they fall out, since the greatest set of fewer users lies in that of more.
+    """
+    empty = run.best.select(F.lit(0).alias("place"), *run.coord, "n", "members").where("false")
+    edges, alive = cut(run.edges), cut(run.survivors)
+    out, k = None, 0
+    while not alive.isEmpty() and (limit is None or k < limit):
+        best = cut(largest().pick(value_sets(alive, requests, run.coord), run.coord))
         picked = best.select(F.lit(k).alias("place"), *run.coord, "n", "members")
-        out = picked if out is None else out.unionByName(picked)
+        out = cut(picked if out is None else out.unionByName(picked))
         used = best.select(F.explode("ids").alias("qid"))
-        vq = cut(vq.join(used, "qid", "left_anti"))
-    return out if out is not None else run.best.select(F.lit(0).alias("place"), *run.coord, "n", "members").where("false")
+        alive = cut(clean(alive.join(used, "qid", "left_anti"), edges, requests, run.coord))
+        k += 1
+    return out if out is not None else empty, alive
 
 
 def joined_relation(left: DataFrame, right: DataFrame, on: list[str] | Column) -> DataFrame:

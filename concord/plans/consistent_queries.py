@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from concord.operators import consistent as C
 from concord.operators.select import Selection, containing, first, largest, most_weight
+from concord.runtime import cut, keep
 from concord.sources import tables as T
 
 Q: dict = {}
@@ -201,7 +202,14 @@ def _clean_by_rounds(spark, d):
     return shown(C.value_sets(C.clean(few, C.pruned_graph(requests, friends, vq), requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
 
 
-Q["clean_rounds"] = _clean_by_rounds
+def _clean_all_by_rounds(spark, d):
+    w, requests, friends, vq = _parts(spark, d, None)
+    vq = keep(vq)
+    edges = cut(C.pruned_graph(requests, friends, vq))
+    return shown(C.value_sets(C.clean(vq, edges, requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
+
+
+Q |= {"clean_rounds": _clean_by_rounds, "clean_rounds_all": _clean_all_by_rounds}
 SQL["clean_rounds"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n, members FROM sets WHERE month(day) = 3 AND year(day) = 1997"
 
 
@@ -218,7 +226,7 @@ SQL["cons_call_counts"] = travel().sql() + """SELECT (SELECT count(*) FROM req)
 def _pack(spark, d):
     w = _parties()
     r = w.run(spark, d)
-    return shown(C.pack_values(r, w.requests(spark, d), 5), "place", *r.coord, "n", "members")
+    return shown(C.pack_values(r, w.requests(spark, d))[0], "place", *r.coord, "n", "members")
 
 
 # ---------------------------------------------------------------- scaling experiments

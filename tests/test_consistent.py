@@ -158,3 +158,27 @@ def test_early_stop_finds_the_same_set(spark):
     run = C.consistent_coordinate(requests, data, "flight_id", ["destination", "day"], friends)
     best, cleaned = C.largest_with_early_stop(run.vq, run.edges, requests, run.coord, 5)
     assert [tuple(r) for r in best.collect()] == [tuple(r) for r in run.best.collect()] and 0 < cleaned <= C.candidates(run.vq, run.coord).count()
+
+
+def test_packing_ends_when_no_set_is_left(spark):
+    places = [f"p{i}" for i in range(8)]
+    table = spark.createDataFrame([(i, p, "s") for i, p in enumerate(places)], "key long, town string, kind string")
+    rows, pairs = [], []
+    for i, p in enumerate(places):  # a pair a place; the first user of each may also go anywhere
+        rows += [(2 * i, {}, [], [("friends", 1)]), (2 * i + 1, {"town": p}, [], [("friends", 1)])]
+        pairs += [(2 * i, 2 * i + 1), (2 * i + 1, 2 * i)]
+    requests = small(spark, rows)
+    run = C.consistent_coordinate(requests, table, "key", ["town"], friends_of(spark, pairs))
+    got, rest = C.pack_values(run, requests)
+    assert [(r["place"], r["members"]) for r in got.orderBy("place").collect()] == [(i, f"{2 * i},{2 * i + 1}") for i in range(8)] and rest.isEmpty()
+    some, rest = C.pack_values(run, requests, 6)
+    assert some.count() == 6 and {r["qid"] for r in rest.collect()} == {12, 13, 14, 15}
+
+
+def test_rounds_clean_every_value(spark, tmp_path):
+    from concord.plans import catalogue
+
+    for t in ("nation", "customer", "orders"):
+        spark.read.parquet(f"{D}/{t}.parquet").where("o_orderkey % 40 = 0" if t == "orders" else "true").write.parquet(f"{tmp_path}/{t}.parquet")
+    rounds, local = (sorted(map(tuple, catalogue.queries()[q](spark, str(tmp_path)).collect())) for q in ("clean_rounds_all", "clean_survivors_all"))
+    assert rounds == local and len({day[:7] for _, day, _, _ in rounds}) > 1
