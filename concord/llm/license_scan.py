@@ -1,8 +1,10 @@
 """Licence recognition by sentence rules, in JVM-side expressions only.
 
-A text is cut into sentences at line ends and at sentence marks before white space. A sentence is normalised (ASCII lower
-case, everything but ASCII letters and digits to single spaces) and looked up in a table of known licence sentences,
-which gives its identifier. Rules are ordered sequences of identifiers. A rule matches
+A text is cut into pieces at line ends and at sentence marks before white space. A piece is normalised (ASCII lower
+case, everything but ASCII letters and digits to single spaces, which also removes comment marks). Known licence sentences are
+looked up among the pieces and among joins of pieces on consecutive lines, since sentences may be wrapped: the leftmost, then
+longest join counts, and none goes over a sentence mark or a blank line (one without letters and digits). The table of known
+sentences gives the identifier. Rules are ordered sequences of identifiers. A rule matches
 where its identifiers follow one another in the sequence of the recognised sentences of a text; other
 sentences may stand between. Rules are tried in order of priority: a match is
 reported only if none of its sentences lies in a match of an earlier rule.
@@ -21,7 +23,7 @@ from pyspark.sql import functions as F
 from concord.llm.native import let
 
 MAX_SENTENCES = 10_000
-CUT = r"[.!?;]+\s+|[\r\n]+"
+MARK, LINE = r"[.!?;]+\s+", r"\r\n|[\r\n]"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -85,23 +87,48 @@ HIT = "array<struct<rule:int,first:int,last:int>>"
 def licences(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """(doc_id, n_sentences, sentence_ids, hits, licenses).
 
-    ``hits`` holds (rule, first, last) with rule the 0-based place in the table and first and last the
-    0-based sentence numbers, by first sentence; ``licenses`` names the different licences in alphabetical order, comma-joined.
+    ``n_sentences`` counts the pieces. ``hits`` holds (rule, first, last) with rule the 0-based place in the table and first and last the
+    0-based numbers of the first and the last piece, by first piece; ``licenses`` names the different licences in alphabetical order, comma-joined.
     """
     known = identifiers(rules)
     ids = F.create_map(*[F.lit(x) for pair in known.items() for x in pair])
     sequences = [[known[normal(s)] for s in r.sentences] for r in rules]
     text = F.coalesce(docs["text"].cast("string"), F.lit(""))
 
-    def recognised(pieces: Column) -> Column:  # of the sentences that are known: (id, number), in order
-        placed = F.transform(pieces, lambda s, i: F.struct(F.element_at(ids, _normalised(s)).alias("id"), i.alias("at")))
-        return F.filter(placed, lambda x: x["id"].isNotNull())
+    wrapped = [k for k in known if " " in k]
+    longest = max((len(k.split()) for k in wrapped), default=1)  # pieces of one word at least
+
+    def begins(joined: Column) -> Column:  # a known sentence, which has more words
+        return F.exists(F.array(*[F.lit(k) for k in wrapped]).cast("array<string>"), lambda k: F.startswith(k, F.concat(joined, F.lit(" "))))
+
+    def join(pieces: Column, i: Column) -> Column:  # the longest known sentence from piece i: (id, at, to)
+        start = F.struct(F.lit("").alias("joined"), i.alias("next"), F.lit(True).alias("open"), F.lit(None).cast("int").alias("id"), i.alias("to"))
+
+        def step(acc: Column, p: Column) -> Column:
+            def grown(j: Column) -> Column:
+                return let(F.element_at(ids, j), lambda v: F.struct(
+                    j.alias("joined"), (acc["next"] + 1).alias("next"), (~p["ends"] & begins(j)).alias("open"),
+                    F.coalesce(v, acc["id"]).alias("id"), F.when(v.isNotNull(), acc["next"]).otherwise(acc["to"]).alias("to"),
+                ))
+
+            return F.when(acc["open"], let(F.ltrim(F.concat_ws(" ", acc["joined"], p["s"])), grown)).otherwise(acc)
+
+        return F.aggregate(F.slice(pieces, i + 1, longest), start, step, lambda acc: F.struct(acc["id"].alias("id"), i.alias("at"), acc["to"].alias("to")))
+
+    def recognised(pieces: Column) -> Column:  # of the sentences that are known: (id, first piece, last piece), in order
+        placed = F.transform(pieces, lambda p, i: F.when(~p["ends"] & begins(p["s"]), join(pieces, i)).otherwise(F.struct(F.element_at(ids, p["s"]).alias("id"), i.alias("at"), i.alias("to"))))
+        seen = F.filter(placed, lambda x: x["id"].isNotNull())
+
+        def apart(v: Column) -> Column:
+            return F.aggregate(v, F.slice(v, 1, 0), lambda acc, x: F.when((F.size(acc) > 0) & (F.get(acc, F.size(acc) - 1)["to"] >= x["at"]), acc).otherwise(F.array_append(acc, x)))
+
+        return let(seen, lambda v: F.when(F.exists(v, lambda x: x["to"] > x["at"]), apart(v)).otherwise(v))
 
     def matched(seen: Column, k: int, sequence: list[int]) -> Column:
         n, want = len(sequence), F.array(*[F.lit(v) for v in sequence])
 
         def here(x: Column, i: Column) -> Column:
-            hit = F.struct(F.lit(k).alias("rule"), x["at"].alias("first"), F.get(seen, i + n - 1)["at"].alias("last"))
+            hit = F.struct(F.lit(k).alias("rule"), x["at"].alias("first"), F.get(seen, i + n - 1)["to"].alias("last"))
             return F.when(F.transform(F.slice(seen, i + 1, n), lambda y: y["id"]) == want, hit)
 
         return F.filter(F.transform(seen, here), lambda h: h.isNotNull())
@@ -119,7 +146,9 @@ def licences(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
         return F.array_sort(done, lambda a, b: F.when(a["first"] < b["first"], -1).when(a["first"] > b["first"], 1).otherwise(0))
 
     one = docs.select(docs["doc_id"].alias("doc_id"), text.alias("text"))
-    pieces = F.filter(F.split("text", CUT, -1), lambda s: _normalised(s) != "")
+    # the lines of the stretches between sentence marks, each stretch closed by an empty line, which like a blank one ends a piece's joins
+    lines = F.flatten(F.transform(F.split("text", MARK, -1), lambda part: F.array_append(F.transform(F.split(part, LINE, -1), _normalised), F.lit(""))))
+    pieces = let(lines, lambda v: F.filter(F.transform(v, lambda s, i: F.struct(s.alias("s"), (F.get(v, i + 1) == "").alias("ends"))), lambda p: p["s"] != ""))
     made = let(pieces, lambda p: F.struct(F.size(p).cast("long").alias("n_sentences"), recognised(p).alias("seen")))
     made = let(made, lambda m: F.struct(m["n_sentences"].alias("n_sentences"), m["seen"].alias("seen"), F.when(F.size(m["seen"]) > 0, hits(m["seen"])).otherwise(F.array().cast(HIT)).alias("hits")))
     names = F.array(*[F.lit(r.licence) for r in rules])

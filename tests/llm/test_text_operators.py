@@ -275,6 +275,26 @@ def test_licence_rules(spark):
     assert {r["doc_id"]: r["licenses"] for r in one.collect()} == {1: "LONG", 2: "SHORT"}
 
 
+def test_wrapped_licences(spark):
+    import textwrap
+
+    texts, want = [], []
+    for k in (0, 1, 2):
+        rule = license_scan.RULES[k]
+        for width, mark, end in ((75, "", "\n"), (70, " * ", "\r\n"), (60, "# ", "\n"), (40, "// ", "\n"), (12, "", "\n")):
+            body = (mark.rstrip() + end).join(end.join(mark + x for x in textwrap.wrap(("1. " if k == 1 else "") + s, width, break_long_words=False, break_on_hyphens=False)) + end for s in rule.sentences)
+            texts.append(f"{mark}Copyright 2020{end}{body}{mark.rstrip()}{end}{mark}more words{end}")
+            want.append(rule.licence)
+    texts += ["Licensed under the\n\nMIT License.", "Licensed under the.\nMIT License.", "Licensed under the\n *\nMIT License.", "Licensed under\nthe MIT\nLicense. Licensed under the MIT\nLicense.\n"]
+    want += ["", "", "", "MIT"]
+    got = {r["doc_id"]: r for r in license_scan.licences(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[i]["licenses"] for i in range(len(texts))] == want
+    assert [tuple(h) for h in got[len(texts) - 1]["hits"]] == [(4, 0, 2), (4, 3, 4)]
+    rules = (license_scan.Rule("LONG", ("p q.",)), license_scan.Rule("SHORT", ("q.",)), license_scan.Rule("HEAD", ("p.",)))
+    one = license_scan.licences(spark.createDataFrame([(1, "p\nq\nq"), (2, "p\nr\nq")], "doc_id long, text string"), rules)
+    assert {r["doc_id"]: [tuple(h) for h in r["hits"]] for r in one.collect()} == {1: [(0, 0, 1), (1, 2, 2)], 2: [(2, 0, 0), (1, 2, 2)]}
+
+
 # ---------------------------------------------------------------- tokens
 
 
