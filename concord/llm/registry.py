@@ -28,7 +28,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_gif": lambda spark, d: gif.media_digest(_docs(spark, d)),
         "op2_simhash": lambda spark, d: simhash.near_duplicates(_docs(spark, d)),
         "op3_sharding": lambda spark, d: sharding.shard(_docs(spark, d)),
-        "op4_secrets": lambda spark, d: secret_scan.secrets(_docs(spark, d)),
+        "op4_secrets": lambda spark, d: secret_scan.secrets(_docs(spark, d), by_window=True),
         "op5_licenses": lambda spark, d: license_scan.license_report(_docs(spark, d)),
         "op6_bpe": lambda spark, d: bpe.token_digest(_docs(spark, d), VOCABULARY, public_tokenizers.PATTERN),
         "op7_pii": lambda spark, d: pii.personal_data(_docs(spark, d)),

@@ -6,10 +6,14 @@ or more hexadecimal digits), as the leftmost non-overlapping matches of their pa
 The method adds ``entropy`` spans. Candidate strings are runs of 20 or more of the base64 and identifier
 characters that hold a digit and a letter. A window of 20 characters slides over a candidate; its Shannon
 entropy is kept up to date from the counts of the character that leaves and the one that enters. The
-span goes from the first to the last window above the threshold of the candidate's character class
-(hexadecimal digits, one letter case with digits, or mixed). Candidates that match the allow-list
-(documentation placeholders, counting sequences, long repeats, UUIDs) are suppressed. An entropy span may
-lie inside or across a base span; it then corroborates it.
+span goes from the first to the last window above its threshold. An entropy span may lie inside or across a base span; it then
+corroborates it. The threshold belongs to a character class (hexadecimal digits, one letter case with digits, or mixed), and an
+allow-list holds documentation placeholders, counting sequences, long repeats and UUIDs. Both are applied in two ways:
+
+- by window (the query): every window has the class of its own characters. Matches of the allow-list cut a candidate into
+  sections, so that just the windows that overlap a match are left out, and each section has a span of its own. A candidate
+  that is a UUID as a whole is suppressed.
+- by candidate: the class is that of the whole candidate, and any match of the allow-list suppresses all of it.
 
 Offsets count code points, ends are exclusive. A null text is an empty one and gives no span; rows are independent, so ids may
 be null or repeat.
@@ -29,7 +33,9 @@ ASSIGN = r"((?i:password|passwd|secret|token|api_?key))[\"']?\x20*[:=]\x20*[\"']
 ACCESS = r"AKIA[A-Z0-9]{16,}"
 HEX = r"[0-9a-f]{24,}"
 CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
-ALLOW = r"(?i)example|sample|placeholder|changeme|dummy|your_|(.)\1{7,}|abcdefgh|01234567|12345678|98765432|^[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}$"
+ALLOWED = ("example", "sample", "placeholder", "changeme", "dummy", "your_", r"(.)\1{7,}", "abcdefgh", "01234567", "12345678", "98765432")
+ALLOWED_WHOLE = "^[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}$"
+ALLOW = "(?i)" + "|".join((*ALLOWED, ALLOWED_WHOLE))
 WINDOW = 20
 #: Bits below which a window of a character class is not taken for random.
 LEAST_BITS = (("^[0-9a-f]+$|^[0-9A-F]+$", 3.0), ("^[^a-z]+$|^[^A-Z]+$", 3.5), ("", 3.8))
@@ -44,32 +50,47 @@ def _count(window: Column, char: Column) -> Column:
     return F.length(window) - F.length(F.replace(window, char, F.lit("")))
 
 
-def _hot(text: Column) -> Column:
-    """struct(first, last): 0-based starts of the first and last window above the threshold of the text's class; nulls if none is."""
-    least = F.lit(LEAST_BITS[-1][1])
+def _most(bits: float) -> float:
+    """entropy >= bits  <=>  sum of count*log2(count) <= this"""
+    return WINDOW * (math.log2(WINDOW) - bits) + 1e-9
+
+
+def _hot(text: Column, by_window: bool) -> Column:
+    """struct(first, last): 0-based starts of the first and last window above the threshold of the window's or the text's class; nulls if none is."""
+    most = F.lit(_most(LEAST_BITS[-1][1]))
     for pattern, bits in reversed(LEAST_BITS[:-1]):
-        least = F.when(text.rlike(pattern), F.lit(bits)).otherwise(least)
-    # entropy >= least  <=>  sum of count*log2(count) <= WINDOW * (log2(WINDOW) - least)
-    most = let(least, lambda b: WINDOW * (math.log2(WINDOW) - b) + 1e-9)
+        most = F.when(text.rlike(pattern), F.lit(_most(bits))).otherwise(most)
+    most = F.lit(_most(LEAST_BITS[0][1])) if by_window else most  # by window: the widest bound, before the classes
     opening = F.substring(text, 1, WINDOW)
     letters = F.array_distinct(F.filter(F.split(opening, ""), lambda c: c != ""))
     weight = F.aggregate(letters, F.lit(0.0), lambda acc, c: acc + _weight(_count(opening, c)))
 
     def slide(s: Column) -> Column:
         t, bound = s["t"], s["most"]
-        first = F.when(s["w"] <= bound, F.lit(0)).otherwise(F.lit(None).cast("int"))
+
+        def above(w: Column, k: Column) -> Column:
+            if not by_window:
+                return w <= bound
+            # bits grow along LEAST_BITS, so a window passes by its own class exactly if it passes by any class it matches
+            passes = w <= _most(LEAST_BITS[-1][1])
+            for pattern, bits in LEAST_BITS[:-1]:
+                passes = passes | ((w <= _most(bits)) & F.substr(t, k + 1, F.lit(WINDOW)).rlike(pattern))
+            return (w <= bound) & passes
+
+        first = F.when(above(s["w"], F.lit(0)), F.lit(0)).otherwise(F.lit(None).cast("int"))
         begin = F.struct(s["w"].alias("w"), first.alias("first"), first.alias("last"))
 
         def step(acc: Column, k: Column) -> Column:  # window k: character k leaves, character k + WINDOW enters
             inner = F.substr(t, k + 1, F.lit(WINDOW - 1))
             out, into = _count(inner, F.substr(t, k, F.lit(1))), _count(inner, F.substr(t, k + WINDOW, F.lit(1)))
             w = let(F.struct(out.alias("o"), into.alias("i")), lambda c: acc["w"] - _weight(c["o"] + 1) + _weight(c["o"]) + _weight(c["i"] + 1) - _weight(c["i"]))
+            judged = let(w, lambda v: F.struct(v.alias("w"), above(v, k).alias("hot")))
             return let(
-                w,
+                judged,
                 lambda v: F.struct(
-                    v.alias("w"),
-                    F.when(acc["first"].isNull() & (v <= bound), k).otherwise(acc["first"]).alias("first"),
-                    F.when(v <= bound, k).otherwise(acc["last"]).alias("last"),
+                    v["w"].alias("w"),
+                    F.when(acc["first"].isNull() & v["hot"], k).otherwise(acc["first"]).alias("first"),
+                    F.when(v["hot"], k).otherwise(acc["last"]).alias("last"),
                 ),
             )
 
@@ -91,30 +112,57 @@ def _base(text: Column) -> Column:
     return F.array_sort(F.concat(_spans(assign, 0), _spans(matches(text, ACCESS), 1), _spans(matches(text, HEX), 2)))
 
 
-def _entropy(text: Column) -> Column:
-    mixed = lambda m: m["text"].rlike("[0-9]") & m["text"].rlike("[A-Za-z]") & ~m["text"].rlike(ALLOW)
-    hot = F.transform(
-        F.filter(matches(text, CANDIDATE), mixed),
-        lambda m: let(_hot(m["text"]), lambda h: F.struct((m["start"] + h["first"]).alias("start"), (m["start"] + h["last"] + WINDOW).alias("end"))),
-    )
+def _every(part: str) -> str:
+    """A pattern whose matches also cover the occurrences of a word that overlap: example, then xample after it."""
+    border = next((n for n in range(len(part) - 1, 0, -1) if part[:n] == part[-n:]), 0)
+    return f"(?i){part}(?:{part[border:]})*" if border else f"(?i){part}"
+
+
+def _sections(text: Column) -> Column:
+    """array<struct<at, text>>: the stretches of a candidate between the allow-list's matches that hold a window."""
+    found = lambda p: F.transform(matches(text, p), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end")))
+
+    def between(spans: Column) -> Column:
+        ends = F.array_append(spans, F.struct(F.length(text).alias("start"), F.length(text).alias("end")))
+        begin = F.struct(F.lit(0).alias("pos"), F.array().cast("array<struct<at:int,text:string>>").alias("out"))
+
+        def step(acc: Column, m: Column) -> Column:
+            free = F.struct(acc["pos"].alias("at"), F.substr(text, acc["pos"] + 1, m["start"] - acc["pos"]).alias("text"))
+            out = F.when(m["start"] - acc["pos"] >= WINDOW, F.array_append(acc["out"], free)).otherwise(acc["out"])
+            return F.struct(F.greatest(acc["pos"], m["end"]).alias("pos"), out.alias("out"))
+
+        return F.aggregate(ends, begin, step, lambda acc: acc["out"])
+
+    whole = F.array(F.struct(F.lit(0).alias("at"), text.alias("text")))
+    cut = let(F.array_sort(F.concat(*[found(_every(p)) for p in ALLOWED])), between)
+    return F.when(~text.rlike(ALLOW), whole).when(~text.rlike(f"(?i){ALLOWED_WHOLE}"), cut).otherwise(F.slice(whole, 1, 0))
+
+
+def _entropy(text: Column, by_window: bool) -> Column:
+    mixed = lambda m: m["text"].rlike("[0-9]") & m["text"].rlike("[A-Za-z]") & (F.lit(by_window) | ~m["text"].rlike(ALLOW))
+    found = F.transform(F.filter(matches(text, CANDIDATE), mixed), lambda m: F.struct(m["start"].alias("at"), m["text"].alias("text")))
+    if by_window:
+        placed = lambda m: F.transform(_sections(m["text"]), lambda c: F.struct((m["at"] + c["at"]).alias("at"), c["text"].alias("text")))
+        found = F.flatten(F.transform(found, placed))
+    hot = F.transform(found, lambda m: let(_hot(m["text"], by_window), lambda h: F.struct((m["at"] + h["first"]).alias("start"), (m["at"] + h["last"] + WINDOW).alias("end"))))
     return _spans(F.filter(hot, lambda h: h["start"].isNotNull()), 3)
 
 
-def find_secrets(docs: DataFrame) -> DataFrame:
+def find_secrets(docs: DataFrame, by_window: bool = False) -> DataFrame:
     """(doc_id, base, added): the base spans by start, then kind, and the spans that the entropy scan adds."""
     text = F.coalesce(docs["text"].cast("string"), F.lit(""))
     one = docs.select(docs["doc_id"].alias("doc_id"), text.alias("text"))
-    return one.select("doc_id", _base(F.col("text")).alias("base"), _entropy(F.col("text")).alias("added"))
+    return one.select("doc_id", _base(F.col("text")).alias("base"), _entropy(F.col("text"), by_window).alias("added"))
 
 
 def _listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def secrets(docs: DataFrame) -> DataFrame:
+def secrets(docs: DataFrame, by_window: bool = False) -> DataFrame:
     """Counts and digests of the spans of every whole text."""
     number = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
-    return find_secrets(docs).select(
+    return find_secrets(docs, by_window).select(
         "doc_id", *[number(k) for k in KINDS[:3]],
         F.sha2(_listed(F.col("base")).cast("binary"), 256).alias("base_sha256"),
         _listed(F.array_sort(F.concat("base", "added"))).alias("spans"),

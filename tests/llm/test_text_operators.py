@@ -256,6 +256,43 @@ def test_secrets_against_brute_force(spark):
     assert sum("entropy" in v[4] for v in got.values()) > 100
 
 
+def test_secrets_by_window(spark):
+    rnd = random.Random(8)
+    make = lambda n, letters: "".join(rnd.choice(letters) for _ in range(n))
+    mixed = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    key = "9F86D081884C7D659A2FEAA0C55AD015A3BF4F1B2B0B822CD15D6C15B0F00A08"
+    texts = [f"/srv/examples/{make(40, mixed)}", f"Key={key}", f"b3BlbnNzaC1rZXktdjEAAAAABG5vbmUAAAAEbm9uZQAAAAAAAAABAAAA{make(80, mixed)}", "examplexample1234", "550e8400-e29b-41d4-a716-446655440000", "id550e8400-e29b-41d4-a716-446655440000"]
+    bits_ = ["example", "Sample", "dummy", "your_", "xample", "aaaaaaaa", "=", "/", "01234567", "8"]
+    for _ in range(250):
+        texts.append("".join(rnd.choice(bits_) if rnd.random() < 0.4 else make(rnd.randint(1, 45), rnd.choice((mixed, "0123456789abcdef", "ABCDEF0123456789"))) for _ in range(rnd.randint(1, 6))))
+
+    def spans(t):  # every window for itself; a span ends where a match of the allow-list lies between windows
+        out = []
+        for m in re.finditer(secret_scan.CANDIDATE, t):
+            c = m[0]
+            if not (re.search("[0-9]", c) and re.search("[A-Za-z]", c)) or re.search(f"(?i){secret_scan.ALLOWED_WHOLE}", c):
+                continue
+            bad = {j for p in secret_scan.ALLOWED for k in range(len(c)) if (x := re.compile(f"(?i){p}").match(c, k)) for j in range(k, x.end())}
+            last = None
+            for k in range(len(c) - 19):
+                w = c[k : k + 20]
+                least = next(b for p, b in secret_scan.LEAST_BITS if re.search(p, w))
+                if bad & set(range(k, k + 20)) or -sum(n / 20 * math.log2(n / 20) for n in Counter(w).values()) < least - 1e-9:
+                    continue
+                if last is not None and not bad & set(range(last, k)):
+                    out[-1][1] = m.start() + k + 20
+                else:
+                    out.append([m.start() + k, m.start() + k + 20])
+                last = k
+        return out
+
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: [[x["start"], x["end"]] for x in r["added"]] for r in secret_scan.find_secrets(df, by_window=True).collect()}
+    assert [got[i] for i in range(len(texts))] == [spans(t) for t in texts]
+    assert got[0] and got[1] and got[2][-1][1] > 100 and not got[3] and not got[4]
+    assert not any(r["added"] for r in secret_scan.find_secrets(df).where("doc_id < 3").collect())
+
+
 def test_native_scans_survive_awkward_rows(docs):
     n = docs.count()
     assert secret_scan.secrets(docs).count() == n == license_scan.license_report(docs).count()
