@@ -8,8 +8,8 @@ logistic model over both views' log-odds, learnt from labelled documents, calibr
 At most ``TEACHERS`` labelled documents (the least by a hash) teach, on the driver. Everything else covers all documents: a
 pass over the text writes the features of every document to a shared table; scaling and each step on pseudo-labels
 sum over that whole table, as one array per task that Spark adds up element by element, so only sums whose number the
-features fix reach the driver. Documents whose crc32(doc_id) mod 5 is 0 are held out: neither their labels nor
-pseudo-labels of theirs teach.
+features fix reach the driver. Documents whose crc32(doc_id) mod 5 is 0 are held out: where they are labelled, neither their labels nor
+pseudo-labels of theirs teach; without a label they exchange pseudo-labels like all others.
 
 Defined results: a null text is an empty one; null metadata has its own feature value; documents that are labelled
 both ways teach nothing; without teachers of both kinds the score is 0.5 and everything is accepted; rows are
@@ -78,7 +78,7 @@ def _matrix(column: pa.Array, width: int) -> np.ndarray:
 
 
 def _features(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(doc_id, held_out, x: features of both views, y: 1, 0 or null where a label may teach) of every row."""
+    """(doc_id, held_out, x: features of both views, y: 1, 0 or null where a label may teach, kept: a label is held out) of every row."""
 
     def run(batches):
         with no_cycle_search():
@@ -93,11 +93,11 @@ def _features(docs: DataFrame, labels: DataFrame) -> DataFrame:
     taught = taught.where("low = high").select("doc_id", F.col("low").cast("double").alias("label"))
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     joined = made.join(taught, "doc_id", "left").withColumn("held_out", held)
-    return keep(joined.select("doc_id", "held_out", "x", F.when(~F.col("held_out"), F.col("label")).alias("y")))
+    return keep(joined.select("doc_id", "held_out", "x", F.when(~F.col("held_out"), F.col("label")).alias("y"), (F.col("held_out") & F.col("label").isNotNull()).alias("kept")))
 
 
 def _sum(table: DataFrame, part, width: int) -> np.ndarray:
-    """Sum over the table of ``part(x, y, held_out)``, an array of ``width`` numbers per batch."""
+    """Sum over the table of ``part(x, y, kept)``, an array of ``width`` numbers per batch."""
 
     def run(batches):
         gc.collect()  # what earlier passes of this worker have left; passes are many and short
@@ -108,7 +108,7 @@ def _sum(table: DataFrame, part, width: int) -> np.ndarray:
                 total += part(x, batch.column(1).to_numpy(zero_copy_only=False).astype(float), batch.column(2).to_numpy(zero_copy_only=False).astype(bool))
         yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.float64()))], names=["v"])
 
-    each = table.select("x", "y", "held_out").mapInArrow(run, "v array<double>")
+    each = table.select("x", "y", "kept").mapInArrow(run, "v array<double>")
     summed = each.select(F.posexplode("v").alias("k", "v")).groupBy("k").agg(F.sum("v").alias("v"))
     out = np.zeros(width)
     for r in summed.collect():  # ``width`` rows
@@ -186,7 +186,7 @@ def _teachers(table: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 def train(table: DataFrame) -> Model:
     d = N_CONTENT + N_METADATA
-    s = _sum(table, lambda x, y, held: np.concatenate([[len(x), (np.isnan(y) & ~held).sum()], x.sum(axis=0), (x * x).sum(axis=0)]), 2 + 2 * d)
+    s = _sum(table, lambda x, y, kept: np.concatenate([[len(x), (np.isnan(y) & ~kept).sum()], x.sum(axis=0), (x * x).sum(axis=0)]), 2 + 2 * d)
     n, free = max(1.0, s[0]), max(1.0, s[1])
     mean = s[2 : 2 + d] / n
     model = Model(mean, np.sqrt(np.maximum(s[2 + d :] / n - mean * mean, 1e-12)) + 1e-6)
@@ -206,9 +206,9 @@ def train(table: DataFrame) -> Model:
             now = Model(model.mean, model.scale)
             now.w = [way.w for way in ways]
 
-            def part(x, y, held, teacher=teacher, now=now):
+            def part(x, y, kept, teacher=teacher, now=now):
                 """The other view's confident answers on documents that nobody has labelled, over all documents."""
-                free = np.isnan(y) & ~held
+                free = np.isnan(y) & ~kept
                 said, seen, out = teacher.odds(x), now.views(x), []
                 for k in (0, 1):
                     p = _sigmoid(said[:, 2 - k])

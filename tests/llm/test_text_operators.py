@@ -9,6 +9,7 @@ from collections import Counter
 from pathlib import Path
 
 import public_tokenizers
+import numpy as np
 import pytest
 import tiktoken
 import xxhash
@@ -454,6 +455,13 @@ def test_quality_on_held_out_labels(spark):
     assert cotraining.accepted(docs, labels).columns == docs.columns
 
 
+def test_unlabelled_documents_all_exchange(spark):
+    docs, labels = spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
+    few = labels.where("doc_id % 3 = 0")
+    free = cotraining._sum(cotraining._features(docs, few), lambda x, y, kept: np.array([(np.isnan(y) & ~kept).sum()], float), 1)
+    assert free[0] == docs.join(few.where("quality in (0, 1)"), "doc_id", "left_anti").count() > 0
+
+
 def test_quality_without_teachers(spark, docs):
     labels = spark.createDataFrame([(1, 1, 0), (1, 0, 0), (None, 1, 0), (2, None, None)], "doc_id long, quality int, toxic int")
     rows = cotraining.quality(docs, labels).collect()
