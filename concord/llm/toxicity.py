@@ -1,31 +1,32 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained from labelled text. The ordinary one is trained on windows of ordinary text. The toxic one
-holds the same content and behind it the word beginnings that are typical of toxic text: those that occur
-in many different three-word contexts of toxic documents and in few of ordinary ones. As the two share
-their ordinary part, the difference of the compressed lengths of a window comes from toxic material alone; dictionaries
-trained apart from each other differ on every window by chance and scored 0.58 AUC where this pair scores 0.95 and more.
+Two zstandard dictionaries are trained apart from each other, one on windows of toxic, one on windows of ordinary labelled documents,
+by the same trainer with the same size and the same bounds. A document is cut into windows at spaces, every window
+is compressed with both, and what the toxic dictionary saves against the ordinary one is the window's gain. The
+sorted gains become features (greatest, mean of the three greatest, mean, upper tenth, numbers above thresholds), which a
+logistic model, fitted on documents that taught neither dictionary, turns into a probability. The decision threshold applies
+to that.
 
-A document is cut into windows at spaces, all of them are compressed with both dictionaries, and the differences become features
-(greatest, mean of the three greatest, mean, share and number above thresholds). A logistic model calibrates
-them to a probability; the decision threshold applies to that.
+Compression is by the optimal parser (``LEVEL``): the fast levels take the first match they meet, and gains are then mostly chance.
 
-Learning uses only rows whose crc32(doc_id) mod 3 is not 1, at most ``TRAIN_TOXIC`` and ``TRAIN_ORDINARY`` of them (the
-least by a hash of the id, so the choice doesn't depend on partitioning) and texts up to
-``TRAIN_BYTES``. Everything else covers all rows and whole texts. Labels, language, source and id are no inputs of a score.
+Learning uses only rows whose crc32(doc_id) mod 3 is not 1: at most ``TEACHERS`` documents a kind for the dictionaries and
+``JUDGES`` (ordinary, toxic) for the calibration, disjoint by a hash of the id, the least ones by another (so the choice doesn't depend on
+partitioning). A teacher of any length teaches, with at most ``TEACH_WINDOWS`` evenly spaced windows. Everything else covers all
+rows and whole texts. Labels, language, source and id are no inputs of a score.
 
 Defined results: a null text scores like an empty one; unlabelled, null or conflicting labels don't teach (a
 document labelled both ways is left out); with no toxic or no ordinary teacher every score is the share of
-toxic ones (0 without any).
+toxic ones (0 without any); where the calibration lacks a kind, the teachers of the dictionaries calibrate; samples too few for the
+trainer are the dictionary themselves.
 """
 
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Callable
 
 import numpy as np
+import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -33,13 +34,13 @@ from pyspark.sql import functions as F
 from concord.llm.rows import map_text
 
 WINDOW = 48
-LEVEL = 3
-ORDINARY_BYTES = 1 << 16
-TOXIC_BYTES = 1 << 13
-COPIES = 3
-TRAIN_TOXIC, TRAIN_ORDINARY, TRAIN_BYTES = 1500, 3500, 1 << 15
-STEM = range(4, 13)
-LEAST_CONTEXTS, LEAST_RATIO, LEAST_Z = 5, 6.0, 8.0
+LEVEL = 15
+DICTIONARY_BYTES = 1 << 17
+SEGMENT, GRAM = 12, 6
+TEACHERS, JUDGES, TEACH_WINDOWS = 4000, (3000, 1500), 256
+#: Of ten parts of the ids, those that calibrate.
+JUDGING = 3
+GAINS = (2, 3, 4, 5, 6, 8, 10)
 THRESHOLD = 0.7
 
 
@@ -57,75 +58,42 @@ def windows(text: str | None) -> list[bytes]:
     return out or [b""]
 
 
-def _stems(texts: list[str], seen: set[int], only: set[bytes] | None = None) -> tuple[Counter, int]:
-    """Word beginnings by the number of different contexts (a word with its neighbours) they occur in."""
-    counts, n = Counter(), 0
-    for text in texts:
-        words = [b"", *text.lower().encode().split(), b""]
-        for before, word, after in zip(words, words[1:], words[2:]):
-            context = hash((before, word, after))
-            if context in seen:
-                continue
-            seen.add(context)
-            n += 1
-            if only is None:
-                counts.update([word[:k] for k in STEM if k <= len(word)])
-            else:
-                counts.update([s for k in STEM if k <= len(word) and (s := word[:k]) in only])
-    return counts, n
-
-
-def toxic_stems(toxic: list[str], ordinary: list[str]) -> list[bytes]:
-    """Stems typical of toxic text, least frequent first. Each is the shortest such beginning, prolonged while most of its words agree."""
-    seen: set[int] = set()
-    bad, n_bad = _stems(toxic, seen)
-    often = {s for s, c in bad.items() if c >= LEAST_CONTEXTS}
-    good, n_good = _stems(ordinary, seen, often)
-
-    def typical(s: bytes) -> bool:
-        a, b = bad[s], good[s]
-        p = (a + b) / (n_bad + n_good)
-        z = (a / n_bad - b / n_good) / math.sqrt(p * (1 / n_bad + 1 / n_good))
-        return a * n_good >= LEAST_RATIO * (b + 0.5) * n_bad and z >= LEAST_Z
-
-    chosen = {s for s in often if typical(s)}
-    out = set()
-    for s in chosen:
-        if s[:-1] in chosen:
-            continue
-        while longer := [t for c in range(256) if bad[t := s + bytes([c])] >= 0.6 * bad[s]]:
-            s = longer[0]
-        out.add(s)
-    return sorted(out, key=lambda s: (bad[s], s))
-
-
-def train_dictionaries(toxic: list[str], ordinary: list[str]) -> tuple[bytes, bytes]:
-    """(ordinary, toxic) dictionary contents."""
-    samples = [w for t in ordinary for w in windows(t)]
+def spaced(found: list[bytes], most: int = TEACH_WINDOWS) -> list[bytes]:
+    """At most so many of the windows, evenly spaced over the whole text."""
+    return found if len(found) <= most else [found[k * len(found) // most] for k in range(most)]
+
+
+def train_dictionary(samples: list[bytes]) -> bytes:
+    """A zstandard dictionary of distinct windows. They are taken in the order of a hash, so that copies and long documents don't stand together."""
+    mixed = sorted(set(samples), key=lambda w: (xxhash.xxh64_intdigest(w), w))
     try:
-        base = zstandard.train_dictionary(ORDINARY_BYTES, samples).as_bytes()
+        return zstandard.train_dictionary(DICTIONARY_BYTES, mixed, k=SEGMENT, d=GRAM, steps=1).as_bytes()
     except zstandard.ZstdError:  # too few samples to train on: they are the dictionary
-        base = b"".join(samples)[-ORDINARY_BYTES:]
-    extra = b"".join([b" " + s for s in toxic_stems(toxic, ordinary)])[-TOXIC_BYTES:]
-    extra += b"\n" * (1 if len(extra) % 3 != 2 else 2)  # copies at different offsets: the compressor indexes every third position
-    return base, base + extra * COPIES
+        return b"".join(mixed)[-DICTIONARY_BYTES:]
 
 
-def scorer(base: bytes, toxic: bytes) -> Callable[[str | None], list[float]]:
+def scorer(ordinary: bytes, toxic: bytes) -> Callable[[str | None], list[float]]:
     """A function from a text to its features."""
 
     def compressor(content: bytes):
-        d = zstandard.ZstdCompressionDict(content or b"\n" * 8, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        d = zstandard.ZstdCompressionDict(content or b"\n" * 8)
         d.precompute_compress(level=LEVEL)
         return zstandard.ZstdCompressor(level=LEVEL, dict_data=d, write_content_size=False, write_checksum=False, write_dict_id=False).compress
 
-    plain, marked = compressor(base), compressor(toxic)
+    plain, marked = compressor(ordinary), compressor(toxic)
 
     def features(text: str | None) -> list[float]:
-        gains = sorted([len(plain(w)) - len(marked(w)) for w in windows(text)], reverse=True)
+        seen: dict[bytes, int] = {}  # lines that repeat are compressed once
+        gains = []
+        for w in windows(text):
+            gain = seen.get(w)
+            if gain is None:
+                gain = seen[w] = len(plain(w)) - len(marked(w))
+            gains.append(gain)
+        gains.sort(reverse=True)
         n = len(gains)
-        over = [sum(1 for g in gains if g >= k) for k in (3, 4, 6)]
-        return [gains[0], sum(gains[:3]) / min(3, n), sum(gains) / n, math.log(n), gains[n // 10], over[1] / n, *map(math.log1p, over)]
+        over = [sum([g >= k for g in gains]) for k in GAINS]
+        return [gains[0], sum(gains[:3]) / min(3, n), sum(gains) / n, math.log(n), gains[n // 10], over[2] / n, *map(math.log1p, over)]
 
     return features
 
@@ -144,36 +112,62 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.01, steps: int = 30)
     return w.tolist(), mean.tolist(), scale.tolist()
 
 
-def _teachers(docs: DataFrame, labels: DataFrame, kind: int, bound: int) -> DataFrame:
-    """Texts of at most ``bound`` teachers of one kind. The ids are chosen from the labels alone, so no text is shuffled."""
-    one = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("toxic").alias("low"), F.max("toxic").alias("high"))
-    one = one.where((F.col("low") == kind) & (F.col("high") == kind) & (F.crc32(F.col("doc_id").cast("string")) % 3 != 1))
-    ids = one.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound).select("doc_id")
-    mine = docs.select("doc_id", F.coalesce(docs["text"].cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= TRAIN_BYTES)
-    return mine.join(F.broadcast(ids), "doc_id").orderBy(F.xxhash64("doc_id", "text"), "doc_id").limit(bound).select("text")
+def _teachers(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """(doc_id, text, kind, judges) of the rows that teach. The ids are chosen from the labels alone, so no text is shuffled."""
+    one = labels.where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.min("toxic").alias("kind"), F.max("toxic").alias("high"))
+    one = one.where((F.col("kind") == F.col("high")) & (F.crc32(F.col("doc_id").cast("string")) % 3 != 1)).withColumn("judges", F.pmod(F.xxhash64(F.lit("part"), "doc_id"), F.lit(10)) < JUDGING)
+    ids = None
+    for kind in (0, 1):
+        for judges, bound in ((False, TEACHERS), (True, JUDGES[kind])):
+            some = one.where((F.col("kind") == kind) & (F.col("judges") == judges)).orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound).select("doc_id", "kind", "judges")
+            ids = some if ids is None else ids.unionByName(some)
+    mine = docs.select(docs["doc_id"].alias("doc_id"), F.coalesce(docs["text"].cast("string"), F.lit("")).alias("text"))
+    return mine.join(F.broadcast(ids), "doc_id").select("doc_id", "text", "kind", "judges")
+
+
+def _told(rows: DataFrame, start: Callable, columns: str, bound: int) -> list:
+    """At most ``bound`` rows of a row-wise operator over teachers: ids that repeat may give more rows than ids."""
+    return map_text(rows, start, columns).orderBy(F.hash("doc_id"), *[F.hash(c.split()[0]) for c in columns.split(", ")]).limit(bound).select(columns.split()[0]).collect()
 
 
 def train(docs: DataFrame, labels: DataFrame) -> dict:
-    """Dictionaries and calibration from a bounded sample of teachers."""
-    text = {k: [r["text"] for r in _teachers(docs, labels, k, bound).collect()] for k, bound in ((1, TRAIN_TOXIC), (0, TRAIN_ORDINARY))}
-    if not text[1] or not text[0]:
-        return {"share": 1.0 if text[1] else 0.0}
-    base, toxic = train_dictionaries(text[1], text[0])
-    features = scorer(base, toxic)
-    x = np.array([features(t) for t in text[1] + text[0]])
-    y = np.array([1.0] * len(text[1]) + [0.0] * len(text[0]))
-    return {"base": base, "toxic": toxic, "model": logistic(x, y)}
+    """Dictionaries and calibration from bounded samples of teachers. Only windows of bounded number and features reach the driver."""
+    rows = _teachers(docs, labels)
+
+    def cut():
+        return lambda text: (spaced(windows(text)),)
+
+    samples = {k: [r["w"] for r in _told(rows.where(f"kind = {k} and not judges"), cut, "w array<binary>", TEACHERS)] for k in (0, 1)}
+    if not samples[0] or not samples[1]:
+        n = {r["kind"]: r["count"] for r in rows.groupBy("kind").count().collect()}
+        if not n.get(0) or not n.get(1):
+            return {"share": 1.0 if n.get(1) else 0.0}
+        samples = {k: samples[k] or [r["w"] for r in _told(rows.where(f"kind = {k}"), cut, "w array<binary>", TEACHERS)] for k in (0, 1)}
+    ordinary, toxic = (train_dictionary([bytes(w) for ws in samples[k] for w in ws]) for k in (0, 1))
+    held = docs.sparkSession.sparkContext.broadcast((ordinary, toxic))  # two dictionaries of fixed size
+
+    def rate():
+        features = scorer(*held.value)
+        return lambda text: (features(text),)
+
+    judged = {k: [r["x"] for r in _told(rows.where(f"kind = {k} and judges"), rate, "x array<double>", JUDGES[k])] for k in (0, 1)}
+    for k in (0, 1):
+        if not judged[k]:
+            judged[k] = [r["x"] for r in _told(rows.where(f"kind = {k}"), rate, "x array<double>", TEACHERS)]
+    x = np.array(sorted(judged[1]) + sorted(judged[0]))
+    y = np.array([1.0] * len(judged[1]) + [0.0] * len(judged[0]))
+    return {"ordinary": ordinary, "toxic": toxic, "model": logistic(x, y)}
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """Score and decision for every whole text."""
-    held = docs.sparkSession.sparkContext.broadcast(train(docs, labels))  # two dictionaries of bounded size and a few numbers
+    held = docs.sparkSession.sparkContext.broadcast(train(docs, labels))  # two dictionaries of fixed size and a few numbers
 
     def start():
         learnt = held.value
         if "share" in learnt:
             return lambda text: (learnt["share"], int(learnt["share"] >= threshold))
-        features = scorer(learnt["base"], learnt["toxic"])
+        features = scorer(learnt["ordinary"], learnt["toxic"])
         (bias, *weights), means, scales = learnt["model"]
 
         def one(text: str | None) -> tuple:
