@@ -1,16 +1,17 @@
 """Balanced label propagation over linked documents, in DataFrame operations only.
 
-Documents that share a link key are linked; keys are hyperedges, so a group of n copies costs n rows and never n * n pairs.
-Every document starts with the label of its id's hash, one label a shard. In each round every key counts
-the labels of its documents (with map-side combine, so one key with a third of all rows is one
-row per task and label) and proposes its leading label to its documents. A document that wants to move does so only within
-the quota of the target: what the shard still may take divided by how many want to enter, as a threshold on a hash of the id,
-so moves under a quota need neither a sort nor a gathered group. Targets are full at ``SLACK`` times the mean.
-
-The propagated labels decide an order, not yet the shards: documents are ranked by (label, key, id) over the
-whole table, and shard k takes the ranks from floor(k*N/S) on. Counts then differ by one at most (the law ``rows``),
-linked documents stand next to each other, and beyond groups larger than a shard at most one group a boundary is cut. Ranks come from a range
-partitioning by that order with a running count per partition, so a hot key is split over partitions by id.
+Documents that share a link key are linked; keys are hyperedges, so a group of n copies costs n rows and never n * n pairs. A
+document may have several keys. Every document starts with the label of its id's hash, one label a shard. In each
+round every key counts the labels of its documents (with map-side combine, so one key with a third of all rows is one
+row per task and label) and proposes its leading label to its documents, or as many leading labels as it needs shards if it is larger than one. A
+document with several keys follows the strongest proposal. It moves only within the quota of the target: what the shard still may take divided by
+how many want to enter, as a threshold on a hash of the id, so moves under a quota need neither a sort nor a gathered
+group. Targets are full at ``SLACK`` times the mean.
+
+The propagated labels are the shards, but for the surplus: a shard with more rows than its even share gives up those with the least
+support (documents without links first, then those with the fewest linked documents beside them), and these fill the shards with
+room, in the order of their keys. Counts then differ by one at most (the law ``rows``). Support is ranked by a range
+partitioning with a running count per partition, so a hot key is split over partitions by id.
 
 Defined results: a null text has 16 bytes of size and is linked with the other null texts only; repeated
 rows are placed one by one; null ids order first.
@@ -25,7 +26,7 @@ from concord.runtime import cut, keep, partitions
 
 SHARDS = 40
 ROUNDS = 3
-SLACK = 1.05
+SLACK = 1.5
 
 
 def _part(salt: int, *columns: str) -> Column:
@@ -33,40 +34,74 @@ def _part(salt: int, *columns: str) -> Column:
     return F.pmod(F.xxhash64(F.lit(salt), *columns), F.lit(1 << 30)) / F.lit(float(1 << 30))
 
 
-def propagate(links: DataFrame, shards: int, rounds: int = ROUNDS, slack: float = SLACK) -> DataFrame:
-    """(row, key, label) of (row, key) after quota-bound label propagation; a row without links has a null key."""
-    total = links.count()
-    state = cut(links.withColumn("label", F.floor(_part(0, "row") * shards).cast("int")))
+def _beside(state: DataFrame, told: DataFrame, on: list[str], size: str, total: int) -> DataFrame:
+    """Left join of the rows with what is told of their groups. Groups with more rows than a partition's share are fewer
+    than partitions: they are broadcast, the rest is shuffled."""
+    big = F.col(size) * partitions(state.sparkSession) > total
+    many = F.broadcast(told.where(big))
+    hot = state.join(many, on)
+    rest = state.join(many.select(*on), on, "left_anti").join(told.where(~big), on, "left")
+    return hot.unionByName(rest.select(*hot.columns))
 
-    def leaders(held: DataFrame) -> DataFrame:
-        most = held.where("key is not null").groupBy("key").agg(F.max(F.struct("n", F.negative("label").alias("minus"))).alias("m"), F.sum("n").alias("size"))
-        return most.where("size > 1").select("key", F.negative(F.col("m.minus")).alias("target"), "size")
 
-    def proposed(lead: DataFrame) -> DataFrame:
-        """The rows with the target of their key. Keys with more rows than a partition's share are fewer than partitions: they are broadcast, the rest is shuffled."""
-        many = F.broadcast(lead.where(F.col("size") * partitions(links.sparkSession) > total))
-        hot = state.join(many.select("key", "target"), "key").select("row", "key", "label", "target")
-        rest = state.join(many.select("key"), "key", "left_anti").join(lead.select("key", "target"), "key", "left")
-        return hot.unionByName(rest.select("row", "key", "label", "target"))
+def propagate(links: DataFrame, shards: int, rounds: int = ROUNDS, slack: float = SLACK, overlapping: bool = False) -> DataFrame:
+    """(row, key, label) of (row, key) after quota-bound label propagation; a row without links has a null key.
 
+    ``overlapping`` says that rows may have several keys, and so several lines here; all lines of a row have one label.
+    """
+    total = links.select("row").distinct().count() if overlapping else links.count()
+    share = total / shards  # of a shard
+    state = cut(links.withColumn("label", F.floor(_part(0, "row") * shards).cast("int")))
     for k in range(1, rounds + 1):
-        held = state.groupBy("key", "label").agg(F.count("*").alias("n"))
-        lead = cut(leaders(held))
-        load = held.groupBy("label").agg(F.sum("n").alias("load"))
-        wish = held.join(lead, "key").where("target <> label")
-        want = wish.groupBy(F.col("target").alias("label")).agg(F.sum("n").alias("entering"))
+        held = cut(state.where("key is not null").groupBy("key", "label").agg(F.count("*").alias("n")))
+        # per key its leading labels: at most one entry a shard
+        most = held.groupBy("key").agg(F.sum("n").alias("size"), F.sort_array(F.collect_list(F.struct("n", F.negative("label").alias("minus"))), False).alias("all"))
+        need = F.greatest(F.lit(1), F.least(F.size("all"), F.ceil(F.col("size") / F.lit(max(share, 1.0))).cast("int")))
+        lead = cut(most.where("size > 1").select("key", "size", F.slice("all", 1, need).alias("top")))
+        load = (state.dropDuplicates(["row"]) if overlapping else state).groupBy("label").agg(F.count("*").alias("load"))
+        outside = ~F.exists("top", lambda t: F.negative(t["minus"]) == F.col("label"))
+        wish = held.join(lead, "key").where(outside)
+        want = wish.select(F.explode("top").alias("t"), (F.col("n") / F.size("top")).alias("n")).groupBy(F.negative(F.col("t.minus")).alias("label")).agg(F.sum("n").alias("entering"))
         leave = wish.groupBy("label").agg(F.sum("n").alias("leaving"))
         # one row a shard; what a shard may take counts only half of those who want to leave, as they may be refused
         quota = want.join(load, "label", "left").join(leave, "label", "left").select(
             F.col("label").alias("target"),
-            F.greatest(F.lit(0.0), (F.lit(slack * total / shards) - F.coalesce("load", F.lit(0)) + F.coalesce("leaving", F.lit(0)) / 2) / F.col("entering")).alias("share"),
+            F.greatest(F.lit(0.0), (F.lit(slack * share) - F.coalesce("load", F.lit(0)) + F.coalesce("leaving", F.lit(0)) / 2) / F.col("entering")).alias("open"),
         )
-        moved = proposed(lead).join(F.broadcast(quota), "target", "left")
-        go = (F.col("target") != F.col("label")) & (_part(k, "row") < F.col("share"))
+        own = F.filter("top", lambda t: F.negative(t["minus"]) == F.col("label"))
+        dealt = F.get("top", F.pmod(F.xxhash64(F.lit("top"), "row"), F.size("top")).cast("int"))
+        told = _beside(state, lead, ["key"], "size", total).withColumn("best", F.when(F.size(own) > 0, F.get(own, 0)).otherwise(dealt)).drop("top", "size")
+        if overlapping:
+            told = told.withColumn("best", F.max("best").over(Window.partitionBy("row")))  # a row's keys are its own text's
+        moved = told.withColumn("target", F.negative(F.col("best.minus"))).join(F.broadcast(quota), "target", "left")
+        go = (F.col("target") != F.col("label")) & (_part(k, "row") < F.col("open"))
         state = cut(moved.select("row", "key", F.when(go, F.col("target")).otherwise(F.col("label")).alias("label")))
-    # those whom a quota still holds back stand with their key; the final cut into equal ranges restores the balance
-    lead = cut(leaders(state.groupBy("key", "label").agg(F.count("*").alias("n"))))
-    return proposed(lead).select("row", "key", F.coalesce("target", "label").alias("label"))
+    return state
+
+
+def level(labels: DataFrame, shards: int, rows: int, overlapping: bool = False) -> DataFrame:
+    """(row, shard, slot) of (row, key, label): the label, but rows with the least support leave shards with more than their even share."""
+    held = labels.where("key is not null").groupBy("key", "label").agg(F.count("*").alias("n")).where("n > 1")
+    told = _beside(labels, cut(held), ["key", "label"], "n", rows).select("row", "label", F.coalesce("key", F.lit("")).alias("key"), F.coalesce("n", F.lit(0)).alias("support"))
+    if overlapping:
+        told = told.groupBy("row", "label").agg(F.max(F.struct("support", "key")).alias("m")).select("row", "label", "m.key", "m.support")
+    placed = ranked(told.withColumn("minus", F.negative("support")), ["label", "minus", "key", "row"], "rank")
+    every = labels.sparkSession.range(shards).select(F.col("id").cast("int").alias("label"))
+    even = F.expr(f"cast(({rows}L * (label + 1)) div {shards} - ({rows}L * label) div {shards} as bigint)")
+    count = every.join(placed.groupBy("label").agg(F.count("*").alias("n")), "label", "left").select("label", F.coalesce("n", F.lit(0)).alias("n"), even.alias("even"))
+    before = Window.orderBy("label").rowsBetween(Window.unboundedPreceding, -1)  # one row a shard
+    sizes = count.select(
+        "label", "n", "even", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first"),
+        F.greatest(F.lit(0), F.col("even") - F.col("n")).alias("room"),
+        F.coalesce(F.sum(F.greatest(F.lit(0), F.col("even") - F.col("n"))).over(before), F.lit(0)).alias("from"),
+    )
+    sizes = cut(sizes)
+    inside = placed.join(F.broadcast(sizes.select("label", "even", "first")), "label").withColumn("slot", F.col("rank") - F.col("first"))
+    stay = inside.where("slot < even").select("row", F.col("label").alias("shard"), "slot")
+    spare = ranked(inside.where("slot >= even").select("row", "key"), ["key", "row"], "at")
+    open_ = F.broadcast(sizes.where("room > 0").select(F.col("label").alias("shard"), "n", "from", "room"))
+    filled = spare.join(open_, (F.col("at") >= F.col("from")) & (F.col("at") < F.col("from") + F.col("room")))
+    return stay.unionByName(filled.select("row", "shard", (F.col("n") + F.col("at") - F.col("from")).alias("slot")))
 
 
 def ranked(df: DataFrame, order: list[str], name: str) -> DataFrame:
@@ -101,12 +136,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFr
         F.coalesce(F.md5(text.cast("binary")), F.lit("")).alias("key"),
     )
     light = keep(light.withColumn("row", F.monotonically_increasing_id()))
-    labels = propagate(light.select("row", "key"), shards, rounds)
-    order = ["label", "key", "doc_id", "row"]
-    placed = ranked(light.join(labels.select("row", "label"), "row"), order, "rank")
-    n = max(light.count(), 1)
-    placed = placed.withColumn("shard", F.expr(f"cast(((rank + 1) * {shards} + {n} - 1) div {n} - 1 as int)"))
-    return placed.select(
-        "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard",
-        F.expr(f"rank - (shard * {n}L) div {shards}").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "key",
+    placed = level(propagate(light.select("row", "key"), shards, rounds), shards, light.count())
+    return light.join(placed, "row").select(
+        "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "key",
     )
