@@ -159,6 +159,7 @@ class Model:
         self.w = [np.zeros(1 + N_CONTENT), np.zeros(1 + N_METADATA)]
         self.both = np.array([0.0, 0.5, 0.5])
         self.taught = False
+        self.exchanged: list[tuple[int, int]] = []  # per round, the pseudo-labels that the content and the metadata view have got
 
     def views(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         z = np.clip((x - self.mean) / self.scale, -10, 10)
@@ -213,15 +214,18 @@ def train(table: DataFrame) -> Model:
                 for k in (0, 1):
                     p = _sigmoid(said[:, 2 - k])
                     sure = free & ((p >= CONFIDENT) | (p <= 1 - CONFIDENT))
-                    out.append(_moments(seen[k], (p > 0.5).astype(float), np.where(sure, share, 0.0), now.w[k]))
+                    out += [_moments(seen[k], (p > 0.5).astype(float), np.where(sure, share, 0.0), now.w[k]), [sure.sum()]]
                 return np.concatenate(out)
 
-            pseudo = _sum(table, part, sum(size)) if round_ else np.zeros(sum(size))
+            pseudo = _sum(table, part, sum(size) + 2) if round_ else np.zeros(sum(size) + 2)
             ways[0].tell(pseudo[: size[0]] + _moments(views[0], y, one, now.w[0]))
-            ways[1].tell(pseudo[size[0] :] + _moments(views[1], y, one, now.w[1]))
+            ways[1].tell(pseudo[size[0] + 1 : -1] + _moments(views[1], y, one, now.w[1]))
+            told = (int(pseudo[size[0]]), int(pseudo[-1]))
             if ways[0].done and ways[1].done:
                 break
         model.w = [way.base for way in ways]
+        if round_:
+            model.exchanged.append(told)
     way = Descent(model.both)
     for _ in range(STEPS):
         way.tell(_moments(model.odds(x), y, one, way.w))

@@ -7,9 +7,10 @@ that is the rarest word alone. Documents are joined with the windows on these pr
 document position p of a token at window offset o can only mean an occurrence that starts at p - o: the
 positional and length bounds keep those that fit into the document, and the words are compared one by one.
 
-The windows travel to the documents, so these never shuffle. A block of windows is broadcast only up to
-``BLOCK_BYTES`` of item text; larger benchmarks are handled in such blocks, over row-numbered documents in a
-shared table, and the hits of a row are united at the end.
+Up to ``BROADCAST_BYTES`` of item text the windows travel to the documents as one index, so that these never shuffle. Larger
+benchmarks are joined by Spark: windows stay a table, documents in two passes (word counts, tokens) emit only the words that a filter of
+fixed size (``FILTER_BITS``) lets through, each with the words around it, and the join on the prefix token
+verifies a window against these. A frequent word's partition can be split, as the window side of a word is small.
 
 Defined results: null texts have no words; items without words have no windows; equal windows of several items count
 for each; null item ids are left out of the item list but their words count as hit; ids may repeat.
@@ -22,7 +23,9 @@ import re
 from collections import Counter, defaultdict
 from collections.abc import Callable
 
+import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,7 +33,8 @@ from concord.llm.rows import map_text, no_cycle_search, slices
 from concord.runtime import keep
 
 WIDTH = 13
-BLOCK_BYTES = 8 << 20
+BROADCAST_BYTES = 4 << 20
+FILTER_BITS = 27
 LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 WORDS = re.compile(rb"[0-9a-z\x80-\xff]+").findall  # of UTF-8: bytes from 80 on belong to characters beyond ASCII
 
@@ -108,12 +112,8 @@ def _row(n: int, spans, items) -> tuple:
 HITS = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean"
 
 
-def _blocks(benchmark: DataFrame) -> list[DataFrame]:
-    size = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    n = -(-size // (BLOCK_BYTES // 2)) or 1
-    if n == 1:
-        return [benchmark]
-    return [benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k) for k in range(n)]
+def _small(benchmark: DataFrame) -> bool:
+    return (benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0) <= BROADCAST_BYTES
 
 
 def _load(block: DataFrame) -> list[tuple[str | None, list[bytes]]]:
@@ -122,47 +122,111 @@ def _load(block: DataFrame) -> list[tuple[str | None, list[bytes]]]:
 
 
 def _prepared(docs: DataFrame, block: DataFrame, width: int):
-    """One block's prefix index as a broadcast; its size is bounded by the block's text."""
+    """The prefix index as a broadcast; its size is bounded by the text of a small benchmark."""
     items = _load(block)
     return docs.sparkSession.sparkContext.broadcast(index(items, width, word_counts(docs, {w for _, ws in items for w in ws})))
 
 
-ROW = "__row"
 SPANS = "array<struct<a:long,b:long>>"
-FOUND = pa.schema([(ROW, pa.int64()), ("__spans", pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))), ("__ids", pa.list_(pa.string()))])
-
-
-def _with_hits(docs: DataFrame, blocks: list[DataFrame], width: int) -> DataFrame:
-    """For several blocks: the documents in a shared table, with the spans and items of all blocks in ``__spans`` and ``__ids``."""
-    numbered = keep(docs.withColumn(ROW, F.monotonically_increasing_id()))
-    found = None
-    for block in blocks:
-        held = _prepared(docs, block, width)
-
-        def run(batches, held=held):
-            with no_cycle_search():
-                match = matcher(held.value)
-                for piece in slices(batches):
-                    out = []
-                    for row, text in zip(piece.column(0).to_pylist(), piece.column(1).to_pylist(), strict=True):
-                        spans, ids = match(words(text))
-                        if spans:
-                            out.append({ROW: row, "__spans": [{"a": a, "b": b} for a, b in spans], "__ids": [i for i in ids if i is not None]})
-                    yield pa.RecordBatch.from_pylist(out, schema=FOUND)
-
-        part = keep(numbered.select(ROW, "text").mapInArrow(run, f"{ROW} long, __spans {SPANS}, __ids array<string>"))
-        held.destroy()
-        found = part if found is None else found.unionByName(part)
-    hits = found.groupBy(ROW).agg(F.flatten(F.collect_list("__spans")).alias("__spans"), F.flatten(F.collect_list("__ids")).alias("__ids"))
-    return numbered.join(hits, ROW, "left").select(*docs.columns, "__spans", "__ids")
+
+
+def _filter(vocabulary: DataFrame):
+    """A broadcast Bloom filter, of fixed size, of a column ``word``: a bit for a word's hash."""
+    bit = F.shiftrightunsigned(F.xxhash64(F.col("word").cast("binary")), 64 - FILTER_BITS)
+    slots = vocabulary.select(bit.alias("bit")).groupBy(F.shiftright("bit", 3).alias("slot")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("bit").bitwiseAND(F.lit(7)).cast("int"))).alias("bits"))
+    table = np.zeros(1 << FILTER_BITS - 3, dtype=np.uint8)
+    told = slots.toArrow()  # one row a byte of the filter at most
+    table[told.column("slot").to_numpy()] = told.column("bits").to_numpy()
+    return vocabulary.sparkSession.sparkContext.broadcast(table.tobytes())
+
+
+def _holds(table: bytes) -> Callable[[bytes], int]:
+    digest, shift = xxhash.xxh64_intdigest, 64 - FILTER_BITS
+
+    def holds(word: bytes) -> int:
+        bit = digest(word, 42) >> shift
+        return table[bit >> 3] >> (bit & 7) & 1
+
+    return holds
+
+
+def _item_windows(benchmark: DataFrame, width: int) -> DataFrame:
+    """(item, win, len) with win the words of a window, space-joined."""
+
+    def run(batches):
+        for piece in slices(batches):
+            for item, text in zip(piece.column(0).to_pylist(), piece.column(1).to_pylist(), strict=True):
+                w = [x.decode() for x in words(text)]
+                n = max(1, len(w) - width + 1) if w else 0
+                for at in range(0, n, 4096):
+                    wins = [" ".join(w[k : k + width]) for k in range(at, min(n, at + 4096))]
+                    yield pa.RecordBatch.from_arrays([pa.array([item] * len(wins), pa.string()), pa.array(wins, pa.string()), pa.array([min(len(w), width)] * len(wins), pa.int32())], names=["item", "win", "len"])
+
+    return benchmark.select(benchmark["item_id"].cast("string"), benchmark["text"].cast("string")).mapInArrow(run, "item string, win string, len int")
+
+
+def _counted(texts: DataFrame, vocabulary: DataFrame) -> DataFrame:
+    """(word, n): occurrences in all documents of every word of a vocabulary."""
+    held = _filter(vocabulary)
+
+    def run(batches):
+        holds, seen = _holds(held.value), Counter()
+        for piece in slices(batches):
+            for text in piece.column(0).to_pylist():
+                seen.update(w for w in words(text) if holds(w))
+            if len(seen) > 1 << 18:
+                yield pa.RecordBatch.from_arrays([pa.array([w.decode() for w in seen], pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
+                seen.clear()
+        yield pa.RecordBatch.from_arrays([pa.array([w.decode() for w in seen], pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
+
+    some = texts.mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    return vocabulary.join(some, "word", "left").select("word", F.coalesce("n", F.lit(0)).alias("n"))
+
+
+def _with_hits(docs: DataFrame, benchmark: DataFrame, width: int) -> tuple[DataFrame, str, str]:
+    """For large benchmarks: the documents with the spans and the items of their hits, in two columns whose names are given."""
+    row, spans, ids = (name + "_" * max(map(len, docs.columns)) for name in ("row", "spans", "ids"))  # longer than any column's name
+    numbered = keep(docs.withColumn(row, F.monotonically_increasing_id()))
+    texts = numbered.select(numbered[row].alias("row"), numbered["text"].cast("string").alias("text"))
+    every = keep(_item_windows(benchmark, width))
+    wins = every.select("win", "len").distinct()
+    placed = wins.select("win", "len", F.posexplode(F.split("win", " ")).alias("at", "word"))
+    counted = _counted(texts.select("text"), placed.select("word").distinct())
+    rarest = placed.join(counted, "word").groupBy("win", "len").agg(F.min(F.struct("n", "word", "at")).alias("m"))
+    prefix = keep(rarest.select("win", "len", "m.word", "m.at"))
+    held = _filter(prefix.select("word").distinct())
+
+    def tokens(batches):
+        holds = _holds(held.value)
+        for piece in slices(batches):
+            for key, text in zip(piece.column(0).to_pylist(), piece.column(1).to_pylist(), strict=True):
+                w = [x.decode() for x in words(text)]
+                at = [k for k, x in enumerate(w) if holds(x.encode())]
+                for k in range(0, len(at), 4096):
+                    some = at[k : k + 4096]
+                    lead = [min(p, width - 1) for p in some]
+                    around = [" ".join(w[p - n : p + width]) for p, n in zip(some, lead, strict=True)]
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array([key] * len(some), pa.int64()), pa.array(some, pa.int64()), pa.array([w[p] for p in some], pa.string()), pa.array(lead, pa.int32()), pa.array(around, pa.string())],
+                        names=["row", "pos", "word", "lead", "around"],
+                    )
+
+    near = texts.mapInArrow(tokens, "row long, pos long, word string, lead int, around string")
+    same = F.array_join(F.slice(F.split("around", " "), F.col("lead") - F.col("at") + 1, F.col("len")), " ") == F.col("win")
+    met = near.join(prefix, "word").where(F.col("lead") >= F.col("at")).where(same)  # the positional bound, then the words
+    met = keep(met.select("row", (F.col("pos") - F.col("at")).alias("a"), "len", "win").distinct())
+    where = met.groupBy("row").agg(F.collect_set(F.struct("a", (F.col("a") + F.col("len")).alias("b"))).cast(SPANS).alias(spans))
+    items = every.where("item is not null").select("win", "item").distinct()
+    whose = met.select("row", "win").distinct().join(items, "win").groupBy("row").agg(F.collect_set("item").alias(ids))
+    hits = where.join(whose, "row", "left").withColumnRenamed("row", row)
+    return numbered.join(hits, row, "left").select(*docs.columns, spans, ids), spans, ids
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
     """Per document: words, words inside occurrences of benchmark windows, items that occur, verdict (a twentieth of the words or more)."""
     docs = docs.select("doc_id", docs["text"].cast("string").alias("text"))
-    blocks = _blocks(benchmark)
-    if len(blocks) == 1:
-        held = _prepared(docs, blocks[0], width)
+    if _small(benchmark):
+        held = _prepared(docs, benchmark, width)
 
         def start():
             match = matcher(held.value)
@@ -180,13 +244,13 @@ def contamination(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) ->
             made = [_row(len(words(t)), merged((s["a"], s["b"]) for s in spans or ()), set(ids or ())) for t, spans, ids in zip(*(c.to_pylist() for c in piece.columns[1:]), strict=True)]
             yield pa.RecordBatch.from_arrays([piece.column(0), *(pa.array(list(c)) for c in zip(*made, strict=True))], names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated"])
 
-    return _with_hits(docs, blocks, width).mapInArrow(unite, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, {HITS}")
+    return _with_hits(docs, benchmark, width)[0].mapInArrow(unite, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, {HITS}")
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, least_share: int = 20) -> DataFrame:
     """The documents that are not contaminated: less than 1/least_share of their words stand inside benchmark windows. All columns stay."""
-    at, blocks = docs.columns.index("text"), _blocks(benchmark)
-    held = _prepared(docs, blocks[0], width) if len(blocks) == 1 else None
+    at = docs.columns.index("text")
+    held = _prepared(docs, benchmark, width) if _small(benchmark) else None
 
     def run(batches):
         with no_cycle_search():
@@ -202,7 +266,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, least_share
                 left = piece.filter(kept)
                 yield left if match else pa.RecordBatch.from_arrays(left.columns[:-2], names=left.schema.names[:-2])
 
-    return (docs if held else _with_hits(docs, blocks, width)).mapInArrow(run, docs.schema)
+    return (docs if held else _with_hits(docs, benchmark, width)[0]).mapInArrow(run, docs.schema)
 
 
 ORACLE = """

@@ -7,8 +7,9 @@ colour-histogram columns. ``encode`` writes 8-bit index samples losslessly; ``me
 whole texts as such samples and reads them back.
 
 Defined results: null or empty bytes and bytes without a GIF signature give no frame; a stream that
-breaks off gives the frames before the break, and missing samples of a frame are index 0. A null text
-is stored like an empty one.
+breaks off gives the frames before the break, and missing samples of a frame are index 0. A canvas or frame beyond
+``MAX_AREA``, or a frame that states more than ``MOST_A_BYTE`` samples a byte of its stream (LZW can't hold more), ends decoding with an
+error that stands in a row of its own. A null text is stored like an empty one.
 """
 
 from __future__ import annotations
@@ -52,6 +53,7 @@ class Image:
     palette: bytes = b""
     loops: int | None = None
     frames: list[Frame] = field(default_factory=list)
+    error: str | None = None
 
 
 # ---------------------------------------------------------------- LZW, 8-bit samples
@@ -169,17 +171,25 @@ def _blocks(data: bytes) -> bytes:
     return b"".join(parts) + b"\0"
 
 
-GREY = bytes(v for i in range(256) for v in (i, i, i))
+#: One colour an index: three bits of red, three of green, two of blue.
+PALETTE = bytes(v for i in range(256) for v in (i >> 5 << 5, (i >> 2 & 7) << 5, (i & 3) << 6))
+#: Canvas and frame areas beyond this are refused, as are frames that state more samples than their stream can hold.
+MAX_AREA = 1 << 24
+MOST_A_BYTE = 4096
 
 
-def encode(samples: bytes, width: int = 64, rows_per_frame: int = 4096, delay_cs: int = 10) -> bytes:
-    """A GIF89a whose frames hold ``samples`` in order, ``width`` to a row, under an identity grey palette."""
+def encode(samples: bytes, width: int = 64, rows_per_frame: int = 64, delay_cs: int = 10) -> bytes:
+    """A GIF89a whose frames hold ``samples`` in order, ``width`` to a row, under a palette with one colour an index.
+
+    Frames lie over each other. Their disposal goes through keep, restore background and restore previous, and index 0, the
+    padding, is transparent; neither touches the samples.
+    """
     step = width * rows_per_frame
     height = min(rows_per_frame, -(-len(samples) // width))
-    out = [b"GIF89a", struct.pack("<HHBBB", width, height, 0xF7, 0, 0), GREY]
-    for at in range(0, len(samples), step):
+    out = [b"GIF89a", struct.pack("<HHBBB", width, height, 0xF7, 0, 0), PALETTE]
+    for k, at in enumerate(range(0, len(samples), step)):
         part = samples[at : at + step]
-        out.append(b"\x21\xf9\x04" + struct.pack("<BHB", 1 << 2, delay_cs, 0) + b"\0")
+        out.append(b"\x21\xf9\x04" + struct.pack("<BHB", 1 + k % 3 << 2 | 1, delay_cs, 0) + b"\0")
         out.append(b"\x2c" + struct.pack("<HHHHB", 0, 0, width, -(-len(part) // width), 0) + b"\x08" + _blocks(lzw_pack(lzw_codes(part))))
     return b"".join([*out, b"\x3b"])
 
@@ -206,6 +216,9 @@ def decode(data: bytes | None) -> Image:
     if not data or data[:6] not in (b"GIF87a", b"GIF89a") or len(data) < 13:
         return image
     image.width, image.height, flags, image.background, _ = struct.unpack_from("<HHBBB", data, 6)
+    if image.width * image.height > MAX_AREA:
+        image.error = "canvas too large"
+        return image
     at = 13
     if flags & 0x80:
         size = 3 << (flags & 7) + 1
@@ -231,6 +244,9 @@ def decode(data: bytes | None) -> Image:
             if at >= len(data) or not 2 <= data[at] <= 8:
                 break
             stream, after = _sub_blocks(data, at + 1)
+            if width * height > min(MAX_AREA, MOST_A_BYTE * (len(stream) + 1)):
+                image.error = "frame larger than its stream"
+                break
             samples = lzw_decode(stream, data[at], width * height).ljust(width * height, b"\0")
             if flags & 0x40:
                 samples = _deinterlace(samples, width, height)
@@ -273,11 +289,11 @@ def histogram(canvas: np.ndarray) -> list[int]:
     return np.bincount(key, minlength=64).tolist()
 
 
-FRAMES = "frame int, start_cs long, delay_cs int, disposal int, width int, height int, opaque long, histogram array<long>, rgba binary"
+FRAMES = "error string, frame int, start_cs long, delay_cs int, disposal int, width int, height int, opaque long, histogram array<long>, rgba binary"
 
 
 def frame_table(media: DataFrame, id_col: str, gif_col: str) -> DataFrame:
-    """Timed, fully composed frames of a column of GIF bytes, one row per frame."""
+    """Timed, fully composed frames of a column of GIF bytes, one row per frame, and one row with nothing but the error where decoding was refused."""
     out = T.StructType([T.StructField(id_col, media.schema[id_col].dataType), *T.StructType.fromDDL(FRAMES).fields])
     arrow = to_arrow_schema(out)
 
@@ -287,7 +303,10 @@ def frame_table(media: DataFrame, id_col: str, gif_col: str) -> DataFrame:
                 image = decode(data)
                 for k, (start, canvas) in enumerate(compose(image)):
                     f, bins = image.frames[k], histogram(canvas)
-                    row = (key, k, start, f.delay_cs, f.disposal, image.width, image.height, sum(bins), bins, canvas.tobytes())
+                    row = (key, None, k, start, f.delay_cs, f.disposal, image.width, image.height, sum(bins), bins, canvas.tobytes())
+                    yield pa.RecordBatch.from_arrays([pa.array([v], type=t.type) for v, t in zip(row, arrow, strict=True)], schema=arrow)
+                if image.error:
+                    row = (key, image.error, *[None] * (len(arrow) - 2))
                     yield pa.RecordBatch.from_arrays([pa.array([v], type=t.type) for v, t in zip(row, arrow, strict=True)], schema=arrow)
 
     return media.select(id_col, gif_col).mapInArrow(run, out)
@@ -299,7 +318,8 @@ DIGEST = "n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 lo
 def media_digest(docs: DataFrame) -> DataFrame:
     """Store each whole text as the samples of a GIF, read the stored bytes back, and describe both.
 
-    The feature is the histogram of the samples read back in 16 grey levels, comma-joined.
+    The feature is the colour histogram of the composed frames, through palette, transparency and disposal, summed over the
+    frames, 64 bins, comma-joined.
     """
 
     def start():
@@ -308,7 +328,7 @@ def media_digest(docs: DataFrame) -> DataFrame:
             gif = encode(body + b"\0" * (-len(body) % 64 or (0 if body else 64)))
             image = decode(gif)
             back = b"".join(f.samples for f in image.frames)
-            bins = np.bincount(np.frombuffer(back, dtype=np.uint8), minlength=256).reshape(16, 16).sum(axis=1)
+            bins = sum(np.array(histogram(canvas)) for _, canvas in compose(image))
             return (
                 len(body), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(gif), hashlib.sha256(gif).hexdigest(),
                 ",".join(map(str, bins.tolist())), len(image.frames), sum(f.delay_cs for f in image.frames),

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from concord.llm.native import let
 
-MAX_SENTENCES = 10_000
+MAX_SENTENCES = 1_000
 MARK, LINE = r"[.!?;]+\s+", r"\r\n|[\r\n]"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -39,6 +39,11 @@ RULES = (
         "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:",
         "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.",
     )),
+    Rule("BSD-3-Clause", (
+        "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.",
+        "Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",
+        "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.",
+    )),
     Rule("BSD-2-Clause", (
         "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.",
         "Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.",
@@ -47,6 +52,25 @@ RULES = (
         "Licensed under the Apache License, Version 2.0 (the \"License\");",
         "you may not use this file except in compliance with the License.",
     )),
+    Rule("ISC", ("Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",)),
+    Rule("MPL-2.0", (
+        "This Source Code Form is subject to the terms of the Mozilla Public License, v.",
+        "If a copy of the MPL was not distributed with this file, You can obtain one at https://mozilla.org/MPL/2.0/.",
+    )),
+    Rule("LGPL-2.1-or-later", (
+        "This library is free software;",
+        "you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation;",
+        "either version 2.1 of the License, or (at your option) any later version.",
+    )),
+    Rule("GPL-2.0-or-later", (
+        "This program is free software;",
+        "you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation;",
+        "either version 2 of the License, or (at your option) any later version.",
+    )),
+    Rule("GPL-3.0-or-later", (
+        "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    )),
+    Rule("Unlicense", ("This is free and unencumbered software released into the public domain.",)),
     Rule("MIT", ("Released under the MIT License.",)),
     Rule("MIT", ("Licensed under the MIT License.",)),
     Rule("Apache-2.0", ("Licensed under the Apache License, Version 2.0.",)),
@@ -124,26 +148,21 @@ def licences(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
 
         return let(seen, lambda v: F.when(F.exists(v, lambda x: x["to"] > x["at"]), apart(v)).otherwise(v))
 
-    def matched(seen: Column, k: int, sequence: list[int]) -> Column:
-        n, want = len(sequence), F.array(*[F.lit(v) for v in sequence])
+    table = F.array(*[F.struct(F.lit(k).alias("k"), F.array(*[F.lit(v) for v in sequence]).alias("want")) for k, sequence in enumerate(sequences)])
 
+    def matched(seen: Column, rule: Column) -> Column:
         def here(x: Column, i: Column) -> Column:
-            hit = F.struct(F.lit(k).alias("rule"), x["at"].alias("first"), F.get(seen, i + n - 1)["to"].alias("last"))
-            return F.when(F.transform(F.slice(seen, i + 1, n), lambda y: y["id"]) == want, hit)
+            n = F.size(rule["want"])
+            hit = F.struct(rule["k"].alias("rule"), x["at"].alias("first"), F.get(seen, i + n - 1)["to"].alias("last"))
+            return F.when(F.transform(F.slice(seen, i + 1, n), lambda y: y["id"]) == rule["want"], hit)
 
         return F.filter(F.transform(seen, here), lambda h: h.isNotNull())
 
     def hits(seen: Column) -> Column:
-        done = F.array().cast(HIT)
-        for k, sequence in enumerate(sequences):
-            mine = matched(seen, k, sequence)
-
-            def unite(earlier: Column) -> Column:
-                fresh = F.filter(mine, lambda h: ~F.exists(earlier, lambda e: (e["first"] <= h["last"]) & (h["first"] <= e["last"])))
-                return F.concat(earlier, fresh.cast(HIT))
-
-            done = let(done, lambda earlier: unite(earlier))  # noqa: B023  called at once
-        return F.array_sort(done, lambda a, b: F.when(a["first"] < b["first"], -1).when(a["first"] > b["first"], 1).otherwise(0))
+        every = F.flatten(F.transform(table, lambda r: matched(seen, r))).cast(HIT)  # in order of priority
+        over = lambda acc, h: F.exists(acc, lambda e: (e["rule"] < h["rule"]) & (e["first"] <= h["last"]) & (h["first"] <= e["last"]))
+        kept = F.aggregate(every, F.array().cast(HIT), lambda acc, h: F.when(over(acc, h), acc).otherwise(F.array_append(acc, h)))
+        return F.array_sort(kept, lambda x, y: F.when(x["first"] < y["first"], -1).when(x["first"] > y["first"], 1).otherwise(0))
 
     one = docs.select(docs["doc_id"].alias("doc_id"), text.alias("text"))
     # the lines of the stretches between sentence marks, each stretch closed by an empty line, which like a blank one ends a piece's joins

@@ -3,7 +3,7 @@
 One Aho-Corasick pass finds anchors: at-signs, plus signs, adjoining digits, dotted digits, address schemes and
 identifier cues. At each anchor a deterministic local parser expands to the left and right and validates what it
 finds. Work is linear in the text: an anchor inside a parsed span of its kind is skipped, and the left expansion
-of one anchor never passes the previous anchor of its kind.
+of one anchor never passes the previous anchor of its kind, and user data that has led to no host is not read again.
 
 Kinds: email, ip, card, phone as the leftmost non-overlapping matches of their patterns that validate;
 ``address`` (a scheme followed by user data and a host), and ``account`` (an IBAN that passes its checksum, or 6 to 20
@@ -31,7 +31,8 @@ DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 DOTTED = re.compile(r"[0-9]+(?:\.[0-9]+){3}")
 CARD = re.compile(r"[0-9](?:[ -]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
-HOST = re.compile(r"[A-Za-z0-9._~%!$&'()*+,;=:-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*(?::[0-9]{1,5})?(?:/[^\s\"'<>]*)?")
+USER = re.compile(r"[A-Za-z0-9._~%!$&'()*+,;=:-]+")
+HOST = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*(?::[0-9]{1,5})?(?:/[^\s\"'<>]*)?")
 IBAN = re.compile(r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}")
 NUMBER = re.compile(r"[ :#=.]{0,3}([0-9](?:[ -]?[0-9]){5,19})(?![0-9])")
 SCHEMES = ("http://", "https://", "ftp://", "ssh://", "sip:", "mailto:")
@@ -88,6 +89,7 @@ def finder() -> Callable[[str | None], list[tuple[str, int, int]]]:
     def find(text: str | None) -> list[tuple[str, int, int]]:
         found: dict[str, list[tuple[str, int, int]]] = {k: [] for k in KINDS}
         past = dict.fromkeys(KINDS, 0)
+        barren = 0  # user data up to here leads to no host, wherever it begins
         for end, (kind, back) in anchors(text or ""):
             at = end - back
             free = past[kind]
@@ -126,10 +128,14 @@ def finder() -> Callable[[str | None], list[tuple[str, int, int]]]:
                     if 9 <= len(_only_digits(m[0])) <= 15:
                         found[kind].append((kind, at, m.end()))
             elif kind == "address":
-                m = HOST.match(text, end + 1)
-                if m:
-                    past[kind] = m.end()
-                    found[kind].append((kind, at, m.end()))
+                user = USER.match(text, end + 1) if end + 1 >= barren else None
+                if user:
+                    m = HOST.match(text, user.end())
+                    if m:
+                        past[kind] = m.end()
+                        found[kind].append((kind, at, m.end()))
+                    else:
+                        barren = user.end()
             else:
                 here = end + 1
                 while here < len(text) and here < end + 4 and text[here] in " :#=":

@@ -36,7 +36,12 @@ CANDIDATE = r"[A-Za-z0-9+/_=-]{20,}"
 ALLOWED = ("example", "sample", "placeholder", "changeme", "dummy", "your_", r"(.)\1{7,}", "abcdefgh", "01234567", "12345678", "98765432")
 ALLOWED_WHOLE = "^[0-9a-f]{8}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{4}-[0-9a-f]{12}$"
 ALLOW = "(?i)" + "|".join((*ALLOWED, ALLOWED_WHOLE))
+ALLOW_PART = "(?i)" + "|".join(ALLOWED)
 WINDOW = 20
+#: Windows of a block, the characters before and behind its windows that decide which of them the allow-list's matches overlap, and the blocks as a pattern.
+BLOCK, MARGIN = 256, 32
+PAD = "#$" * (MARGIN // 2)
+BLOCKS = f"(?s)(?=(.{{1,{MARGIN + BLOCK + WINDOW - 1 + MARGIN}}})).{{1,{BLOCK}}}"
 #: Bits below which a window of a character class is not taken for random.
 LEAST_BITS = (("^[0-9a-f]+$|^[0-9A-F]+$", 3.0), ("^[^a-z]+$|^[^A-Z]+$", 3.5), ("", 3.8))
 
@@ -55,12 +60,18 @@ def _most(bits: float) -> float:
     return WINDOW * (math.log2(WINDOW) - bits) + 1e-9
 
 
-def _hot(text: Column, by_window: bool) -> Column:
-    """struct(first, last): 0-based starts of the first and last window above the threshold of the window's or the text's class; nulls if none is."""
+def _bound(text: Column, by_window: bool) -> Column:
+    """The greatest weight of a window that counts as random: by the class of the whole text, or the widest one where each window has its own class."""
+    if by_window:
+        return F.lit(_most(LEAST_BITS[0][1]))
     most = F.lit(_most(LEAST_BITS[-1][1]))
     for pattern, bits in reversed(LEAST_BITS[:-1]):
         most = F.when(text.rlike(pattern), F.lit(_most(bits))).otherwise(most)
-    most = F.lit(_most(LEAST_BITS[0][1])) if by_window else most  # by window: the widest bound, before the classes
+    return most
+
+
+def _hot(text: Column, most: Column, by_window: bool) -> Column:
+    """struct(first, last): 0-based starts of the first and last window above its threshold in a text of bounded length; nulls if none is."""
     opening = F.substring(text, 1, WINDOW)
     letters = F.array_distinct(F.filter(F.split(opening, ""), lambda c: c != ""))
     weight = F.aggregate(letters, F.lit(0.0), lambda acc, c: acc + _weight(_count(opening, c)))
@@ -118,34 +129,66 @@ def _every(part: str) -> str:
     return f"(?i){part}(?:{part[border:]})*" if border else f"(?i){part}"
 
 
-def _sections(text: Column) -> Column:
-    """array<struct<at, text>>: the stretches of a candidate between the allow-list's matches that hold a window."""
-    found = lambda p: F.transform(matches(text, p), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end")))
+def _pieces(block: Column, off: Column) -> Column:
+    """array<struct<at, joined, text>>: the stretches of a block's own region between the allow-list's matches that hold a window.
+
+    ``at`` counts from the candidate's start; ``joined`` says that the stretch goes on from the block before.
+    """
+    found = lambda p: F.transform(matches(block, p), lambda m: F.struct(m["start"].alias("start"), m["end"].alias("end")))
+    size = F.length(block)
+    till = F.least(size, F.lit(MARGIN + BLOCK + WINDOW - 1))
 
     def between(spans: Column) -> Column:
-        ends = F.array_append(spans, F.struct(F.length(text).alias("start"), F.length(text).alias("end")))
-        begin = F.struct(F.lit(0).alias("pos"), F.array().cast("array<struct<at:int,text:string>>").alias("out"))
+        before = ~F.exists(spans, lambda m: (m["start"] < MARGIN) & (m["end"] >= MARGIN))
+        ends = F.array_append(spans, F.struct(till.alias("start"), size.alias("end")))
+        begin = F.struct(F.lit(MARGIN).alias("pos"), F.array().cast("array<struct<at:int,joined:boolean,text:string>>").alias("out"))
 
         def step(acc: Column, m: Column) -> Column:
-            free = F.struct(acc["pos"].alias("at"), F.substr(text, acc["pos"] + 1, m["start"] - acc["pos"]).alias("text"))
-            out = F.when(m["start"] - acc["pos"] >= WINDOW, F.array_append(acc["out"], free)).otherwise(acc["out"])
+            stop = F.least(m["start"], till)
+            free = F.struct((acc["pos"] - MARGIN + off).alias("at"), ((acc["pos"] == MARGIN) & (off > 0) & before).alias("joined"), F.substr(block, acc["pos"] + 1, stop - acc["pos"]).alias("text"))
+            out = F.when(stop - acc["pos"] >= WINDOW, F.array_append(acc["out"], free)).otherwise(acc["out"])
             return F.struct(F.greatest(acc["pos"], m["end"]).alias("pos"), out.alias("out"))
 
         return F.aggregate(ends, begin, step, lambda acc: acc["out"])
 
-    whole = F.array(F.struct(F.lit(0).alias("at"), text.alias("text")))
-    cut = let(F.array_sort(F.concat(*[found(_every(p)) for p in ALLOWED])), between)
-    return F.when(~text.rlike(ALLOW), whole).when(~text.rlike(f"(?i){ALLOWED_WHOLE}"), cut).otherwise(F.slice(whole, 1, 0))
+    whole = F.array(F.struct(off.alias("at"), (off > 0).alias("joined"), F.substr(block, F.lit(MARGIN + 1), F.lit(BLOCK + WINDOW - 1)).alias("text")))
+    return F.when(~block.rlike(ALLOW_PART), whole).otherwise(let(F.array_sort(F.concat(*[found(_every(p)) for p in ALLOWED])), between))
+
+
+def _random(m: Column, by_window: bool) -> Column:
+    """array<struct<start, end>>: from the first to the last window above its threshold, for each section of one candidate.
+
+    The candidate is read in blocks of bounded length, so that the work grows with its length only.
+    """
+    padded = F.concat(F.lit(PAD), m["text"])
+    blocks = F.transform(F.regexp_extract_all(padded, F.lit(BLOCKS), F.lit(1)), lambda b, i: F.struct(b.alias("text"), (i * BLOCK).alias("off")))
+    held = F.filter(blocks, lambda b: F.length(b["text"]) >= MARGIN + WINDOW)
+    if by_window:
+        pieces = F.flatten(F.transform(held, lambda b: _pieces(b["text"], b["off"])))
+    else:
+        pieces = F.transform(held, lambda b: F.struct(b["off"].alias("at"), (b["off"] > 0).alias("joined"), F.substr(b["text"], F.lit(MARGIN + 1), F.lit(BLOCK + WINDOW - 1)).alias("text")))
+
+    def judged(most: Column) -> Column:
+        told = F.transform(pieces, lambda p: let(_hot(p["text"], most, by_window), lambda h: F.struct(p["joined"].alias("joined"), (p["at"] + h["first"]).alias("first"), (p["at"] + h["last"]).alias("last"))))
+        nothing = F.lit(None).cast("int")
+        begin = F.struct(nothing.alias("first"), nothing.alias("last"), F.array().cast("array<struct<start:int,end:int>>").alias("out"))
+        span = lambda acc: F.struct((m["at"] + acc["first"]).alias("start"), (m["at"] + acc["last"] + WINDOW).alias("end"))
+        closed = lambda acc: F.when(acc["first"].isNotNull(), F.array_append(acc["out"], span(acc))).otherwise(acc["out"])
+
+        def step(acc: Column, p: Column) -> Column:
+            on = F.struct(F.coalesce(acc["first"], p["first"]).alias("first"), F.coalesce(p["last"], acc["last"]).alias("last"), acc["out"].alias("out"))
+            return F.when(p["joined"], on).otherwise(F.struct(p["first"].alias("first"), p["last"].alias("last"), closed(acc).alias("out")))
+
+        return F.aggregate(told, begin, step, closed)
+
+    return let(_bound(m["text"], by_window), judged)
 
 
 def _entropy(text: Column, by_window: bool) -> Column:
-    mixed = lambda m: m["text"].rlike("[0-9]") & m["text"].rlike("[A-Za-z]") & (F.lit(by_window) | ~m["text"].rlike(ALLOW))
+    allowed = lambda m: m["text"].rlike(f"(?i){ALLOWED_WHOLE}") if by_window else m["text"].rlike(ALLOW)
+    mixed = lambda m: m["text"].rlike("[0-9]") & m["text"].rlike("[A-Za-z]") & ~allowed(m)
     found = F.transform(F.filter(matches(text, CANDIDATE), mixed), lambda m: F.struct(m["start"].alias("at"), m["text"].alias("text")))
-    if by_window:
-        placed = lambda m: F.transform(_sections(m["text"]), lambda c: F.struct((m["at"] + c["at"]).alias("at"), c["text"].alias("text")))
-        found = F.flatten(F.transform(found, placed))
-    hot = F.transform(found, lambda m: let(_hot(m["text"], by_window), lambda h: F.struct((m["at"] + h["first"]).alias("start"), (m["at"] + h["last"] + WINDOW).alias("end"))))
-    return _spans(F.filter(hot, lambda h: h["start"].isNotNull()), 3)
+    return _spans(F.flatten(F.transform(found, lambda m: _random(m, by_window))), 3)
 
 
 def find_secrets(docs: DataFrame, by_window: bool = False) -> DataFrame:

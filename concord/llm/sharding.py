@@ -3,7 +3,7 @@
 Documents that share a link key are linked; keys are hyperedges, so a group of n copies costs n rows and never n * n pairs. A
 document may have several keys. Every document starts with the label of its id's hash, one label a shard. In each
 round every key counts the labels of its documents (with map-side combine, so one key with a third of all rows is one
-row per task and label) and proposes its leading label to its documents, or as many leading labels as it needs shards if it is larger than one. A
+row per task and label) and proposes its leading label that isn't full to its documents, or as many leading labels as it needs shards if it is larger than one. A
 document with several keys follows the strongest proposal. It moves only within the quota of the target: what the shard still may take divided by
 how many want to enter, as a threshold on a hash of the id, so moves under a quota need neither a sort nor a gathered
 group. Targets are full at ``SLACK`` times the mean.
@@ -54,11 +54,14 @@ def propagate(links: DataFrame, shards: int, rounds: int = ROUNDS, slack: float
     state = cut(links.withColumn("label", F.floor(_part(0, "row") * shards).cast("int")))
     for k in range(1, rounds + 1):
         held = cut(state.where("key is not null").groupBy("key", "label").agg(F.count("*").alias("n")))
-        # per key its leading labels: at most one entry a shard
-        most = held.groupBy("key").agg(F.sum("n").alias("size"), F.sort_array(F.collect_list(F.struct("n", F.negative("label").alias("minus"))), False).alias("all"))
+        load = cut((state.dropDuplicates(["row"]) if overlapping else state).groupBy("label").agg(F.count("*").alias("load")))
+        full = F.broadcast(load.where(F.col("load") >= 0.95 * slack * share).select("label", F.lit(False).alias("room")))
+        # per key its leading labels, those with room before full ones unless the key needs several: at most one entry a shard
+        most = held.join(full, "label", "left").groupBy("key").agg(F.sum("n").alias("size"), F.collect_list(F.struct(F.coalesce("room", F.lit(True)).alias("room"), "n", F.negative("label").alias("minus"))).alias("all"))
         need = F.greatest(F.lit(1), F.least(F.size("all"), F.ceil(F.col("size") / F.lit(max(share, 1.0))).cast("int")))
-        lead = cut(most.where("size > 1").select("key", "size", F.slice("all", 1, need).alias("top")))
-        load = (state.dropDuplicates(["row"]) if overlapping else state).groupBy("label").agg(F.count("*").alias("load"))
+        order = F.sort_array(F.transform("all", lambda t: F.struct((t["room"] | (need > 1)).alias("room"), t["n"].alias("n"), t["minus"].alias("minus"))), False)
+        by_label = lambda x, y: F.when(x["minus"] < y["minus"], 1).when(x["minus"] > y["minus"], -1).otherwise(0)  # noqa: E731  so that a row of a large key has one target in all rounds
+        lead = cut(most.where("size > 1").select("key", "size", F.array_sort(F.slice(order, F.lit(1), need), by_label).alias("top")))
         outside = ~F.exists("top", lambda t: F.negative(t["minus"]) == F.col("label"))
         wish = held.join(lead, "key").where(outside)
         want = wish.select(F.explode("top").alias("t"), (F.col("n") / F.size("top")).alias("n")).groupBy(F.negative(F.col("t.minus")).alias("label")).agg(F.sum("n").alias("entering"))

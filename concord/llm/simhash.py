@@ -8,8 +8,8 @@ three bits, then on some segment of the ring a chain starts whose cumulative dif
 proportional budget after every step: 0 on the first segment, at most 1 on the first two, at most 2 on
 three, at most 3 on all four. The first two budgets become an equi-join: one side gives, for each start, the 32
 bits of the first two segments, the other side gives those bits and the 16 values that differ from them in
-one bit of the second segment. The third and fourth budgets and the full Hamming check stand in the join condition,
-so only links leave the join, each from its first viable chain. Nothing is capped.
+one bit of the second segment. The join condition then tries the third budget, which prunes most of what has met, and behind it the
+full Hamming check, so only links leave the join, each from its first viable chain. Nothing is capped.
 
 Exact copies of a fingerprint are merged before the join, so the join sees distinct fingerprints
 only, and the size of a group of copies never enters it. Defined results: a null text is an empty one;
@@ -68,20 +68,36 @@ def _turned(c: str, k: int) -> str:
     return c if k == 0 else f"(shiftleft({c}, {16 * k}) | shiftrightunsigned({c}, {64 - 16 * k}))"
 
 
-def links(prints: DataFrame) -> DataFrame:
-    """All pairs (a, b), a < b, of distinct fingerprints in column ``fp`` that differ in at most three bits."""
+X = "(a ^ b)"
+#: Differences on segment k: the leading 16 bits of that turn of the ring.
+SEGMENT = [f"bit_count({_turned(X, k)} & -281474976710656)" for k in range(4)]
+#: The budgets of a chain that starts at segment k: none on its first segment, one on two, two on three.
+VIABLE = [f"({SEGMENT[k]} = 0 and {SEGMENT[(k + 1) % 4]} <= 1 and {SEGMENT[(k + 1) % 4]} + {SEGMENT[(k + 2) % 4]} <= 2)" for k in range(4)]
+
+
+def _met(prints: DataFrame) -> DataFrame:
+    """(a, b, start): pairs of distinct fingerprints, a < b, that keep the first two budgets of the chain from a start."""
     ring = prints.select("fp").select("fp", F.posexplode(F.array(*[F.expr(_turned("fp", k)) for k in range(4)])).alias("start", "turn"))
     # key: chain start, first segment, second segment
     key = "shiftleft(cast(start as bigint), 32) | shiftrightunsigned(turn, 32)"
     left = ring.select(F.col("fp").alias("a"), F.expr(key).alias("key"))
     flips = F.array(F.lit(0).cast("long"), *[F.lit(1 << b).cast("long") for b in range(16)])
     right = ring.select(F.col("fp").alias("b"), F.expr(key).alias("key")).select("b", F.explode(F.transform(flips, lambda m: F.col("key").bitwiseXOR(m))).alias("key"))
-    x = "(a ^ b)"
-    d = [f"bit_count({_turned(x, k)} & -281474976710656)" for k in range(4)]  # differences on segment k: the leading 16 bits of that turn
-    viable = [f"({d[k]} = 0 and {d[(k + 1) % 4]} <= 1 and {d[(k + 1) % 4]} + {d[(k + 2) % 4]} <= 2)" for k in range(4)]
-    start = "shiftright(key, 32)"
-    first = "case " + " ".join(f"when {v} then {k}" for k, v in enumerate(viable)) + " end"
-    return left.join(right, "key").where(F.expr(f"a < b and bit_count(a ^ b) <= {REACH} and {first} = {start}")).select("a", "b")
+    return left.join(right, "key").where("a < b").withColumn("start", F.expr("shiftright(key, 32)"))
+
+
+def links(prints: DataFrame) -> DataFrame:
+    """All pairs (a, b), a < b, of distinct fingerprints in column ``fp`` that differ in at most three bits."""
+    third = "case start " + " ".join(f"when {k} then {v}" for k, v in enumerate(VIABLE)) + " end"
+    first = "case " + " ".join(f"when {v} then {k}" for k, v in enumerate(VIABLE)) + " end"
+    # the chain goes before the full check, and a pair leaves from its first viable chain only
+    return _met(prints).where(f"{third} and bit_count(a ^ b) <= {REACH} and {first} = start").select("a", "b")
+
+
+def pruning(prints: DataFrame) -> DataFrame:
+    """Cost measure: (met, chained, linked): pairs that keep two budgets, three budgets, and that are links, each counted for every start."""
+    third = "case start " + " ".join(f"when {k} then {v}" for k, v in enumerate(VIABLE)) + " end"
+    return _met(prints.select("fp").distinct()).agg(F.count("*").alias("met"), F.count_if(F.expr(third)).alias("chained"), F.count_if(F.expr(f"{third} and bit_count(a ^ b) <= {REACH}")).alias("linked"))
 
 
 def components(prints: DataFrame) -> DataFrame:
