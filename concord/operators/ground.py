@@ -52,6 +52,88 @@ class Classes:
         return root[1] if root[0] == "c" else self.value.get(root)
 
 
+class Tightened(Exception):
+    """An extension would bind or merge classes that were there before."""
+
+
+class Growing:
+    """One unifier for all reach sets of a component, grown from the sinks upwards.
+
+    A node adds its own variables to the classes of what it reaches. As long as it neither binds nor merges older classes, the sets
+    below keep their unifiers and sets beside it are not affected, so all share this structure; otherwise (``Tightened``) the extension is
+    taken back. Unions are by size and without path compression, so that they can be undone.
+    """
+
+    def __init__(self):
+        self.up: dict = {}
+        self.value: dict = {}
+        self.members: dict = {}
+        self.old: set = set()
+        self.trail: list = []
+
+    def find(self, t):
+        while (nxt := self.up.get(t, t)) != t:
+            t = nxt
+        return t
+
+    def constant(self, root: tuple):
+        return root[1] if root[0] == "c" else self.value.get(root)
+
+    def equate(self, a: tuple, b: tuple) -> bool:
+        """False on a conflict of constants."""
+        a, b = self.find(a), self.find(b)
+        if a == b:
+            return True
+        x, y = self.constant(a), self.constant(b)
+        if x is not None and y is not None:
+            return x == y
+        if (a in self.old and (b in self.old or y is not None)) or (b in self.old and x is not None):
+            raise Tightened
+        if len(self.members.get(a, (a,))) < len(self.members.get(b, (b,))):
+            a, b, x, y = b, a, y, x
+        mine = self.members.setdefault(a, [a])
+        self.trail.append((a, b, len(mine), x, a in self.old))
+        self.up[b] = a
+        mine += self.members.get(b, (b,))
+        if x is None and y is not None:
+            self.value[a] = y
+        if b in self.old:
+            self.old.add(a)
+        return True
+
+    def settle(self, variables) -> None:
+        """What has been added is part of the sets above from now on."""
+        self.old.update(map(self.find, variables))
+        self.trail.clear()
+
+    def undo(self) -> None:
+        while self.trail:
+            a, b, size, x, was_old = self.trail.pop()
+            del self.up[b], self.members[a][size:]
+            if x is None:
+                self.value.pop(a, None)
+            if not was_old:
+                self.old.discard(a)
+
+
+def linked_atoms(u: Growing, own: list, holding: dict, inside) -> list:
+    """The atoms that share variables, directly or through others, with a node's own atoms; atoms are (node, relation, terms), ``holding``
+    lists them by variable, ``inside`` tells the nodes of the set."""
+    seen, out, stack, classes = set(), [], list(own), set()
+    while stack:
+        atom = stack.pop()
+        if id(atom) in seen:
+            continue
+        seen.add(id(atom))
+        out.append((atom[1], atom[2]))
+        for t in atom[2]:
+            root = u.find(t)
+            if t[0] == "v" and root not in classes and u.constant(root) is None:
+                classes.add(root)
+                stack += [x for v in u.members.get(root, (root,)) for x in holding.get(v, ()) if x[0] in inside]
+    return out
+
+
 def unify(group: dict, links: list, keys: dict[str, list[int]]) -> tuple[Classes, list]:
     """Unifier and substituted body atoms (relation, class roots) of a group {qid: query}; links are (src, post_pos, dst, head_pos)."""
     u = Classes()
@@ -73,7 +155,7 @@ def unify(group: dict, links: list, keys: dict[str, list[int]]) -> tuple[Classes
     return u, atoms
 
 
-def parts(u: Classes, atoms: list) -> list[tuple[str, list[str], list]]:
+def parts(u: Classes | Growing, atoms: list) -> list[tuple[str, list[str], list]]:
     """(template, constants, class roots of the variables in template order) of each variable-disjoint part."""
     shaped = set()
     for rel, terms in atoms:

@@ -4,10 +4,14 @@ In a safe set a query needs exactly the queries its postconditions match, so a c
 everything it reaches. The sets tried are the reach sets of the components. A set coordinates if its queries unify and the
 combined query has a grounding; the best by a criterion is returned with a witness.
 
-``bulk`` (default) unifies all reach sets in one pass per weak component and grounds all distinct parts at once: right because a
-set that grounds contains only sets that ground. ``wave`` goes level by level from the sinks and skips nodes above a
-failure; ``sequential`` takes one component after another, the behaviour whose database queries the cost bounds count. ``bisect``
-tests chains by halving. All give the same statuses.
+Unification is incremental: from the sinks upwards each component adds its own edges to the unifier of what it reaches, so every edge is
+unified once (``steps`` counts). Only where a component binds or merges variables of the components below is its set, and those above it,
+unified by itself. A component keeps the parts of the combined query that hold atoms of its own; the rest it inherits, so it is
+grounded if its parts are and everything below coordinates.
+
+The modes differ in what they ground at a time: ``bulk`` (default) everything, ``wave`` the lowest level with something new,
+``sequential`` one component, never above a failure; ``bisect`` tests chains by halving. Equal parts are grounded once. All give the same statuses;
+the database queries that each issues logically are counted.
 """
 
 from __future__ import annotations
@@ -25,8 +29,10 @@ from concord.operators.select import Selection, largest
 from concord.operators.unify import extended_graph, unsafe_queries
 from concord.runtime import cut, keep
 
-NODE = """comp_id long, scc_id long, level int, n long, weight double, ids array<long>, below array<long>, next array<long>, unified boolean, edges long,
-parts array<struct<template:string,constants:array<string>>>"""
+#: A set: ``steps`` edges were unified for it, ``parts`` are its own, ``via`` are the edges that it uses if not all among its ids.
+NODE = """comp_id long, scc_id long, level int, n long, weight double, ids array<long>, next array<long>, unified boolean, steps long,
+parts array<struct<template:string,constants:array<string>>>, via array<struct<src:long,post_pos:int,dst:long,head_pos:int>>"""
+COLUMNS = [c.split()[0] for c in NODE.replace("\n", " ").split(", ")]
 
 
 def _terms(atoms) -> list:
@@ -43,35 +49,78 @@ def _load(pdf: pd.DataFrame) -> tuple[dict, dict]:
     return eqs, links
 
 
-def _nodes(eqs: dict, links: dict, keys: dict, scope: str) -> list[dict]:
-    """The candidate sets of a component with their unified parts. scope: reach (per component), union (all queries), alone (each query's body)."""
-    if scope == "alone":
-        order = [(q, 0, [q], [], []) for q in sorted(eqs)]
-    else:
-        out = {q: [d for _, d, _ in links[q]] for q in eqs}
-        scc = tarjan(sorted(eqs), out)
-        succ, level = condense_local(scc, out)
-        own: dict = {}
-        for q in sorted(eqs):
-            own.setdefault(scc[q], []).append(q)
-        if scope == "union":
-            order = [(min(eqs), 0 if len(succ) == 1 else -1, sorted(eqs), [], [])]
+def node_row(comp: int, scc: int, level: int, eqs: dict, ids: list, nxt: list, unified: bool, steps: int, found: list, via: list | None = None) -> tuple:
+    parts = [{"template": t, "constants": c} for t, c, _ in found]
+    used = None if via is None else [dict(zip(("src", "post_pos", "dst", "head_pos"), v, strict=True)) for v in via]
+    return comp, scc, level, len(ids), float(sum(eqs[q]["weight"] for q in ids)), ids, nxt, unified, steps, parts, used
+
+
+def _whole(eqs: dict, links: dict, ids: list, keys: dict) -> tuple[G.Classes, list, int]:
+    """Unifier, parts and steps of one set by itself."""
+    edges = [(q, p, d, h) for q in ids for p, d, h in links[q]]
+    u, atoms = G.unify({q: eqs[q] for q in ids}, edges, keys)
+    return u, [] if u.conflict else G.parts(u, atoms), len(edges)
+
+
+def _reach_rows(comp: int, eqs: dict, links: dict, keys: dict) -> list[tuple]:
+    """The reach set of every component, unified from the sinks upwards."""
+    out = {q: [d for _, d, _ in links[q]] for q in eqs}
+    scc = tarjan(sorted(eqs), out)
+    succ, level = condense_local(scc, out)
+    own: dict = {}
+    for q in sorted(eqs):
+        own.setdefault(scc[q], []).append(q)
+    grown, holding, below, alone, failed, made = G.Growing(), {}, {}, set(), set(), []
+    term = lambda q, t: ("v", q, t[0]) if t[0] is not None else ("c", t[1])
+    for s in sorted(succ, key=lambda c: (level[c], c)):
+        below[s] = {s}.union(*(below[t] for t in succ[s]))
+        ids = sorted(q for t in below[s] for q in own[t])
+        if succ[s] & failed:
+            failed.add(s)
+            made.append(node_row(comp, s, level[s], eqs, ids, sorted(succ[s]), False, 0, []))
+            continue
+        fits, found, steps = True, None, 0
+        if not keys and not succ[s] & alone:
+            try:
+                for q in own[s]:
+                    for p, d, h in links[q]:
+                        steps += 1
+                        for a, b in zip(eqs[q]["post"][p][1], eqs[d]["head"][h][1], strict=True):
+                            fits = fits and grown.equate(term(q, a), term(d, b))
+                if fits:
+                    atoms = [(s, rel, [term(q, t) for t in terms]) for q in own[s] for rel, terms in eqs[q]["body"]]
+                    for atom in atoms:
+                        for v in {t for t in atom[2] if t[0] == "v"}:
+                            holding.setdefault(v, []).append(atom)
+                    grown.settle([term(q, t) for q in own[s] for role in ("post", "head", "body") for _, ts in eqs[q][role] for t in ts if t[0] is not None])
+                    found = G.parts(grown, G.linked_atoms(grown, atoms, holding, below[s]))
+                else:
+                    grown.undo()
+            except G.Tightened:
+                grown.undo()
+                alone.add(s)
         else:
-            below: dict = {}
-            for s in sorted(succ, key=level.get):
-                below[s] = set().union(*({t} | below[t] for t in succ[s])) if succ[s] else set()
-            order = [(s, level[s], sorted(q for t in (s, *below[s]) for q in own[t]), sorted(below[s]), sorted(succ[s])) for s in succ]
-    made = []
-    for s, lvl, ids, under, nxt in order:
-        group = {q: eqs[q] for q in ids}
-        mine = [] if scope == "alone" else [(q, p, d, h) for q in ids for p, d, h in links[q]]
-        u, atoms = G.unify(group, mine, keys)
-        found = [] if u.conflict else G.parts(u, atoms)
-        made.append({"scc_id": s, "level": lvl, "n": len(ids), "weight": float(sum(e["weight"] for e in group.values())), "ids": ids, "below": under, "next": nxt,
-                     "unified": not u.conflict, "edges": len(mine), "parts": [{"template": t, "constants": c} for t, c, _ in found], "u": u, "found": found})
+            alone.add(s)
+        if s in alone:
+            u, found, more = _whole(eqs, links, ids, keys)
+            fits, steps = not u.conflict, steps + more
+        if not fits:
+            failed.add(s)
+        made.append(node_row(comp, s, level[s], eqs, ids, sorted(succ[s]), fits, steps, found or []))
     return made
 
 
+def _rows(comp: int, eqs: dict, links: dict, keys: dict, scope: str) -> list[tuple]:
+    """The candidate sets of a component. scope: reach (per component), union (all queries), alone (each query's body)."""
+    if scope == "reach":
+        return _reach_rows(comp, eqs, links, keys)
+    if scope == "alone":
+        return [node_row(comp, q, 0, eqs, [q], [], True, 0, _whole(eqs, {q: []}, [q], keys)[1], []) for q in sorted(eqs)]
+    one = len(set(tarjan(sorted(eqs), {q: [d for _, d, _ in links[q]] for q in eqs}).values())) == 1
+    u, found, steps = _whole(eqs, links, sorted(eqs), keys)
+    return [node_row(comp, min(eqs), 0 if one else -1, eqs, sorted(eqs), [], not u.conflict, steps, found)]
+
+
 def component_rows(eqs: DataFrame, ext: DataFrame, comp: DataFrame) -> DataFrame:
     """(comp_id, qid, weight, eq, links): one row per query under its weak component."""
     links = ext.groupBy("src").agg(F.collect_list(F.struct("post_pos", "dst", "head_pos")).alias("links"))
@@ -83,24 +132,79 @@ def component_rows(eqs: DataFrame, ext: DataFrame, comp: DataFrame) -> DataFrame
 def candidate_sets(rows: DataFrame, keys: dict[str, list[int]], scope: str) -> DataFrame:
     def run(pdf):
         eqs, links = _load(pdf)
-        comp = int(pdf["comp_id"].iloc[0])
-        out = [{k: v for k, v in n.items() if k not in ("u", "found")} | {"comp_id": comp} for n in _nodes(eqs, links, keys, scope)]
-        return pd.DataFrame(out, columns=["comp_id", "scc_id", "level", "n", "weight", "ids", "below", "next", "unified", "edges", "parts"])
+        return pd.DataFrame(_rows(int(pdf["comp_id"].iloc[0]), eqs, links, keys, scope), columns=COLUMNS)
 
     return rows.groupBy("comp_id").applyInPandas(run, NODE)
 
 
-def _grounded(nodes: DataFrame, catalog: dict, choose: str, known: DataFrame | None = None) -> tuple[DataFrame, DataFrame | None]:
-    """(scc_id, grounded) of the unified nodes, and the groundings of their parts."""
-    each = nodes.where("unified").select("scc_id", F.explode_outer("parts").alias("p")).select("scc_id", "p.template", "p.constants")
+# ---------------------------------------------------------------- grounding
+
+
+def _known(each: DataFrame, known: DataFrame | None, catalog: dict, choose: str) -> DataFrame | None:
+    """The parts known so far (template, constants, hit) and those of ``each``, grounded if they are new."""
     wanted = each.where("template is not null").select("template", "constants").distinct()
+    wanted = cut(wanted.join(known, ["template", "constants"], "left_anti") if known is not None else wanted)
     made = G.ground_batch(wanted, catalog, choose)
     if made is None:
-        return each.select("scc_id", F.lit(True).alias("grounded")).distinct(), None
-    made = keep(made)
-    hit = each.join(made.select("template", "constants", F.lit(True).alias("hit")), ["template", "constants"], "left")
-    ok = hit.groupBy("scc_id").agg(F.bool_and(F.col("template").isNull() | F.coalesce("hit", F.lit(False))).alias("grounded"))
-    return ok, made
+        return known
+    told = keep(wanted.join(made.select("template", "constants", F.lit(True).alias("hit")), ["template", "constants"], "left").select("template", "constants", F.coalesce("hit", F.lit(False)).alias("hit")))
+    return told if known is None else keep(known.unionByName(told))
+
+
+def _parts(nodes: DataFrame) -> DataFrame:
+    return nodes.select("comp_id", "scc_id", "level", F.explode_outer("parts").alias("p")).select("comp_id", "scc_id", "level", "p.template", "p.constants")
+
+
+def rate(nodes: DataFrame, known: DataFrame | None, inherit: bool = True) -> DataFrame:
+    """Adds the status, ``pending`` where parts are not known yet. With ``inherit`` a set above a failed one is ``successor_failed``, whatever it would be by itself."""
+    each = _parts(nodes.where("unified"))
+    each = each.join(known, ["template", "constants"], "left") if known is not None else each.withColumn("hit", F.lit(None).cast("boolean"))
+    seen = each.where("template is not null").groupBy("scc_id").agg(F.bool_or(~F.col("hit")).alias("missed"), F.bool_or(F.col("hit").isNull()).alias("open"))
+    own = F.when(~F.col("unified"), "unify_failed").when(F.coalesce("missed", F.lit(False)), "no_grounding").when(F.coalesce("open", F.lit(False)), "pending").otherwise("ok")
+    rated = nodes.join(seen, "scc_id", "left").withColumn("status", own).drop("missed", "open")
+    if not inherit:
+        return rated
+    failed = rated.where("status in ('unify_failed', 'no_grounding')").select(F.col("scc_id").alias("f"))
+    lost = nodes.select("scc_id", F.explode("ids").alias("f")).where("scc_id <> f").join(failed, "f").select("scc_id", F.lit(True).alias("lost")).distinct()
+    return rated.join(lost, "scc_id", "left").withColumn("status", F.when(F.col("lost"), "successor_failed").otherwise(F.col("status"))).drop("lost")
+
+
+def grounded(nodes: DataFrame, catalog: dict, choose: str, mode: str = "bulk", inherit: bool = True) -> DataFrame:
+    """The sets with their status; every round grounds the new parts of all pending sets, of those on the lowest level, or of one."""
+    known = None
+    while True:
+        rated = keep(rate(nodes, known, inherit))
+        pending = rated.where("status = 'pending'")
+        if mode == "wave":
+            pending = pending.join(F.broadcast(pending.agg(F.min("level").alias("level"))), "level")
+        elif mode == "sequential":
+            pending = pending.orderBy("level", "scc_id").limit(1)
+        before = known
+        known = _known(_parts(pending), known, catalog, choose)
+        if known is before:
+            return rated
+
+
+def _bisect(nodes: DataFrame, catalog: dict, choose: str) -> tuple[DataFrame, int]:
+    """Components with one node a level: reach sets are nested, so the levels that ground are a prefix, found by halving. Also the number of sets tried."""
+    per = nodes.groupBy("comp_id").agg(F.max("level").alias("top"), F.count("*").alias("k"))
+    if per.where("k <> top + 1").limit(1).count():
+        raise ValueError("bisect needs one node a level, so that reach sets are nested")
+    fits = nodes.where("not unified").groupBy("comp_id").agg(F.min("level").alias("stop"))  # unification alone bounds the prefix
+    span = cut(per.join(fits, "comp_id", "left").select("comp_id", F.lit(-1).alias("good"), F.coalesce("stop", F.col("top") + 1).alias("bad")))
+    known, tried = None, 0
+    while tried_now := span.where("bad - good > 1").count():
+        tried += tried_now
+        probe = span.where("bad - good > 1").select("comp_id", F.floor((F.col("good") + F.col("bad")) / 2).cast("int").alias("at"))
+        # the set at a level is everything up to it; what is known to ground already need not be asked again
+        each = keep(_parts(nodes).join(probe, "comp_id").where("level <= at"))
+        known = _known(each, known, catalog, choose)
+        told = each.join(known, ["template", "constants"], "left") if known is not None else each.withColumn("hit", F.lit(True))
+        fine = told.groupBy("comp_id", "at").agg(F.bool_and(F.col("template").isNull() | F.coalesce("hit", F.lit(False))).alias("fine"))
+        span = cut(span.join(fine, "comp_id", "left").select("comp_id", F.when(F.col("fine"), F.col("at")).otherwise(F.col("good")).alias("good"), F.when(~F.col("fine"), F.col("at")).otherwise(F.col("bad")).alias("bad")))
+    rated = nodes.join(span, "comp_id")
+    failed = F.when(F.col("level") > F.col("bad"), "successor_failed").when(F.col("unified"), "no_grounding").otherwise("unify_failed")
+    return rated.withColumn("status", F.when(F.col("level") <= F.col("good"), "ok").otherwise(failed)).drop("good", "bad"), tried
 
 
 @dataclass
@@ -108,9 +212,11 @@ class Coordination:
     nodes: DataFrame  # every candidate set with its status
     best: DataFrame
     rows: DataFrame
-    groundings: DataFrame | None
+    catalog: dict
     keys: dict
-    scope: str
+    choose: str
+    mode: str = "bulk"
+    tried: int | None = None  # sets that bisection has tried
     metrics: dict = field(default_factory=dict)
 
     def sets(self) -> DataFrame:
@@ -118,83 +224,37 @@ class Coordination:
         return self.nodes.where("status = 'ok'").select("scc_id", "n", "weight", "ids", F.array_join(F.transform("ids", lambda x: x.cast("string")), ",").alias("members"))
 
     def database_queries(self) -> DataFrame:
-        return self.nodes.agg(F.count_if(F.col("status").isin("ok", "no_grounding")).alias("db_queries"), F.count("*").alias("components"), F.sum(F.size("ids") * 0 + 1).alias("nodes"))
+        """(db_queries, components): combined queries that the mode issues. ``bulk`` asks for every set that unifies, the others for none above a failure."""
+        asked = F.count_if("unified") if self.mode == "bulk" else F.count_if(F.col("status").isin("ok", "no_grounding"))
+        asked = asked if self.tried is None else F.lit(self.tried).cast("long")
+        return self.nodes.agg(asked.alias("db_queries"), F.count("*").alias("components"))
 
     def assignment(self) -> DataFrame:
-        """(set_id, qid, var, val): the witness of the best set."""
-        keys, scope = self.keys, self.scope
-        chosen = self.best.select("scc_id", F.explode("ids").alias("qid"))
-        comp = self.rows.join(self.rows.join(chosen.limit(1), "qid").select("comp_id"), "comp_id", "left_semi").join(F.broadcast(self.best.select("scc_id")), how="cross")
+        """(set_id, qid, var, val): the witness of the best set. Only the queries of that set are read and unified."""
+        keys = self.keys
+        chosen = self.best.select("scc_id", "via", F.explode("ids").alias("qid"))
+        mine = self.rows.join(F.broadcast(chosen), "qid")
 
         def run(pdf):
             eqs, links = _load(pdf)
-            want = int(pdf["scc_id"].iloc[0])
-            node = next(n for n in _nodes(eqs, links, keys, scope) if n["scc_id"] == want)
-            u, out = node["u"], []
-            place = {v: (t, c, i) for t, c, names in node["found"] for i, v in enumerate(names)}
-            for q in node["ids"]:
-                e = eqs[q]
+            via = pdf["via"].iloc[0]
+            edges = [(q, p, d, h) for q in eqs for p, d, h in links[q] if d in eqs] if via is None else [(v["src"], v["post_pos"], v["dst"], v["head_pos"]) for v in via]
+            u, atoms = G.unify(eqs, edges, keys)
+            place = {v: (t, c, i) for t, c, names in G.parts(u, atoms) for i, v in enumerate(names)}
+            out = []
+            for q, e in eqs.items():
                 for var in sorted({t[0] for role in ("post", "head", "body") for _, terms in e[role] for t in terms if t[0] is not None}):
                     root = u.find(("v", q, var))
                     const = u.constant(root)
                     t, c, i = place.get(root, (None, None, None)) if const is None else (None, None, None)
-                    out.append((want, q, var, const, t, c, i))
+                    out.append((int(pdf["scc_id"].iloc[0]), q, var, const, t, c, i))
             return pd.DataFrame(out, columns=["set_id", "qid", "var", "const", "template", "constants", "slot"])
 
-        told = comp.groupBy("comp_id").applyInPandas(run, "set_id long, qid long, var string, const string, template string, constants array<string>, slot int")
-        if self.groundings is None:
+        told = keep(mine.groupBy("scc_id").applyInPandas(run, "set_id long, qid long, var string, const string, template string, constants array<string>, slot int"))
+        made = G.ground_batch(told.where("template is not null").select("template", "constants").distinct(), self.catalog, self.choose)
+        if made is None:
             return told.select("set_id", "qid", "var", F.col("const").alias("val"))
-        return told.join(self.groundings, ["template", "constants"], "left").select("set_id", "qid", "var", F.coalesce("const", F.get("witness", F.col("slot"))).alias("val"))
-
-
-def status_of(nodes: DataFrame, ok: DataFrame) -> DataFrame:
-    """Adds the status; a node above a failed one is ``successor_failed``, whatever it would be by itself."""
-    own = nodes.join(ok, "scc_id", "left").withColumn("own", F.when(~F.col("unified"), "unify_failed").when(F.coalesce("grounded", F.lit(False)), "ok").otherwise("no_grounding")).drop("grounded")
-    failed = own.where("own <> 'ok'").select(F.col("scc_id").alias("b"))
-    hit = own.select("scc_id", F.explode("below").alias("b")).join(failed, "b").select("scc_id", F.lit(True).alias("lost")).distinct()
-    return own.join(hit, "scc_id", "left").withColumn("status", F.when(F.col("lost"), "successor_failed").otherwise(F.col("own"))).drop("own", "lost")
-
-
-def _waves(nodes: DataFrame, catalog: dict, choose: str, one_by_one: bool) -> tuple[DataFrame, DataFrame | None]:
-    """Level by level (or one component at a time), never grounding above a failure."""
-    done, made = None, None
-    order = [r["level"] for r in nodes.select("level").distinct().orderBy("level").collect()]
-    for lvl in order:
-        here = nodes.where(F.col("level") == lvl)
-        if done is not None:
-            failed = done.where("status <> 'ok'").select(F.col("scc_id").alias("t"))
-            blocked = here.select("scc_id", F.explode("next").alias("t")).join(failed, "t").select("scc_id").distinct()
-        else:
-            blocked = here.select("scc_id").where("false")
-        free = cut(here.join(blocked, "scc_id", "left_anti"))
-        batches = [free.where(F.col("scc_id") == r["scc_id"]) for r in free.select("scc_id").orderBy("scc_id").collect()] if one_by_one else [free]
-        level_ok = None
-        for batch in batches:
-            ok, g = _grounded(batch, catalog, choose)
-            level_ok = ok if level_ok is None else level_ok.unionByName(ok)
-            made = g if made is None else made.unionByName(g) if g is not None else made
-        stat = free.join(level_ok, "scc_id", "left").withColumn("status", F.when(~F.col("unified"), "unify_failed").when(F.coalesce("grounded", F.lit(False)), "ok").otherwise("no_grounding")).drop("grounded") if level_ok is not None else free.withColumn("status", F.lit("ok"))
-        part = stat.unionByName(here.join(blocked, "scc_id", "left_semi").withColumn("status", F.lit("successor_failed")))
-        done = cut(part if done is None else done.unionByName(part))
-    return done if done is not None else nodes.withColumn("status", F.lit("ok")), (made.distinct() if made is not None else None)
-
-
-def _bisect(nodes: DataFrame, catalog: dict, choose: str) -> tuple[DataFrame, DataFrame | None]:
-    """Components with one node a level: reach sets are nested, so the levels that ground are a prefix, found by halving."""
-    per = nodes.groupBy("comp_id").agg(F.max("level").alias("top"), F.count("*").alias("k"))
-    if per.where("k <> top + 1").limit(1).count():
-        raise ValueError("bisect needs one node a level, so that reach sets are nested")
-    span = cut(per.select("comp_id", F.lit(-1).alias("good"), (F.col("top") + 1).alias("bad")))
-    made = None
-    while span.where("bad - good > 1").limit(1).count():
-        probe = cut(nodes.join(span.where("bad - good > 1").select("comp_id", F.floor((F.col("good") + F.col("bad")) / 2).cast("int").alias("level")), ["comp_id", "level"]))
-        ok, g = _grounded(probe, catalog, choose)
-        made = g if made is None else made.unionByName(g) if g is not None else made
-        told = probe.join(ok, "scc_id", "left").select("comp_id", F.col("level").alias("at"), F.coalesce("grounded", F.lit(False)).alias("fine"))
-        span = cut(span.join(told, "comp_id", "left").select("comp_id", F.when(F.col("fine"), F.col("at")).otherwise(F.col("good")).alias("good"), F.when(~F.col("fine"), F.col("at")).otherwise(F.col("bad")).alias("bad")))
-    rated = nodes.join(span, "comp_id")
-    failed = F.when(F.col("level") > F.col("bad"), "successor_failed").when(F.col("unified"), "no_grounding").otherwise("unify_failed")
-    return rated.withColumn("status", F.when(F.col("level") <= F.col("good"), "ok").otherwise(failed)).drop("good", "bad"), (made.distinct() if made is not None else None)
+        return told.join(made, ["template", "constants"], "left").select("set_id", "qid", "var", F.coalesce("const", F.get("witness", F.col("slot"))).alias("val"))
 
 
 def scc_coordinate(
@@ -222,15 +282,13 @@ def scc_coordinate(
     nodes = keep(candidate_sets(rows, keys, scope))
     if scope == "union":
         nodes = nodes.where("level >= 0") if on_unsafe == "error" else nodes
-    if mode == "bulk":
-        ok, made = _grounded(nodes, catalog, choose)
-        rated = keep(status_of(nodes, ok))
-    elif mode == "bisect":
-        rated, made = _bisect(nodes, catalog, choose)
+    tried = None
+    if mode == "bisect":
+        rated, tried = _bisect(nodes, catalog, choose)
     else:
-        rated, made = _waves(nodes, catalog, choose, mode == "sequential")
+        rated = grounded(nodes, catalog, choose, mode)
     best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["scc_id"]))
-    return Coordination(rated, best, rows, made, keys, scope)
+    return Coordination(rated, best, rows, catalog, keys, choose, mode, tried)
 
 
 def unique_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], keys: dict | None = None, check: bool = True) -> Coordination:

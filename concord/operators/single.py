@@ -107,14 +107,13 @@ def single_connected_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], s
         for k, (ids, used) in enumerate(sorted(_candidates(loaded, links))):
             u, atoms = G.unify({q: loaded[q] for q in ids}, used, {})
             found = [] if u.conflict else G.parts(u, atoms)
-            out.append((comp, (comp << 20) + k, 0, len(ids), float(sum(loaded[q]["weight"] for q in ids)), ids, [], [], not u.conflict, len(used), [{"template": t, "constants": c} for t, c, _ in found]))
-        return pd.DataFrame(out, columns=["comp_id", "scc_id", "level", "n", "weight", "ids", "below", "next", "unified", "edges", "parts"])
+            out.append(S.node_row(comp, (comp << 20) + k, 0, loaded, ids, [], not u.conflict, len(used), found, used))
+        return pd.DataFrame(out, columns=S.COLUMNS)
 
     nodes = keep(rows.groupBy("comp_id").applyInPandas(run, S.NODE))
-    ok, made = S._grounded(nodes, catalog, choose)
-    rated = keep(S.status_of(nodes, ok))
+    rated = S.grounded(nodes, catalog, choose, inherit=False)
     best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["scc_id"]))
-    return S.Coordination(rated, best, rows, made, {}, "single")
+    return S.Coordination(rated, best, rows, catalog, {}, choose)
 
 
 def exists_coordination(eqs: DataFrame, catalog: dict[str, DataFrame]) -> str:

@@ -38,14 +38,14 @@ def cost_report(run) -> DataFrame:
     n = run.nodes
     total = run.rows.count()
     one = n.agg(
-        F.count_if(F.col("status").isin("ok", "no_grounding")).cast("double").alias("db_queries"),
         F.count("*").cast("double").alias("components"),
         (F.max("level") + 1).cast("double").alias("levels"),
         F.coalesce(F.max(F.when(F.col("status") == "ok", F.col("n"))), F.lit(0)).cast("double").alias("set_size"),
         F.count_if(F.col("status") == "ok").cast("double").alias("sets_found"),
+        F.sum("steps").cast("double").alias("unify_steps"),
     )
-    steps = run.rows.agg(F.sum(F.size(F.coalesce("links", F.array().cast(run.rows.schema["links"].dataType)))).cast("double").alias("unify_steps"))
-    row = one.join(F.broadcast(steps), how="cross").withColumn("queries", F.lit(float(total))).withColumn("coverage", F.col("set_size") / F.lit(float(max(total, 1))))
+    asked = run.database_queries().select(F.col("db_queries").cast("double").alias("db_queries"))
+    row = one.join(F.broadcast(asked), how="cross").withColumn("queries", F.lit(float(total))).withColumn("coverage", F.col("set_size") / F.lit(float(max(total, 1))))
     return row.select(F.explode(F.create_map(*[x for c in row.columns for x in (F.lit(c), F.col(c))])).alias("name", "value"))
 
 
