@@ -6,14 +6,17 @@ the requests that can use it form a graph, which is cleaned to its greatest set
 keeps its partners; the best such set over all values wins.
 
 Plans at scale. Requests with equal own constants share one option list (signature). The data relation is read once per
-set of constrained attributes and reduced to distinct values before anything is shuffled. Values are
-independent, so cleaning partitions by value: ``local`` peels all values of a partition at once with
-vector arithmetic, ``rounds`` keeps counters in tables and moves only what has changed, for values whose graphs are too large for a task.
+set of constrained attributes and reduced to distinct values before anything is shuffled. Values with the same signatures have
+the same graph, so graphs are made and cleaned once per *pattern* (a set of signatures), and only the small table of signatures and values grows
+with the data. Patterns are independent, so cleaning partitions by pattern: ``local`` streams sorted patterns through a task and peels a batch of them at once with
+vector arithmetic, ``rounds`` keeps counters in tables and moves only what has changed, for graphs too large for a task. ``auto`` chooses
+by the number of edges.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -43,6 +46,13 @@ def validate_requests(requests: DataFrame, attributes: list[str]) -> DataFrame:
     return twice.unionByName(odd).unionByName(few).unionByName(mixed.select(F.lit("mixed_coordination").alias("rule"), "qid", F.lit("same_tuple").alias("detail")))
 
 
+def refuse(requests: DataFrame, attributes: list[str]) -> None:
+    """Raises on requests that the algorithm doesn't take."""
+    wrong = validate_requests(requests, attributes).orderBy("rule", "qid").limit(5).collect()
+    if wrong:
+        raise ValueError(f"requests refused: {[(r['rule'], r['qid'], r['detail']) for r in wrong]}")
+
+
 # ---------------------------------------------------------------- options
 
 
@@ -174,24 +184,57 @@ def _peel(value: np.ndarray, qid: np.ndarray, asks: dict[int, list]) -> np.ndarr
         alive[bad] = False
 
 
-def _clean_local(vq: DataFrame, edges: DataFrame, need: DataFrame, coord: list[str]) -> DataFrame:
+#: Up to so many edges partner lists are broadcast, and all graphs fit into tasks; batches of nodes that are peeled at once.
+EDGES_IN_TASK = 4_000_000
+BATCH_NODES = 200_000
+
+
+def _asks(edges: DataFrame, need: DataFrame) -> DataFrame:
+    """(qid, asks): needs and partner lists of every request that asks."""
     per = need.join(edges.withColumnsRenamed({"src": "qid"}), ["qid", "kind"], "left").groupBy("qid", "kind").agg(F.max("need").alias("need"), F.collect_set("dst").alias("to"))
-    asks = per.groupBy("qid").agg(F.collect_list(F.struct("need", "to")).alias("asks"))
-    dealt = vq.join(asks, "qid", "left").repartition(*coord)
-    out = _node_schema(vq, coord)
+    return per.groupBy("qid").agg(F.collect_list(F.struct("need", "to")).alias("asks"))
 
-    def run(frames):
-        pdf = pd.concat(list(frames), ignore_index=True)
-        if not len(pdf):
-            return
+
+def _clean_local(vq: DataFrame, edges: DataFrame, need: DataFrame, coord: list[str]) -> DataFrame:
+    asks, held = _asks(edges, need), None
+    nodes = vq.select(*coord, "qid")
+    if edges.count() <= EDGES_IN_TASK:
+        table = {r["qid"]: [(x["need"], x["to"]) for x in r["asks"]] for r in asks.collect()}  # bounded by the edges
+        held = vq.sparkSession.sparkContext.broadcast(table)
+    else:
+        nodes = nodes.join(asks, "qid", "left")
+    dealt = nodes.repartition(*coord).sortWithinPartitions(*coord)
+
+    def peeled(pdf):
         value = pdf.groupby(coord, sort=False, dropna=False).ngroup().to_numpy()
-        asks = pdf["asks"].to_numpy()
-        first = np.unique(pdf["qid"].to_numpy(np.int64), return_index=True)[1]
-        told = {int(i): [] if asks[i] is None else [(x["need"], x["to"]) for x in asks[i]] for i in first}
-        alive = _peel(value, pdf["qid"].to_numpy(np.int64), told)
-        yield pdf.loc[alive, [*coord, "qid"]]
+        qid = pdf["qid"].to_numpy(np.int64)
+        first = np.unique(qid, return_index=True)[1]
+        if held is not None:
+            told = {int(i): held.value.get(int(qid[i]), []) for i in first}
+        else:
+            asks = pdf["asks"].to_numpy()
+            told = {int(i): [] if asks[i] is None else [(x["need"], x["to"]) for x in asks[i]] for i in first}
+        return pdf.loc[_peel(value, qid, told), [*coord, "qid"]]
 
-    return dealt.mapInPandas(run, out)
+    def run(frames):
+        waiting = None
+        for frame in frames:
+            waiting = frame if waiting is None else pd.concat([waiting, frame], ignore_index=True)
+            if len(waiting) < BATCH_NODES:
+                continue
+            # whole groups only: from the last change of value on, rows wait
+            at, last = waiting[coord], waiting[coord].iloc[-1]
+            same = np.ones(len(waiting), bool)
+            for c in coord:
+                same &= at[c].isna().to_numpy() if pd.isna(last[c]) else (at[c] == last[c]).to_numpy()
+            begin = int(np.argmax(same))
+            if begin:
+                yield peeled(waiting.iloc[:begin].reset_index(drop=True))
+                waiting = waiting.iloc[begin:].reset_index(drop=True)
+        if waiting is not None and len(waiting):
+            yield peeled(waiting)
+
+    return dealt.mapInPandas(run, _node_schema(vq, coord))
 
 
 def _node_schema(vq: DataFrame, coord: list[str]):
@@ -212,6 +255,8 @@ def _clean_rounds(vq: DataFrame, edges: DataFrame, need: DataFrame, coord: list[
         slots = cut(slots.join(dead, [*coord, "qid"], "left_anti").join(lost, [*coord, "qid", "kind"], "left").withColumn("have", F.col("have") - F.coalesce("lost", F.lit(0))).drop("lost"))
         dead = cut(slots.where("have < need").select(*coord, "qid").distinct())
         gone = cut(gone.unionByName(dead))
+    else:
+        raise RuntimeError("cleaning did not end within its rounds")
     return vq.select(*coord, "qid").join(gone, [*coord, "qid"], "left_anti")
 
 
@@ -234,8 +279,10 @@ def _clean_sequential(vq: DataFrame, edges: DataFrame, need: DataFrame, coord: l
     return spark.createDataFrame(found, schema)
 
 
-def clean(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str], mode: str = "local") -> DataFrame:
+def clean(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str], mode: str = "auto") -> DataFrame:
     """(coordination attributes, qid): the greatest set per value in which every request keeps its partners."""
+    if mode == "auto":
+        mode = "local" if edges.count() <= EDGES_IN_TASK else "rounds"
     how = {"local": _clean_local, "rounds": _clean_rounds, "sequential": _clean_sequential}[mode]
     return how(vq, edges, needs(requests), coord)
 
@@ -246,14 +293,34 @@ def clean(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str]
 @dataclass
 class Consistent:
     coord: list[str]
-    vq: DataFrame
+    lists: DataFrame  # (sig_id, coordination attributes): the option list of each signature
+    signed: DataFrame  # (qid, sig_id)
+    patterns: DataFrame  # (coordination attributes, pid): values by the set of signatures that can use them
+    nodes: DataFrame  # (pid, qid)
     edges: DataFrame
-    survivors: DataFrame
+    cleaned: DataFrame  # (pid, qid) that are left
     sets: DataFrame
     best: DataFrame
     assignment: DataFrame
     metrics: dict = field(default_factory=dict)
 
+    @cached_property
+    def vq(self) -> DataFrame:
+        """(qid, coordination attributes): all options, one row each."""
+        return self.signed.join(self.lists, "sig_id").select("qid", *self.coord)
+
+    @cached_property
+    def survivors(self) -> DataFrame:
+        """(coordination attributes, qid) left after cleaning."""
+        return self.patterns.join(self.cleaned, "pid").select(*self.coord, "qid")
+
+    def memory(self) -> DataFrame:
+        """(edges, option_rows, list_rows, patterns, values): what is held, edges and options as one-at-a-time processing holds them."""
+        values = self.patterns.agg(F.count("*").alias("values"))
+        rows = self.signed.groupBy("sig_id").agg(F.count("*").alias("n")).join(self.lists, "sig_id").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("option_rows"), F.count("*").alias("list_rows"))
+        pids = self.patterns.agg(F.countDistinct("pid").alias("patterns"))
+        return self.edges.agg(F.count("*").alias("edges")).join(F.broadcast(rows), how="cross").join(F.broadcast(pids), how="cross").join(F.broadcast(values), how="cross")
+
 
 def value_sets(survivors: DataFrame, requests: DataFrame, coord: list[str]) -> DataFrame:
     """(coordination attributes, n, weight, members): one set per value."""
@@ -281,17 +348,49 @@ def assign(best: DataFrame, requests: DataFrame, data: DataFrame, key: Key, coor
 
 
 def consistent_coordinate(
-    requests: DataFrame, data: DataFrame, key: Key, coord: list[str], friends: DataFrame, select: Selection | None = None, mode: str = "local", allow_self: bool = True
+    requests: DataFrame, data: DataFrame, key: Key, coord: list[str], friends: DataFrame, select: Selection | None = None, mode: str = "auto", allow_self: bool = True
 ) -> Consistent:
-    """The whole algorithm. Requests with ``same_tuple`` make the key a coordination attribute."""
+    """The whole algorithm. Requests with ``same_tuple`` make the key a coordination attribute. Requests that break a rule of ``validate_requests`` are refused."""
+    requests = keep(requests)
+    refuse(requests, data.columns)
     if requests.where("same_tuple").limit(1).count():
         coord = [*coord, *[k for k in keys(key) if k not in coord]]
-    vq = keep(options(requests, data, coord, friends))  # read for the graph, the cleaning and the reports
-    edges = cut(pruned_graph(requests, friends, vq, allow_self))
-    survivors = clean(vq, edges, requests, coord, mode)
-    sets = keep(value_sets(survivors, requests, coord))
+    able = befriended(requests, friends)
+    told = signatures(able).select("qid", "sig")
+    lead = told.groupBy("sig").agg(F.min("qid").alias("sig_id"))
+    lists = keep(option_lists(able, data, coord).join(lead, "sig").select("sig_id", *coord))
+    signed = keep(told.join(lead, "sig").join(lists.select("sig_id").distinct(), "sig_id", "left_semi").select("qid", "sig_id"))
+    edges = cut(pruned_graph(requests, friends, signed, allow_self))
+    by_value = lists.groupBy(*coord).agg(F.sort_array(F.collect_set("sig_id")).alias("sigs"))
+    by_value = keep(by_value)
+    shapes = keep(by_value.select("sigs").distinct().withColumn("pid", F.monotonically_increasing_id()))
+    patterns = keep(by_value.join(shapes, "sigs").select(*coord, "pid"))
+    nodes = keep(shapes.select("pid", F.explode("sigs").alias("sig_id")).join(signed, "sig_id").select("pid", "qid"))
+    cleaned = keep(clean(nodes, edges, requests, ["pid"], mode))
+    per = keep(value_sets(cleaned, requests, ["pid"]))
+    sets = patterns.join(per, "pid").select(*coord, "n", "weight", "members", "ids")
     best = cut((select or largest()).pick(sets, coord))  # one row
-    return Consistent(coord, vq, edges, survivors, sets, best, assign(best, requests, data, key, coord))
+    return Consistent(coord, lists, signed, patterns, nodes, edges, cleaned, sets, best, assign(best, requests, data, key, coord))
+
+
+def exists_set(requests: DataFrame, data: DataFrame, key: Key, coord: list[str], friends: DataFrame) -> bool:
+    """The decision problem for consistent requests."""
+    return not consistent_coordinate(requests, data, key, coord, friends).best.isEmpty()
+
+
+def cleaning_rounds(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str]) -> DataFrame:
+    """(round, removed): requests that fall out of their values in each round of cleaning, up to the last with any."""
+    left, k, out = keep(vq.select(*coord, "qid")), 0, None
+    need = needs(requests)
+    while True:
+        have = subgraphs(left, edges, coord).groupBy(*coord, F.col("src").alias("qid"), "kind").agg(F.countDistinct("dst").alias("have"))
+        short = left.join(need, "qid").join(have, [*coord, "qid", "kind"], "left").where("coalesce(have, 0) < need").select(*coord, "qid").distinct()
+        short = cut(short)
+        row = short.agg(F.lit(k + 1).alias("round"), F.count("*").alias("removed")).where("removed > 0")
+        out = row if out is None else out.unionByName(row)
+        if short.isEmpty():
+            return out
+        left, k = keep(left.join(short, [*coord, "qid"], "left_anti")), k + 1
 
 
 def largest_with_early_stop(vq: DataFrame, edges: DataFrame, requests: DataFrame, coord: list[str], at_least: int = 256) -> tuple[DataFrame, int]:
@@ -333,7 +432,7 @@ def pack_values(run: Consistent, requests: DataFrame, limit: int | None = None)
     can hold are dropped as soon as they fall out, since the greatest set of fewer users lies in that of more.
     """
     empty = run.best.select(F.lit(0).alias("place"), *run.coord, "n", "members").where("false")
-    edges, alive = cut(run.edges), cut(run.survivors)
+    edges, alive = run.edges, cut(run.survivors)
     out, k = None, 0
     while not alive.isEmpty() and (limit is None or k < limit):
         best = cut(largest().pick(value_sets(alive, requests, run.coord), run.coord))

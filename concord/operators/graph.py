@@ -203,6 +203,8 @@ def _fwbw(nodes: DataFrame, edges: DataFrame, max_rounds: int = 1000) -> DataFra
         done = found if done is None else done.unionByName(found)
         left = cut(left.join(found, "qid", "left_anti"))
         e = cut(e.join(left.withColumnRenamed("qid", "src"), "src", "left_semi").join(left.withColumnRenamed("qid", "dst"), "dst", "left_semi"))
+    else:
+        raise RuntimeError("strong components did not end within their rounds")
     if done is None:
         done = nodes.select("qid", F.col("qid").alias("scc_id")).where("false")
     comp = weak_components(edges)
@@ -219,9 +221,13 @@ def condense(edges: DataFrame, scc: DataFrame) -> DataFrame:
 def levels(dag: DataFrame, nodes: DataFrame, max_rounds: int = 100_000) -> DataFrame:
     """(scc_id, level) by peeling sinks, for graphs beyond one task."""
     left, e, done, k = cut(nodes.select("scc_id").distinct()), cut(dag), None, 0
-    while not left.isEmpty() and k < max_rounds:
+    while not left.isEmpty():
+        if k >= max_rounds:
+            raise RuntimeError("levels did not end within their rounds")
         sinks = cut(left.join(e.select(F.col("src_scc").alias("scc_id")).distinct(), "scc_id", "left_anti").withColumn("level", F.lit(k)))
         done = sinks if done is None else done.unionByName(sinks)
+        if sinks.isEmpty():
+            raise ValueError("levels need an acyclic graph")
         left = cut(left.join(sinks, "scc_id", "left_anti"))
         e = cut(e.join(sinks.select(F.col("scc_id").alias("dst_scc")), "dst_scc", "left_anti"))
         k += 1

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from concord.operators import ground as G
-from concord.operators.graph import condense_local, prune_unmatched, tarjan, weak_components
+from concord.operators.graph import condense_local, prune_unmatched, strong_components, tarjan, weak_components
 from concord.operators.select import Selection, largest
 from concord.operators.unify import extended_graph, unsafe_queries
 from concord.runtime import cut, keep
@@ -169,11 +169,14 @@ def rate(nodes: DataFrame, known: DataFrame | None, inherit: bool = True) -> Dat
     return rated.join(lost, "scc_id", "left").withColumn("status", F.when(F.col("lost"), "successor_failed").otherwise(F.col("status"))).drop("lost")
 
 
-def grounded(nodes: DataFrame, catalog: dict, choose: str, mode: str = "bulk", inherit: bool = True) -> DataFrame:
-    """The sets with their status; every round grounds the new parts of all pending sets, of those on the lowest level, or of one."""
+def grounded(nodes: DataFrame, catalog: dict, choose: str, mode: str = "bulk", inherit: bool = True, stop: bool = False) -> DataFrame:
+    """The sets with their status; every round grounds the new parts of all pending sets, of those on the lowest level, or of one.
+    With ``stop`` it ends with the first round that has found a set; what was not tried by then is ``not_tried``."""
     known = None
     while True:
         rated = keep(rate(nodes, known, inherit))
+        if stop and not rated.where("status = 'ok'").isEmpty():
+            return rated.withColumn("status", F.when(F.col("status") == "pending", "not_tried").otherwise(F.col("status")))
         pending = rated.where("status = 'pending'")
         if mode == "wave":
             pending = pending.join(F.broadcast(pending.agg(F.min("level").alias("level"))), "level")
@@ -259,12 +262,17 @@ class Coordination:
 
 def scc_coordinate(
     eqs: DataFrame, catalog: dict[str, DataFrame], keys: dict[str, list[int]] | None = None, select: Selection | None = None,
-    mode: str = "bulk", choose: str = "min", on_unsafe: str = "error", scope: str = "reach",
+    mode: str = "bulk", choose: str = "min", on_unsafe: str = "error", scope: str = "reach", stop_at_first: bool = False,
 ) -> Coordination:
     """Best coordinating set among the reach sets of a safe set of queries, with all candidates and their statuses.
 
-    ``keys`` declares key positions of relations, which lets contradictory sets fail without a database query.
+    ``keys`` declares key positions of relations, which lets contradictory sets fail without a database query. Unsafe queries are
+    refused (``error``), or their weak components go to the algorithm for single-connected sets, which refuses others (``route``);
+    ``ignore`` is for the whole-component baseline only, which unifies a postcondition with all its heads. ``stop_at_first`` ends at the first level (in
+    ``sequential``: component) that has a coordinating set, leaving the rest untried.
     """
+    if on_unsafe not in ("error", "route", "ignore") or (on_unsafe == "ignore" and scope != "union") or (on_unsafe == "route" and (scope, mode) != ("reach", "bulk")):
+        raise ValueError(f"on_unsafe={on_unsafe!r} with scope={scope!r}, mode={mode!r}")
     keys = keys or {}
     eqs = keep(eqs)
     ext = keep(extended_graph(eqs))
@@ -279,6 +287,13 @@ def scc_coordinate(
     if scope == "alone":
         inner = inner.where("false")
     rows = keep(component_rows(live, inner, comp))
+    routed = None
+    if on_unsafe == "route":
+        from concord.operators.single import single_sets
+
+        odd = rows.join(unsafe_queries(inner), "qid", "left_semi").select("comp_id").distinct()
+        routed = keep(single_sets(rows.join(odd, "comp_id", "left_semi")))
+        every, rows = rows, rows.join(odd, "comp_id", "left_anti")
     nodes = keep(candidate_sets(rows, keys, scope))
     if scope == "union":
         nodes = nodes.where("level >= 0") if on_unsafe == "error" else nodes
@@ -286,7 +301,9 @@ def scc_coordinate(
     if mode == "bisect":
         rated, tried = _bisect(nodes, catalog, choose)
     else:
-        rated = grounded(nodes, catalog, choose, mode)
+        rated = grounded(nodes, catalog, choose, "wave" if stop_at_first and mode == "bulk" else mode, stop=stop_at_first)
+    if routed is not None:
+        rated, rows = rated.unionByName(grounded(routed, catalog, choose, inherit=False)), every
     best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["scc_id"]))
     return Coordination(rated, best, rows, catalog, keys, choose, mode, tried)
 
@@ -297,6 +314,30 @@ def unique_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], keys: dict
     return scc_coordinate(eqs, catalog, keys, scope="union", on_unsafe="error" if check else "ignore")
 
 
+def uniqueness(eqs: DataFrame, ext: DataFrame | None = None) -> DataFrame:
+    """(comp_id, queries, is_safe, is_unique) per weak component: unique components are safe and strongly connected."""
+    ext = keep(extended_graph(eqs) if ext is None else ext)
+    scc = strong_components(eqs.select("qid"), ext.select("src", "dst").distinct())
+    told = scc.join(unsafe_queries(ext).withColumn("bad", F.lit(True)), "qid", "left")
+    per = told.groupBy("comp_id").agg(F.count("*").alias("queries"), F.countDistinct("scc_id").alias("k"), F.count_if("bad").alias("bad"))
+    return per.select("comp_id", "queries", (F.col("bad") == 0).alias("is_safe"), ((F.col("bad") == 0) & (F.col("k") == 1)).alias("is_unique"))
+
+
+def union_check(run: Coordination, sets: list[int], catalog: dict[str, DataFrame]) -> DataFrame:
+    """(n, members, status) of the union of some of a run's sets: whether they coordinate together, which the reach sets don't try."""
+    ids = run.nodes.where(F.col("scc_id").isin(sets)).select(F.explode("ids").alias("qid")).distinct()
+    rows, keys = run.rows.join(ids, "qid", "left_semi").withColumn("comp_id", F.lit(0).cast("long")), run.keys
+
+    def one(pdf):
+        eqs, links = _load(pdf)
+        links = {q: [x for x in to if x[1] in eqs] for q, to in links.items()}
+        u, found, steps = _whole(eqs, links, sorted(eqs), keys)
+        return pd.DataFrame([node_row(0, min(eqs), 0, eqs, sorted(eqs), [], not u.conflict, steps, found)], columns=COLUMNS)
+
+    nodes = keep(rows.groupBy("comp_id").applyInPandas(one, NODE))  # the caller's few sets
+    return grounded(nodes, catalog, run.choose, inherit=False).select("n", F.array_join(F.transform("ids", lambda x: x.cast("string")), ",").alias("members"), "status")
+
+
 def bodies_only(eqs: DataFrame, catalog: dict[str, DataFrame]) -> Coordination:
     """Each body by itself, partners ignored: an upper bound on who can be served."""
     return scc_coordinate(eqs, catalog, scope="alone")

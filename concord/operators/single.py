@@ -10,13 +10,17 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from concord.model import Entangled, encoded
 from concord.operators import ground as G
 from concord.operators import scc as S
 from concord.operators.graph import weak_components
 from concord.operators.select import Selection, largest
-from concord.operators.unify import extended_graph
+from concord.operators.unify import extended_graph, unsafe_queries
 from concord.runtime import cut, keep
 
+#: Rows a relation may have where the exhaustive search decides.
+EXACT_ROWS = 200
+
 
 def one_path(nodes: list, out: dict) -> bool:
     """Whether no pair of nodes has two vertex-simple paths (parallel edges count)."""
@@ -90,11 +94,8 @@ def _candidates(eqs: dict, links: dict) -> list[tuple[list, list]]:
     return [(list(k), v) for k, v in made.items()]
 
 
-def single_connected_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], select: Selection | None = None, choose: str = "min") -> S.Coordination:
-    """All tested sets with their status, and the best. set ids are numbered inside a component by members."""
-    eqs = keep(eqs)
-    ext = keep(extended_graph(eqs))
-    rows = keep(S.component_rows(eqs, ext, cut(weak_components(ext))))
+def single_sets(rows: DataFrame) -> DataFrame:
+    """The sets to test in single-connected components, numbered below zero; other components are refused."""
 
     def run(pdf):
         loaded, links = S._load(pdf)
@@ -107,19 +108,37 @@ def single_connected_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], s
         for k, (ids, used) in enumerate(sorted(_candidates(loaded, links))):
             u, atoms = G.unify({q: loaded[q] for q in ids}, used, {})
             found = [] if u.conflict else G.parts(u, atoms)
-            out.append(S.node_row(comp, (comp << 20) + k, 0, loaded, ids, [], not u.conflict, len(used), found, used))
+            out.append(S.node_row(comp, -(comp << 20) - k - 1, 0, loaded, ids, [], not u.conflict, len(used), found, used))
         return pd.DataFrame(out, columns=S.COLUMNS)
 
-    nodes = keep(rows.groupBy("comp_id").applyInPandas(run, S.NODE))
-    rated = S.grounded(nodes, catalog, choose, inherit=False)
-    best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["scc_id"]))
+    return rows.groupBy("comp_id").applyInPandas(run, S.NODE)
+
+
+def single_connected_coordinate(eqs: DataFrame, catalog: dict[str, DataFrame], select: Selection | None = None, choose: str = "min") -> S.Coordination:
+    """All tested sets with their status, and the best."""
+    eqs = keep(eqs)
+    ext = keep(extended_graph(eqs))
+    rows = keep(S.component_rows(eqs, ext, cut(weak_components(ext))))
+    rated = S.grounded(keep(single_sets(rows)), catalog, choose, inherit=False)
+    best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["n", "ids"]))
     return S.Coordination(rated, best, rows, catalog, {}, choose)
 
 
-def exists_coordination(eqs: DataFrame, catalog: dict[str, DataFrame]) -> str:
-    """Which algorithm decides this set, or ``exact`` if none of the tractable classes fits (small inputs only)."""
-    ext = extended_graph(eqs)
-    if ext.groupBy("src", "post_pos").agg(F.count("*").alias("n")).where("n > 1").limit(1).count() == 0:
-        return "safe"
-    report = is_single_connected(eqs, ext)
-    return "single_connected" if report.where("not (single_post and one_path)").limit(1).count() == 0 else "exact"
+def exists_coordination(eqs: DataFrame, catalog: dict[str, DataFrame]) -> tuple[bool, str]:
+    """The decision problem: whether some set coordinates, and which algorithm has decided: ``safe``, ``single_connected`` or,
+    for at most 14 queries outside these classes over relations of at most ``EXACT_ROWS`` rows, ``exact``. Larger ones are refused."""
+    eqs = keep(eqs)
+    ext = keep(extended_graph(eqs))
+    if unsafe_queries(ext).isEmpty():
+        return not S.scc_coordinate(eqs, catalog, stop_at_first=True).best.isEmpty(), "safe"
+    if is_single_connected(eqs, ext).where("not (single_post and one_path)").isEmpty():
+        return not single_connected_coordinate(eqs, catalog).best.isEmpty(), "single_connected"
+    from concord.functions.exact import exact_max
+
+    few = eqs.limit(15).collect()
+    small = {rel: df.limit(EXACT_ROWS + 1).select(F.array(*[encoded(F.col(c), k) for c, k in df.dtypes])).collect() for rel, df in catalog.items()}
+    if len(few) > 14 or any(len(r) > EXACT_ROWS for r in small.values()):
+        raise ValueError("unsafe and not single-connected: only small sets can be decided")
+    terms = lambda atoms: [(a["rel"], [(t["var"], t["const"]) for t in a["terms"]]) for a in atoms]
+    queries = [Entangled(r["qid"], post=terms(r["post"]), head=terms(r["head"]), body=terms(r["body"])) for r in few]
+    return bool(exact_max(queries, {rel: {tuple(r[0]) for r in rows} for rel, rows in small.items()})), "exact"

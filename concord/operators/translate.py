@@ -87,5 +87,12 @@ def coordination_signature(eqs: DataFrame, relation: str, attributes: list[str])
     return told.where(F.size("rows") > 1).select("qid", F.array_join(F.array_compact(names), ",").alias("attributes"))
 
 
+def refuse_mixed(eqs: DataFrame, relation: str, attributes: list[str]) -> None:
+    """Raises if the queries coordinate on different attributes: that case is as hard as the general one."""
+    kinds = [r["attributes"] for r in coordination_signature(eqs, relation, attributes).select("attributes").distinct().limit(5).collect()]
+    if len(kinds) > 1:
+        raise ValueError(f"queries coordinate on different attributes: {sorted(kinds)}")
+
+
 def _column(i: int):
     return F.transform("rows", lambda r: F.get(r, i))

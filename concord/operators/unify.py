@@ -9,6 +9,9 @@ the shared constants.
 
 from __future__ import annotations
 
+import json
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,6 +23,32 @@ def _shared(mask: str):
     return F.to_json(F.filter(F.transform("terms", lambda t, i: F.when(F.call_function("shiftright", F.col(mask), i).bitwiseAND(F.lit(1)) == 1, t["const"])), lambda c: c.isNotNull()))
 
 
+def terms_unify(post: list[dict], head: list[dict]) -> bool:
+    """Whether two lists of terms have a unifier; the variables of the two are apart."""
+    up: dict = {}
+
+    def find(t):
+        while t in up:
+            t = up[t]
+        return t
+
+    for a, b in zip(post, head, strict=True):
+        x, y = (find(("c", t["const"]) if t.get("const") is not None else (side, t["var"])) for side, t in (("p", a), ("h", b)))
+        if x != y:
+            if x[0] == "c" and y[0] == "c":
+                return False
+            up[y if x[0] == "c" else x] = x if x[0] == "c" else y
+    return True
+
+
+def _unify_udf():
+    @F.pandas_udf("boolean")
+    def told(post: pd.Series, head: pd.Series) -> pd.Series:
+        return pd.Series([terms_unify(json.loads(a), json.loads(b)) for a, b in zip(post, head, strict=True)], dtype=bool)
+
+    return told
+
+
 def unifiable_pairs(posts: DataFrame, heads: DataFrame, join: str = "mask", mode: str = "positional") -> DataFrame:
     """(src, post_pos, dst, head_pos). ``join='nested'`` compares all pairs (an ablation for small inputs);
     ``mode='mgu'`` also demands that repeated variables can be equal."""
@@ -35,9 +64,12 @@ def unifiable_pairs(posts: DataFrame, heads: DataFrame, join: str = "mask", mode
         right = h.join(patterns, ["rel", "arity", "hm"]).withColumn("key", _shared("both")).withColumnRenamed("terms", "hterms")
         pairs = left.join(right, ["rel", "arity", "pm", "hm", "both", "key"])
     if mode == "mgu":
-        # classes of positions: a variable's occurrences must not meet two constants
-        side = lambda t, other: F.forall(F.filter(t, lambda x: x["var"].isNotNull()), lambda x: F.size(F.array_distinct(F.filter(F.transform(F.arrays_zip(t, other), lambda z: F.when(z["0"]["var"] == x["var"], z["1"]["const"])), lambda c: c.isNotNull()))) <= 1)
-        pairs = pairs.where(side(F.col("terms").alias("0"), F.col("hterms").alias("1")) & side(F.col("hterms").alias("0"), F.col("terms").alias("1")))
+        names = lambda t: F.filter(F.transform(t, lambda x: x["var"]), lambda v: v.isNotNull())
+        repeats = lambda t: F.size(names(t)) > F.size(F.array_distinct(names(t)))
+        again = repeats("terms") | repeats("hterms")
+        # agreeing constants decide, unless a variable repeats: only those pairs go through a union-find
+        odd = pairs.where(again).where(_unify_udf()(F.to_json("terms"), F.to_json("hterms")))
+        pairs = pairs.where(~again).unionByName(odd)
     return pairs.select("src", "post_pos", "dst", "head_pos")
 
 

@@ -12,15 +12,13 @@ from concord.model import encoded
 
 def verify_set(assignment: DataFrame, eqs: DataFrame, catalog: dict[str, DataFrame]) -> DataFrame:
     """Violations (rule, qid, detail) of (set_id, qid, var, val): unassigned variables, body atoms that are no row, postconditions without a head."""
-    members = assignment.select("qid").distinct()
-    chosen = eqs.join(members, "qid", "left_semi")
-    value = assignment.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("var", "val"))).alias("h"))
-    told = chosen.join(value, "qid", "left")
+    value = assignment.groupBy("set_id", "qid").agg(F.map_from_entries(F.collect_list(F.struct("var", "val"))).alias("h"))
+    told = eqs.join(value, "qid")
 
     def grounded(role: str) -> DataFrame:
-        g = told.select("qid", "h", F.posexplode(role).alias("pos", "a"))
+        g = told.select("set_id", "qid", "h", F.posexplode(role).alias("pos", "a"))
         terms = F.transform("a.terms", lambda t: F.coalesce(t["const"], F.element_at("h", t["var"])))
-        return g.select("qid", F.col("a.rel").alias("rel"), "pos", terms.alias("terms"))
+        return g.select("set_id", "qid", F.col("a.rel").alias("rel"), "pos", terms.alias("terms"))
 
     heads, posts, bodies = grounded("head"), grounded("post"), grounded("body")
     every = heads.unionByName(posts).unionByName(bodies)
@@ -29,7 +27,7 @@ def verify_set(assignment: DataFrame, eqs: DataFrame, catalog: dict[str, DataFra
         rows = data.select(F.array(*[encoded(F.col(c), data.schema[c].dataType.simpleString()) for c in data.columns]).alias("terms"))
         lost = bodies.where(F.col("rel") == rel).join(rows, "terms", "left_anti")
         out = out.unionByName(lost.select(F.lit("body_not_in_data").alias("rule"), "qid", F.col("rel").alias("detail")))
-    unmet = posts.join(heads.select("rel", "terms").distinct(), ["rel", "terms"], "left_anti")
+    unmet = posts.join(heads.select("set_id", "rel", "terms").distinct(), ["set_id", "rel", "terms"], "left_anti")
     return out.unionByName(unmet.select(F.lit("postcondition_unmet").alias("rule"), "qid", F.col("rel").alias("detail")))
 
 
