@@ -262,20 +262,20 @@ class Coordination:
 
 def scc_coordinate(
     eqs: DataFrame, catalog: dict[str, DataFrame], keys: dict[str, list[int]] | None = None, select: Selection | None = None,
-    mode: str = "bulk", choose: str = "min", on_unsafe: str = "error", scope: str = "reach", stop_at_first: bool = False,
+    mode: str = "bulk", choose: str = "min", on_unsafe: str = "error", scope: str = "reach", stop_at_first: bool = False, ext: DataFrame | None = None,
 ) -> Coordination:
     """Best coordinating set among the reach sets of a safe set of queries, with all candidates and their statuses.
 
     ``keys`` declares key positions of relations, which lets contradictory sets fail without a database query. Unsafe queries are
     refused (``error``), or their weak components go to the algorithm for single-connected sets, which refuses others (``route``);
     ``ignore`` is for the whole-component baseline only, which unifies a postcondition with all its heads. ``stop_at_first`` ends at the first level (in
-    ``sequential``: component) that has a coordinating set, leaving the rest untried.
+    ``sequential``: component) that has a coordinating set, leaving the rest untried. ``ext`` is the extended graph, if it is known.
     """
     if on_unsafe not in ("error", "route", "ignore") or (on_unsafe == "ignore" and scope != "union") or (on_unsafe == "route" and (scope, mode) != ("reach", "bulk")):
         raise ValueError(f"on_unsafe={on_unsafe!r} with scope={scope!r}, mode={mode!r}")
     keys = keys or {}
     eqs = keep(eqs)
-    ext = keep(extended_graph(eqs))
+    ext = keep(extended_graph(eqs)) if ext is None else ext
     if on_unsafe == "error" and scope != "alone":
         bad = [r["qid"] for r in unsafe_queries(ext).orderBy("qid").limit(10).collect()]
         if bad:
@@ -304,7 +304,10 @@ def scc_coordinate(
         rated = grounded(nodes, catalog, choose, "wave" if stop_at_first and mode == "bulk" else mode, stop=stop_at_first)
     if routed is not None:
         rated, rows = rated.unionByName(grounded(routed, catalog, choose, inherit=False)), every
-    best = cut((select or largest()).pick(rated.where("status = 'ok'"), ["scc_id"]))
+    found = rated.where("status = 'ok'")
+    if stop_at_first:  # sets that became known on the way stand behind the level that was asked for
+        found = found.join(F.broadcast(found.agg(F.min("level").alias("level"))), "level").select(*rated.columns)
+    best = cut((select or largest()).pick(found, ["scc_id"]))
     return Coordination(rated, best, rows, catalog, keys, choose, mode, tried)
 
 

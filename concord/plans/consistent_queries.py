@@ -192,7 +192,7 @@ register("clean_survivors", lambda n: travel(n=n), "sets", REQUESTS)
 register("cons_flights", lambda n: travel(n=n), "best", REQUESTS)
 register("cons_assignment", lambda n: travel(n=n), "assignment", REQUESTS)
 register("cons_gold", lambda n: travel(most_weight(), "weight DESC", n=n), "best", REQUESTS)
-register("cons_vip", lambda n: travel(containing(7), n=n), "best", REQUESTS)
+register("cons_vip", lambda n: travel(containing(8), n=n), "best", REQUESTS)
 register("cons_first", lambda n: travel(first(), "", n=n), "best", REQUESTS)
 
 
@@ -333,20 +333,29 @@ register("cons_same_tuple", lambda n: Workload(
 ), "best", 30)
 
 
-def _next_user(s, d, n):
-    """Everyone names the next id, the last the first."""
-    c = T.customers(s, d, n).withColumn("user", F.col("c_custkey"))
-    size = F.broadcast(c.agg((F.max("user") + 1).alias("size"))) if n is None else F.broadcast(s.range(1).select(F.lit(n).alias("size")))
-    return T.requests(c.join(size, how="cross"), EVEN_AIRLINE, "array((user + 1) % size)", T.NO_ASK, "c_acctbal")
-
-
 register("cons_named_only", lambda n: Workload(
-    lambda s, d: _next_user(s, d, n), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 1),
-    [FLIGHTS, DATA, ring_sql(n, 1), _even_sql(n).split(",\nnamed")[0] + ", named AS (SELECT qid, (qid + 1) % " + ("(SELECT max(c_custkey) + 1 FROM customer)" if n is None else str(n)) + " AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
+    _even(n, T.NO_ASK, "array(user ^ 1)"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 1),
+    [FLIGHTS, DATA, ring_sql(n, 1), _even_sql(n).split(",\nnamed")[0] + ", named AS (SELECT qid, xor(qid, 1) AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
     BY_AIRLINE,
 ), "sets", 60)
 
 
+def _memory(spark, d):
+    m = travel().run(spark, d).memory()
+    return m.select("edges", "option_rows", F.col("values"))
+
+
+def _rounds(spark, d):
+    """Requests that fall out in each round of cleaning."""
+    r = travel().run(spark, d)
+    return C.cleaning_rounds(r.nodes.join(r.patterns, "pid").select("qid", *r.coord), r.edges, T.travellers(spark, d), r.coord).agg(F.sum("removed").alias("removed"))
+
+
+Q |= {"cons_memory": _memory, "cons_cleaning": _rounds}
+SQL["cons_memory"] = travel().sql() + "SELECT (SELECT count(*) FROM edge) AS edges, (SELECT count(*) FROM vq) AS option_rows, (SELECT count(*) FROM (SELECT DISTINCT destination, day FROM vq)) AS values"
+SQL["cons_cleaning"] = travel().sql() + "SELECT count(*) AS removed FROM dead"
+
+
 def _parties() -> Workload:
     return Workload(
         lambda s, d: T.requests(T.table(s, d, "events").select(F.col("user_id").alias("user")).distinct(), "map('user', cast(user as string))"), T.party_options, ("user", "party_type", "party_day"),

@@ -134,10 +134,10 @@ def net(s, d, **more):
 
 Q |= {
     "scc_list": lambda s, d: S.scc_coordinate(E.chain(s, d, 100), E.catalog(s, d)).sets().select("scc_id", "n", "members"),
-    "scc_list_wave": lambda s, d: S.scc_coordinate(E.chain(s, d, 6), E.catalog(s, d), mode="wave").sets().select("scc_id", "n", "members"),
-    "scc_list_sequential": lambda s, d: S.scc_coordinate(E.chain(s, d, 5), E.catalog(s, d), mode="sequential").sets().select("scc_id", "n", "members"),
+    "scc_list_wave": lambda s, d: S.scc_coordinate(E.chain(s, d, 100), E.catalog(s, d), mode="wave").sets().select("scc_id", "n", "members"),
+    "scc_list_sequential": lambda s, d: S.scc_coordinate(E.chain(s, d, 100), E.catalog(s, d), mode="sequential").sets().select("scc_id", "n", "members"),
     "scc_list_bisect": lambda s, d: S.scc_coordinate(E.chain(s, d, 100), E.catalog(s, d), mode="bisect").sets().select("scc_id", "n", "members"),
-    "scc_list_shared": lambda s, d: _best(S.scc_coordinate(E.chain(s, d, 8, shared=True), E.catalog(s, d), {"flights": [0]})),
+    "scc_list_shared": lambda s, d: _best(S.scc_coordinate(E.chain(s, d, 100, shared=True), E.catalog(s, d), {"flights": [0]})),
     "scc_selective": lambda s, d: S.scc_coordinate(E.chain(s, d, 100, selective=True), E.catalog(s, d)).sets().select("scc_id", "n", "members"),
     "scc_all_sets": lambda s, d: net(s, d).sets().select("scc_id", "n", "members"),
     "scc_scale_free_best": lambda s, d: _best(net(s, d)),
@@ -149,10 +149,10 @@ Q |= {
 }
 SQL |= {
     "scc_list": list_sql(100, "true") + "SELECT scc_id, n, members FROM sets",
-    "scc_list_wave": list_sql(6, "true") + "SELECT scc_id, n, members FROM sets",
-    "scc_list_sequential": list_sql(5, "true") + "SELECT scc_id, n, members FROM sets",
+    "scc_list_wave": list_sql(100, "true") + "SELECT scc_id, n, members FROM sets",
+    "scc_list_sequential": list_sql(100, "true") + "SELECT scc_id, n, members FROM sets",
     "scc_list_bisect": list_sql(100, "true") + "SELECT scc_id, n, members FROM sets",
-    "scc_list_shared": list_sql(8, "true") + "SELECT scc_id, n, members FROM sets" + ONE,
+    "scc_list_shared": list_sql(100, "true") + "SELECT scc_id, n, members FROM sets" + ONE,
     "scc_selective": list_sql(100, NATION_OK) + "SELECT scc_id, n, members FROM sets",
     "scc_all_sets": net_sql() + "SELECT scc_id, n, members FROM sets",
     "scc_scale_free_best": net_sql() + "SELECT scc_id, n, members FROM sets" + ONE,
@@ -180,6 +180,53 @@ def rings(s, d, n: int = 100, size: int = 5):
 
 
 RING_SQL = "SELECT c_custkey - c_custkey % 5 AS scc_id, count(*) AS n, string_agg(c_custkey, ',' ORDER BY c_custkey) AS members FROM customer WHERE c_custkey < 100 GROUP BY 1 HAVING bool_and(c_custkey % 50 <> 7)"
+def _first_found(s, d):
+    return _best(S.scc_coordinate(E.network(s, d, sf(s)[0], NET[0], selective=True), E.catalog(s, d), stop_at_first=True))
+
+
+Q["scc_first_found"] = _first_found
+SQL["scc_first_found"] = net_sql() + "SELECT scc_id, n, members FROM sets WHERE scc_id NOT IN (SELECT src_scc FROM dag)" + ONE
+
+
+def _mode_costs(s, d, n: int = 32):
+    """Database queries by mode on a list whose users from 20 to 27 want what does not exist: nobody up to 27 can be served."""
+    eqs = E.chain(s, d, n)
+    bad = F.transform("body", lambda b: F.struct(b["rel"].alias("rel"), F.transform(b["terms"], lambda t, i: F.when(i == 1, F.struct(F.lit(None).cast("string").alias("var"), F.lit("string:nowhere").alias("const"))).otherwise(t)).alias("terms")))
+    eqs = eqs.withColumn("body", F.when(F.col("qid").between(20, 27), bad).otherwise(F.col("body")))
+    out = None
+    for mode in ("bulk", "wave", "sequential", "bisect"):
+        run = S.scc_coordinate(eqs, E.catalog(s, d), mode=mode)
+        asked = run.database_queries().select(F.lit(mode).alias("mode"), "db_queries").join(F.broadcast(run.nodes.agg(F.count_if(F.col("status") == "ok").alias("sets_found"))), how="cross")
+        out = asked if out is None else out.unionByName(asked)
+    return out
+
+
+Q["mode_costs"] = _mode_costs
+#: Levels count from the last user: 0 to 3 coordinate, 4 fails. Bisection over 32 levels tries the middles of (-1, 32), (-1, 15), (-1, 7), (3, 7) and (3, 5).
+SQL["mode_costs"] = """WITH c AS (SELECT c_custkey AS q, c_custkey BETWEEN 20 AND 27 AS bad FROM customer WHERE c_custkey < 32),
+k AS (SELECT count(*) AS n, count(*) FILTER (q > (SELECT max(q) FROM c WHERE bad)) AS ok FROM c),
+h(good, stop, tried) AS (SELECT -1, n, 0 FROM k UNION ALL SELECT CASE WHEN (good + stop) // 2 < ok THEN (good + stop) // 2 ELSE good END, CASE WHEN (good + stop) // 2 < ok THEN stop ELSE (good + stop) // 2 END, tried + 1 FROM h, k WHERE stop - good > 1)
+SELECT * FROM (SELECT 'bulk' AS mode, n AS db_queries, ok AS sets_found FROM k UNION ALL SELECT 'wave', ok + 1, ok FROM k UNION ALL SELECT 'sequential', ok + 1, ok FROM k UNION ALL SELECT 'bisect', (SELECT max(tried) FROM h), ok FROM k)"""
+SQL["mode_costs"] = SQL["mode_costs"].replace("WITH c AS", "WITH RECURSIVE c AS")
+
+
+def _mgu(s, d):
+    """Heads with repeated variables: agreeing constants are not enough."""
+    from concord.model import Entangled, Var, atom, frame
+
+    x, z = Var("x"), Var("z")
+    heads = [Entangled(10).offer(atom("r", 1, z, z)), Entangled(11).offer(atom("r", 2, z, z)), Entangled(12).offer(atom("r", z, 1, 2))]
+    posts = [Entangled(1).given(atom("r", x, x, 2)), Entangled(2).given(atom("r", x, Var("y"), 2)), Entangled(3).given(atom("r", x, x, x))]
+    return U.extended_graph(frame(s, heads + posts), mode="mgu")
+
+
+Q["ext_edges_mgu"] = _mgu
+#: r(x,x,2) meets r(2,z,z) and r(z,1,2); r(x,y,2) all; r(x,x,x) the two with one value.
+SQL["ext_edges_mgu"] = "SELECT * FROM (VALUES (1, 0, 11, 0), (1, 0, 12, 0), (2, 0, 10, 0), (2, 0, 11, 0), (2, 0, 12, 0), (3, 0, 10, 0), (3, 0, 11, 0)) t(src, post_pos, dst, head_pos)"
+Q["uniqueness_report"] = lambda s, d: S.uniqueness(rings(s, d).unionByName(E.chain(s, d, 105).where("qid >= 100")))
+SQL["uniqueness_report"] = "SELECT c_custkey - c_custkey % 5 AS comp_id, count(*) AS queries, true AS is_safe, max(c_custkey) < 100 AS is_unique FROM customer WHERE c_custkey < 105 GROUP BY 1"
+Q["union_of_branches"] = lambda s, d: S.union_check(S.scc_coordinate(*E.two_branches(s)), [3, 5], E.two_branches(s)[1])
+SQL["union_of_branches"] = "SELECT 6::BIGINT AS n, '1,2,3,4,5,6' AS members, 'ok' AS status"
 Q |= {
     "baseline_unique": lambda s, d: S.unique_coordinate(rings(s, d), E.catalog(s, d)).sets().select("scc_id", "n", "members"),
     "baseline_unique_refuses": lambda s, d: S.unique_coordinate(E.chain(s, d, 50), E.catalog(s, d)).nodes.agg(F.count("*").alias("accepted")),
@@ -225,6 +272,32 @@ Q["consistency_report"] = _consistency
 SQL["consistency_report"] = "SELECT c_custkey AS qid, true AS coordinating, false AS non_coordinating, c_custkey % 3 <> 0 AS consistent FROM customer WHERE c_custkey < 30"
 
 
+def _mixed(s, d):
+    """How many requests coordinate on which attributes, where every third leaves the day open."""
+    users = T.customers(s, d, 30).withColumn("user", F.col("c_custkey"))
+    build = lambda coord: X.to_entangled(T.requests(users, named="array((user + 1) % 30)", asks=T.NO_ASK), _attributes(s, d), "flight_id", coord)
+    eqs = build(["destination", "day"]).where("qid % 3 <> 0").unionByName(build(["destination"]).where("qid % 3 = 0"))
+    return X.coordination_signature(eqs, "data", ["destination", "day", "source", "airline"]).groupBy("attributes").agg(F.count("*").alias("n"))
+
+
+Q["mixed_attributes"] = _mixed
+SQL["mixed_attributes"] = "SELECT CASE WHEN c_custkey % 3 = 0 THEN 'destination' ELSE 'destination,day' END AS attributes, count(*) AS n FROM customer WHERE c_custkey < 30 GROUP BY 1"
+
+
+def _exists(s, d):
+    """The decision problem: a list, a list whose last user is missing, rings with tails."""
+    from concord.operators.single import exists_coordination
+    from concord.plans.other_queries import lassos
+
+    rows = [("list", *exists_coordination(E.chain(s, d, 20), E.catalog(s, d))), ("nobody", *exists_coordination(E.chain(s, d, 20).where("qid <> 19"), E.catalog(s, d))), ("lassos", *exists_coordination(lassos(s, d), E.catalog(s, d)))]
+    return s.createDataFrame(rows, "name string, found boolean, decided_by string")
+
+
+Q["exists_report"] = _exists
+SQL["exists_report"] = "SELECT 'list' AS name, count(*) = 20 AS found, 'safe' AS decided_by FROM customer WHERE c_custkey < 20 UNION ALL SELECT 'nobody', count(*) = 0, 'safe' FROM customer WHERE c_custkey < 0 UNION ALL SELECT 'lassos', count(*) > 0, 'safe' FROM customer WHERE c_custkey BETWEEN 0 AND 59"
+SQL["exists_report"] = SQL["exists_report"].replace("SELECT 'nobody', count(*) = 0", "SELECT 'nobody', count(*) > 0")
+
+
 # ---------------------------------------------------------------- verification, costs, examples
 
 
@@ -237,7 +310,10 @@ def _verified(s, d):
 Q["verify_report"] = _verified
 SQL["verify_report"] = "SELECT 0::BIGINT AS violations"
 Q["cost_bounds"] = lambda s, d: V.cost_report(S.scc_coordinate(E.chain(s, d, 100), E.catalog(s, d)))
-SQL["cost_bounds"] = "SELECT * FROM (VALUES ('db_queries', 100.0::DOUBLE), ('components', 100.0), ('levels', 100.0), ('set_size', 100.0), ('sets_found', 100.0), ('unify_steps', 99.0), ('queries', 100.0), ('coverage', 1.0)) t(name, value)"
+SQL["cost_bounds"] = list_sql(100, "true") + """, ext AS (SELECT count(*) AS edges FROM e), q AS (SELECT count(*) AS n FROM nodes),
+lv(scc_id, l) AS (SELECT DISTINCT scc_id, 0::BIGINT FROM scc UNION SELECT d.src_scc, l + 1 FROM lv JOIN dag d ON d.dst_scc = lv.scc_id),
+v AS (SELECT (SELECT count(DISTINCT scc_id) FROM scc) AS c, (SELECT max(l) + 1 FROM lv) AS l, (SELECT max(n) FROM sets) AS m, (SELECT count(*) FROM sets) AS f, (SELECT edges FROM ext) AS u, (SELECT n FROM q) AS n)
+SELECT unnest(['db_queries', 'components', 'levels', 'set_size', 'sets_found', 'unify_steps', 'queries', 'coverage']) AS name, unnest([c, c, l, m, f, u, n, m / n]::DOUBLE[]) AS value FROM v"""
 
 
 def _example(build, **more):

@@ -13,6 +13,7 @@ from concord.operators import scc as S
 from concord.operators import single as O
 from concord.operators import verify as V
 from concord.plans.consistent_queries import both, survivors_sql
+from concord.plans.entangled_queries import rings
 from concord.runtime import shared_dir
 from concord.sources import entangled as E
 from concord.sources import tables as T
@@ -102,16 +103,19 @@ SQL["single_connected_report"] = "SELECT DISTINCT c_custkey - c_custkey % 10 AS
 
 
 def _arrivals(s, d):
-    """The list workload arriving in one stream batch: the largest set answers all."""
+    """Groups of five arriving over five micro-batches: a group is answered when its last member has come."""
     folder = f"{shared_dir(s).rstrip('/')}/stream/{uuid.uuid4().hex}"
-    E.chain(s, d, 20).write.parquet(f"{folder}/in")
+    for k in range(5):
+        rings(s, d).where(F.col("qid") % 7 % 5 == k).coalesce(1).write.mode("append").parquet(f"{folder}/in")
     loop = Arrivals(s, E.catalog(s, d), f"{folder}/state")
-    coordinate_stream(s.readStream.schema(E.EQ).parquet(f"{folder}/in"), loop, f"{folder}/checkpoint").awaitTermination(300)
-    return loop.answers().select("set_id", "qid")
+    source = s.readStream.schema(E.EQ).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    coordinate_stream(source, loop, f"{folder}/checkpoint").awaitTermination(1200)
+    return loop.answers().select("batch", "set_id", "qid")
 
 
 Q["stream_arrivals"] = _arrivals
-SQL["stream_arrivals"] = "SELECT 0::BIGINT AS set_id, c_custkey AS qid FROM customer WHERE c_custkey < 20"
+SQL["stream_arrivals"] = """WITH c AS (SELECT c_custkey AS qid, c_custkey - c_custkey % 5 AS set_id, c_custkey % 7 % 5 AS turn, c_custkey % 50 <> 7 AS ok FROM customer WHERE c_custkey < 100),
+g AS (SELECT set_id, max(turn) AS batch FROM c GROUP BY 1 HAVING bool_and(ok)) SELECT CAST(batch AS INT) AS batch, set_id, qid FROM c JOIN g USING (set_id)"""
 
 
 def _windowed(wants: DataFrame, friends: DataFrame) -> DataFrame:
