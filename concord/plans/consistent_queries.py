@@ -23,44 +23,44 @@ FLIGHTS = """flights AS (SELECT o_orderkey AS flight_id, n_name AS destination,
   FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey)"""
 
 
-def within(n: int | None) -> str:
-    """The requesting customers: ids below n, or every customer."""
-    return "true" if n is None else f"c_custkey < {n}"
-
-
-def ring_sql(n: int | None, k: int, name: str = "fr", rel: str = "friends") -> str:
-    return f"""{name}_r AS (SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey) AS size
-  FROM customer WHERE {within(n)}),
+def ring_sql(k: int, name: str = "fr", rel: str = "friends") -> str:
+    return f"""{name}_r AS (SELECT c_custkey, c_nationkey, c_custkey // {T.CIRCLE} AS circle, row_number() OVER w - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey, c_custkey // {T.CIRCLE}) AS size
+  FROM customer WINDOW w AS (PARTITION BY c_nationkey, c_custkey // {T.CIRCLE} ORDER BY c_custkey)),
 {name} AS (SELECT DISTINCT a.c_custkey AS usr, b.c_custkey AS friend, '{rel}' AS rel FROM {name}_r a JOIN {name}_r b
-  ON a.c_nationkey = b.c_nationkey AND a.c_custkey <> b.c_custkey AND (b.rnk - a.rnk + a.size) % a.size BETWEEN 1 AND {k}
-  UNION SELECT DISTINCT a.c_custkey, b.c_custkey, '{rel}' FROM {name}_r a JOIN {name}_r b ON a.c_nationkey = b.c_nationkey AND a.c_custkey <> b.c_custkey, range(1, {k + 1}) t(i)
-  WHERE (a.rnk + i) % a.size = b.rnk)"""
+  ON a.c_nationkey = b.c_nationkey AND a.circle = b.circle AND a.c_custkey <> b.c_custkey, range(1, {k + 1}) t(i) WHERE (a.rnk + i) % a.size = b.rnk)"""
 
 
 def survivors_sql(ctes: list[str], match: str, coord: list[str]) -> str:
     """WITH clause up to ``sets``. The CTEs must define data, req(qid, weight, ...), named(qid, partner), ask(qid, rel, k), fr(usr, friend, rel)."""
-    c = ", ".join(coord)
     on = lambda a, b: " AND ".join(f"{a}.{x} = {b}.{x}" for x in coord)
     of = lambda a: ", ".join(f"{a}.{x}" for x in coord)
     return f"""WITH RECURSIVE {', '.join(ctes)},
 able AS (SELECT * FROM req WHERE NOT EXISTS (SELECT 1 FROM ask a WHERE a.qid = req.qid AND NOT EXISTS (SELECT 1 FROM fr WHERE fr.usr = a.qid AND fr.rel = a.rel))),
-vq AS MATERIALIZED (SELECT DISTINCT r.qid, {of('s')} FROM able r JOIN data s ON {match}),
+place AS MATERIALIZED (SELECT row_number() OVER () AS vid, d.* FROM (SELECT DISTINCT {of('s')} FROM data s) d),
+offer AS MATERIALIZED (SELECT s.*, p.vid FROM data s JOIN place p ON {on('s', 'p')}),
+vq AS MATERIALIZED (SELECT DISTINCT r.qid, s.vid FROM able r JOIN offer s ON {match}),
 live AS (SELECT DISTINCT qid FROM vq),
-edge AS MATERIALIZED (SELECT n.qid AS src, n.partner AS dst, 'named' AS kind FROM named n JOIN live a ON a.qid = n.qid JOIN live b ON b.qid = n.partner
+edge AS MATERIALIZED (SELECT DISTINCT n.qid AS src, n.partner AS dst, 'named' AS kind FROM named n JOIN live a ON a.qid = n.qid JOIN live b ON b.qid = n.partner
   UNION SELECT a.qid, f.friend, 'any:' || a.rel FROM ask a JOIN live l ON l.qid = a.qid JOIN fr f ON f.usr = a.qid AND f.rel = a.rel JOIN live b ON b.qid = f.friend),
 need AS MATERIALIZED (SELECT qid, 'named' AS kind, count(DISTINCT partner) AS need FROM named GROUP BY 1 UNION ALL SELECT qid, 'any:' || rel, max(k) FROM ask GROUP BY 1, 2),
-gv AS MATERIALIZED (SELECT e.src, e.dst, e.kind, {of('v')} FROM edge e JOIN vq v ON v.qid = e.src JOIN vq w ON w.qid = e.dst AND {on('v', 'w')}),
-slot AS MATERIALIZED (SELECT v.qid, {of('v')}, n.kind, n.need FROM vq v JOIN need n ON n.qid = v.qid),
-dead(qid, {c}) USING KEY (qid, {c}) AS (
-  SELECT DISTINCT s.qid, {of('s')} FROM slot s LEFT JOIN (SELECT src, kind, {c}, count(DISTINCT dst) AS c FROM gv GROUP BY ALL) g ON g.src = s.qid AND g.kind = s.kind AND {on('g', 's')}
-  WHERE coalesce(g.c, 0) < s.need
+ahead AS (SELECT e.src, e.kind, w.vid, count(*) AS c FROM edge e JOIN vq w ON w.qid = e.dst GROUP BY ALL),
+have AS MATERIALIZED (SELECT v.qid, v.vid, n.kind, coalesce(g.c, 0) - n.need AS spare FROM vq v JOIN need n ON n.qid = v.qid
+  LEFT JOIN ahead g ON g.src = v.qid AND g.kind = n.kind AND g.vid = v.vid),
+dead(qid, vid) USING KEY (qid, vid) AS (
+  SELECT DISTINCT qid, vid FROM have WHERE spare < 0
   UNION
-  SELECT DISTINCT s.qid, {of('s')} FROM slot s LEFT JOIN (
-      SELECT g.src, g.kind, {of('g')}, count(DISTINCT g.dst) AS c FROM gv g WHERE NOT EXISTS (SELECT 1 FROM recurring.dead d WHERE d.qid = g.dst AND {on('d', 'g')}) GROUP BY ALL) g
-    ON g.src = s.qid AND g.kind = s.kind AND {on('g', 's')}
-  WHERE coalesce(g.c, 0) < s.need AND NOT EXISTS (SELECT 1 FROM recurring.dead d WHERE d.qid = s.qid AND {on('d', 's')})),
-alive AS (SELECT v.qid, {of('v')} FROM vq v WHERE NOT EXISTS (SELECT 1 FROM dead d WHERE d.qid = v.qid AND {on('d', 'v')})),
-sets AS (SELECT {of('a')}, count(*) AS n, sum(weight) AS weight, string_agg(a.qid, ',' ORDER BY a.qid) AS members, list(a.qid) AS ids FROM alive a JOIN req r ON r.qid = a.qid GROUP BY ALL)
+  SELECT DISTINCT t.qid, t.vid FROM (
+      SELECT h.qid, h.vid, h.kind, any_value(h.spare) AS spare, count(*) AS lost
+      FROM (SELECT DISTINCT e.src, e.kind, d.vid FROM dead d JOIN edge e ON e.dst = d.qid) x
+      JOIN have h ON h.qid = x.src AND h.kind = x.kind AND h.vid = x.vid
+      JOIN edge g ON g.src = x.src AND g.kind = x.kind
+      JOIN recurring.dead r ON r.qid = g.dst AND r.vid = x.vid
+      WHERE NOT EXISTS (SELECT 1 FROM recurring.dead o WHERE o.qid = x.src AND o.vid = x.vid)
+      GROUP BY h.qid, h.vid, h.kind) t
+  WHERE t.lost > t.spare),
+alive AS (SELECT v.qid, v.vid FROM vq v WHERE NOT EXISTS (SELECT 1 FROM dead d WHERE d.qid = v.qid AND d.vid = v.vid)),
+sets AS (SELECT {of('p')}, g.* EXCLUDE (vid) FROM (SELECT vid, count(*) AS n, sum(weight) AS weight, string_agg(a.qid, ',' ORDER BY a.qid) AS members, list(a.qid) AS ids
+  FROM alive a JOIN req r ON r.qid = a.qid GROUP BY vid) g JOIN place p ON p.vid = g.vid)
 """
 
 
@@ -105,12 +105,9 @@ def answer(w: Workload, what: str):
     return lambda spark, d: shown(getattr(r := w.run(spark, d), what), *r.coord, "n", "members")
 
 
-def register(name: str, make: Workload | Callable[[int | None], Workload], what: str, n: int | None = None) -> None:
-    """A workload, or one by its number of customers: ``name`` takes the first n of them, as its SQL does, and ``name_all`` every customer."""
-    w = make if isinstance(make, Workload) else make(n)
+def register(name: str, w: Workload, what: str) -> None:
+    """A workload over whole tables, and its SQL."""
     Q[name] = answer(w, what)
-    if w is not make:
-        Q[f"{name}_all"] = answer(make(None), what)
     if what == "sets":
         SQL[name] = w.sql() + f"SELECT {shown_sql(w.coord)}, n, members FROM sets"
     elif what == "best":
@@ -130,9 +127,8 @@ SELECT qid AS user, {', '.join(f'CAST(k.{x} AS VARCHAR) AS {x}' if x.endswith('d
 AIRLINES = "['1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW']"
 
 
-def travellers_sql(n: int | None) -> str:
-    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline,
-  CASE WHEN c_custkey % 3 = 0 THEN c_mktsegment END AS source, CASE WHEN c_custkey % 7 = 0 THEN n_name END AS destination FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE {within(n)}),
+TRAVELLERS = f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline,
+  CASE WHEN c_custkey % 3 = 0 THEN c_mktsegment END AS source, CASE WHEN c_custkey % 7 = 0 THEN n_name END AS destination FROM customer JOIN nation ON c_nationkey = n_nationkey),
 named AS (SELECT qid, qid + 1 AS partner FROM req WHERE qid % 4 = 1), ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req WHERE qid % 4 <> 1)"""
 
 
@@ -140,77 +136,64 @@ FITS = "(r.airline IS NULL OR r.airline = s.airline) AND (r.source IS NULL OR r.
 DATA = "data AS (SELECT * FROM flights)"
 
 
-REQUESTS = 200
-
-
-def travel(select: Selection | None = None, order: str = "n DESC", n: int | None = REQUESTS) -> Workload:
+def travel(select: Selection | None = None, order: str = "n DESC", n: int | None = None) -> Workload:
+    """Travellers and flights. SQL takes every customer; n bounds the requests of scaling runs."""
     return Workload(
         lambda s, d: T.travellers(s, d, n), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 2),
-        [FLIGHTS, DATA, ring_sql(n, 2), travellers_sql(n)], FITS, order, select or largest(),
+        [FLIGHTS, DATA, ring_sql(2), TRAVELLERS], FITS, order, select or largest(),
     )
 
 
-def _parts(spark: SparkSession, d: str, n: int | None):
-    w = travel(n=n)
+def _parts(spark: SparkSession, d: str):
+    w = travel()
     requests, friends = w.requests(spark, d), w.friends(spark, d)
     vq = C.options(requests, w.data(spark, d), w.coord, friends)
     return w, requests, friends, vq
 
 
-def _options(spark, d, n=REQUESTS):
-    return _parts(spark, d, n)[3].groupBy("qid").agg(F.count("*").alias("n_options"))
+def _options(spark, d):
+    return _parts(spark, d)[3].groupBy("qid").agg(F.count("*").alias("n_options"))
 
 
-def _candidates(spark, d, n=REQUESTS):
-    w, _, _, vq = _parts(spark, d, n)
+def _candidates(spark, d):
+    w, _, _, vq = _parts(spark, d)
     return shown(C.candidates(vq, w.coord), *w.coord)
 
 
-def _pruned(spark, d, n=REQUESTS):
-    _, requests, friends, vq = _parts(spark, d, n)
+def _pruned(spark, d):
+    _, requests, friends, vq = _parts(spark, d)
     return C.pruned_graph(requests, friends, vq)
 
 
-def _gv(spark, d, n=REQUESTS):
-    w, _, _, vq = _parts(spark, d, n)
+def _gv(spark, d):
+    w, _, _, vq = _parts(spark, d)
     return shown(vq.groupBy(*w.coord).agg(F.count("*").alias("n")), *w.coord, "n")
 
 
-def both(queries: dict) -> dict:
-    """The queries over the first customers, as their SQL, and ``_all`` over every customer."""
-    return queries | {f"{name}_all": (lambda spark, d, q=q: q(spark, d, n=None)) for name, q in queries.items()}
-
-
-Q |= both({"options_vq": _options, "candidates_v": _candidates, "pruned_graph": _pruned, "gv_sizes": _gv})
+Q |= {"options_vq": _options, "candidates_v": _candidates, "pruned_graph": _pruned, "gv_sizes": _gv}
 SQL |= {
     "options_vq": travel().sql() + "SELECT qid, count(*) AS n_options FROM vq GROUP BY 1",
-    "candidates_v": travel().sql() + "SELECT DISTINCT destination, CAST(day AS VARCHAR) AS day FROM vq",
+    "candidates_v": travel().sql() + "SELECT DISTINCT destination, CAST(day AS VARCHAR) AS day FROM vq JOIN place USING (vid)",
     "pruned_graph": travel().sql() + "SELECT src, dst, kind FROM edge",
-    "gv_sizes": travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, count(*) AS n FROM vq GROUP BY ALL",
+    "gv_sizes": travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, count(*) AS n FROM vq JOIN place USING (vid) GROUP BY ALL",
 }
-register("clean_survivors", lambda n: travel(n=n), "sets", REQUESTS)
-register("cons_flights", lambda n: travel(n=n), "best", REQUESTS)
-register("cons_assignment", lambda n: travel(n=n), "assignment", REQUESTS)
-register("cons_gold", lambda n: travel(most_weight(), "weight DESC", n=n), "best", REQUESTS)
-register("cons_vip", lambda n: travel(containing(8), n=n), "best", REQUESTS)
-register("cons_first", lambda n: travel(first(), "", n=n), "best", REQUESTS)
+register("clean_survivors", travel(), "sets")
+register("cons_flights", travel(), "best")
+register("cons_assignment", travel(), "assignment")
+register("cons_gold", travel(most_weight(), "weight DESC"), "best")
+register("cons_vip", travel(containing(8)), "best")
+register("cons_first", travel(first(), ""), "best")
 
 
 def _clean_by_rounds(spark, d):
-    w, requests, friends, vq = _parts(spark, d, REQUESTS)
-    few = vq.where("month(day) = 3 and year(day) = 1997")
-    return shown(C.value_sets(C.clean(few, C.pruned_graph(requests, friends, vq), requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
-
-
-def _clean_all_by_rounds(spark, d):
-    w, requests, friends, vq = _parts(spark, d, None)
+    w, requests, friends, vq = _parts(spark, d)
     vq = keep(vq)
     edges = cut(C.pruned_graph(requests, friends, vq))
     return shown(C.value_sets(C.clean(vq, edges, requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
 
 
-Q |= {"clean_rounds": _clean_by_rounds, "clean_rounds_all": _clean_all_by_rounds}
-SQL["clean_rounds"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n, members FROM sets WHERE month(day) = 3 AND year(day) = 1997"
+Q["clean_rounds"] = _clean_by_rounds
+SQL["clean_rounds"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n, members FROM sets"
 
 
 def _calls(spark, d):
@@ -269,75 +252,75 @@ Q["cons_vary_users"], SQL["cons_vary_users"] = _sweep([(10, 100), (50, 100), (10
 # ---------------------------------------------------------------- other applications
 
 
-def _titles(spark, d, n):
+def _titles(spark, d):
     names = T.table(spark, d, "part").select("p_name").distinct()
     ranked = names.groupBy().agg(F.array_sort(F.collect_set("p_name")).alias("names"))  # the 64 title names
-    c = T.customers(spark, d, n).withColumn("user", F.col("c_custkey")).join(F.broadcast(ranked), how="cross")
+    c = T.customers(spark, d).withColumn("user", F.col("c_custkey")).join(F.broadcast(ranked), how="cross")
     return T.requests(c, "map('title', element_at(names, cast(1 + user % size(names) as int)))")
 
 
-register("cons_movies", lambda n: Workload(
-    lambda s, d: _titles(s, d, n), T.movies, "movie_id", ["cinema"], lambda s, d: T.friends_ring(s, d, n, 2),
-    ["data AS (SELECT p_partkey AS movie_id, p_brand AS cinema, p_name AS title FROM part)", ring_sql(n, 2),
+register("cons_movies", Workload(
+    _titles, T.movies, "movie_id", ["cinema"], lambda s, d: T.friends_ring(s, d, None, 2),
+    ["data AS (SELECT p_partkey AS movie_id, p_brand AS cinema, p_name AS title FROM part)", ring_sql(2),
      f"""names AS (SELECT list_sort(list(DISTINCT p_name)) AS l FROM part),
-req AS (SELECT c_custkey AS qid, 0.0 AS weight, l[1 + c_custkey % len(l)] AS title FROM customer, names WHERE {within(n)}),
+req AS (SELECT c_custkey AS qid, 0.0 AS weight, l[1 + c_custkey % len(l)] AS title FROM customer, names),
 named AS (SELECT 0 AS qid, 0 AS partner WHERE false), ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)"""],
     "r.title = s.title",
-), "sets", 100)
+), "sets")
 
 EVEN_AIRLINE = f"map_filter(map('airline', case when user % 2 = 0 then element_at(array('1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'), cast(1 + user % 5 as int)) end), (k, v) -> v is not null)"  # noqa: F541
 
 
-def _even_sql(n: int | None, k: int = 1, rel: str = "friends") -> str:
-    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline FROM customer WHERE {within(n)}),
+def _even_sql(k: int = 1, rel: str = "friends") -> str:
+    return f"""req AS (SELECT c_custkey AS qid, c_acctbal AS weight, CASE WHEN c_custkey % 2 = 0 THEN {AIRLINES}[1 + c_custkey % 5] END AS airline FROM customer),
 named AS (SELECT 0 AS qid, 0 AS partner WHERE false), ask AS (SELECT qid, '{rel}' AS rel, {k} AS k FROM req)"""
 
 
-def _even(n: int | None, asks: str = T.ANY_ONE, named: str = "array()"):
-    return lambda s, d: T.requests(T.customers(s, d, n).withColumn("user", F.col("c_custkey")), EVEN_AIRLINE, named, asks, "c_acctbal")
+def _even(asks: str = T.ANY_ONE, named: str = "array()"):
+    return lambda s, d: T.requests(T.customers(s, d).withColumn("user", F.col("c_custkey")), EVEN_AIRLINE, named, asks, "c_acctbal")
 
 
 BY_AIRLINE = "(r.airline IS NULL OR r.airline = s.airline)"
 CONCERTS = """concerts AS (SELECT DISTINCT n_name AS location, CAST(l_shipdate AS DATE) AS event_day FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey)"""
-register("cons_concerts", lambda n: Workload(
-    _even(n), lambda s, d: C.scheduled(T.flights(s, d), T.concerts(s, d), {"destination": "location"}, "day", "event_day"), "flight_id", ["destination", "day"],
-    lambda s, d: T.friends_ring(s, d, n, 2),
-    [FLIGHTS, CONCERTS, "data AS (SELECT * FROM flights f WHERE EXISTS (SELECT 1 FROM concerts c WHERE c.location = f.destination AND c.event_day = f.day + 1))", ring_sql(n, 2), _even_sql(n)],
+register("cons_concerts", Workload(
+    _even(), lambda s, d: C.scheduled(T.flights(s, d), T.concerts(s, d), {"destination": "location"}, "day", "event_day"), "flight_id", ["destination", "day"],
+    lambda s, d: T.friends_ring(s, d, None, 2),
+    [FLIGHTS, CONCERTS, "data AS (SELECT * FROM flights f WHERE EXISTS (SELECT 1 FROM concerts c WHERE c.location = f.destination AND c.event_day = f.day + 1))", ring_sql(2), _even_sql()],
     BY_AIRLINE,
-), "best", 100)
-
-register("cons_k_friends", lambda n: Workload(
-    _even(n, "array(named_struct('rel', 'friends', 'k', 2))"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 3),
-    [FLIGHTS, DATA, ring_sql(n, 3), _even_sql(n, 2)], BY_AIRLINE,
-), "best", 200)
-
-register("cons_two_friend_rels", lambda n: Workload(
-    _even(n, "array(named_struct('rel', 'ring', 'k', 1), named_struct('rel', 'pair', 'k', 1))"), T.flights, "flight_id", ["destination", "day"],
-    lambda s, d: T.friends_ring(s, d, n, 3).withColumn("rel", F.lit("ring")).unionByName(
-        T.customers(s, d, n).select(F.col("c_custkey").alias("user"), F.expr("c_custkey ^ 1").alias("friend"), F.lit("pair").alias("rel"))),
-    [FLIGHTS, DATA, ring_sql(n, 3, "ring", "ring"), "fr AS (SELECT * FROM ring UNION ALL SELECT c_custkey, xor(c_custkey, 1), 'pair' FROM customer WHERE " + within(n) + ")",
-     _even_sql(n).replace("ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)", "ask AS (SELECT qid, rel, 1 AS k FROM req, (VALUES ('ring'), ('pair')) t(rel))")],
+), "best")
+
+register("cons_k_friends", Workload(
+    _even("array(named_struct('rel', 'friends', 'k', 2))"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, None, 3),
+    [FLIGHTS, DATA, ring_sql(3), _even_sql(2)], BY_AIRLINE,
+), "best")
+
+register("cons_two_friend_rels", Workload(
+    _even("array(named_struct('rel', 'ring', 'k', 1), named_struct('rel', 'pair', 'k', 1))"), T.flights, "flight_id", ["destination", "day"],
+    lambda s, d: T.friends_ring(s, d, None, 3).withColumn("rel", F.lit("ring")).unionByName(
+        T.customers(s, d).select(F.col("c_custkey").alias("user"), F.expr("c_custkey ^ 1").alias("friend"), F.lit("pair").alias("rel"))),
+    [FLIGHTS, DATA, ring_sql(3, "ring", "ring"), "fr AS (SELECT * FROM ring UNION ALL SELECT c_custkey, xor(c_custkey, 1), 'pair' FROM customer)",
+     _even_sql().replace("ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)", "ask AS (SELECT qid, rel, 1 AS k FROM req, (VALUES ('ring'), ('pair')) t(rel))")],
     BY_AIRLINE,
-), "best", 200)
+), "best")
 
-register("cons_multi_relation", lambda n: Workload(
-    _even(n), lambda s, d: C.joined_relation(T.flights(s, d), T.hotels(s, d).withColumnRenamed("location", "destination"), ["destination"]), ("flight_id", "hotel_id"),
-    ["destination", "day", "hotel_id"], lambda s, d: T.friends_ring(s, d, n, 2),
-    [FLIGHTS, "data AS (SELECT flights.*, s_suppkey AS hotel_id FROM flights JOIN nation ON n_name = destination JOIN supplier ON s_nationkey = n_nationkey)", ring_sql(n, 2), _even_sql(n)],
+register("cons_multi_relation", Workload(
+    _even(), lambda s, d: C.joined_relation(T.flights(s, d), T.hotels(s, d).withColumnRenamed("location", "destination"), ["destination"]), ("flight_id", "hotel_id"),
+    ["destination", "day", "hotel_id"], lambda s, d: T.friends_ring(s, d, None, 2),
+    [FLIGHTS, "data AS (SELECT flights.*, s_suppkey AS hotel_id FROM flights JOIN nation ON n_name = destination JOIN supplier ON s_nationkey = n_nationkey)", ring_sql(2), _even_sql()],
     BY_AIRLINE,
-), "assignment", 40)
+), "assignment")
 
-register("cons_same_tuple", lambda n: Workload(
-    lambda s, d: _even(n)(s, d).withColumn("same_tuple", F.lit(True)), T.flights, "flight_id", ["destination", "day", "flight_id"], lambda s, d: T.friends_ring(s, d, n, 2),
-    [FLIGHTS, DATA, ring_sql(n, 2), _even_sql(n)], BY_AIRLINE,
-), "best", 30)
+register("cons_same_tuple", Workload(
+    lambda s, d: _even()(s, d).withColumn("same_tuple", F.lit(True)), T.flights, "flight_id", ["destination", "day", "flight_id"], lambda s, d: T.friends_ring(s, d, None, 2),
+    [FLIGHTS, DATA, ring_sql(2), _even_sql()], BY_AIRLINE,
+), "best")
 
 
-register("cons_named_only", lambda n: Workload(
-    _even(n, T.NO_ASK, "array(user ^ 1)"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, n, 1),
-    [FLIGHTS, DATA, ring_sql(n, 1), _even_sql(n).split(",\nnamed")[0] + ", named AS (SELECT qid, xor(qid, 1) AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
+register("cons_named_only", Workload(
+    _even(T.NO_ASK, "array(user ^ 1)"), T.flights, "flight_id", ["destination", "day"], lambda s, d: T.friends_ring(s, d, None, 1),
+    [FLIGHTS, DATA, ring_sql(1), _even_sql().split(",\nnamed")[0] + ", named AS (SELECT qid, xor(qid, 1) AS partner FROM req), ask AS (SELECT 0 AS qid, '' AS rel, 0 AS k WHERE false)"],
     BY_AIRLINE,
-), "sets", 60)
+), "sets")
 
 
 def _memory(spark, d):
@@ -352,7 +335,7 @@ def _rounds(spark, d):
 
 
 Q |= {"cons_memory": _memory, "cons_cleaning": _rounds}
-SQL["cons_memory"] = travel().sql() + "SELECT (SELECT count(*) FROM edge) AS edges, (SELECT count(*) FROM vq) AS option_rows, (SELECT count(*) FROM (SELECT DISTINCT destination, day FROM vq)) AS values"
+SQL["cons_memory"] = travel().sql() + "SELECT (SELECT count(*) FROM edge) AS edges, (SELECT count(*) FROM vq) AS option_rows, (SELECT count(DISTINCT vid) FROM vq) AS values"
 SQL["cons_cleaning"] = travel().sql() + "SELECT count(*) AS removed FROM dead"
 
 
@@ -380,17 +363,17 @@ SQL["cons_composite_key"] = _parties().sql() + """, best AS (SELECT * FROM sets
 SELECT unnest(ids) AS user, party_type, CAST(party_day AS VARCHAR) AS party_day FROM best"""
 
 
-def _rollup(spark, d, n=REQUESTS):
-    s = travel(n=n).run(spark, d).sets
+def _rollup(spark, d):
+    s = travel().run(spark, d).sets
     return s.rollup("destination", F.year("day").cast("string").alias("y")).agg(F.count("*").alias("n_sets"), F.max("n").alias("largest"))
 
 
-def _topk(spark, d, n=REQUESTS):
-    r = travel(n=n).run(spark, d)
+def _topk(spark, d):
+    r = travel().run(spark, d)
     return shown(largest().ranked(r.sets, r.coord, 10), *r.coord, "n")
 
 
-Q |= both({"set_size_rollup": _rollup, "topk_sets": _topk})
+Q |= {"set_size_rollup": _rollup, "topk_sets": _topk}
 SQL["set_size_rollup"] = travel().sql() + "SELECT destination, CAST(year(day) AS VARCHAR) AS y, count(*) AS n_sets, max(n) AS largest FROM sets GROUP BY ROLLUP (destination, CAST(year(day) AS VARCHAR))"
 SQL["topk_sets"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n FROM sets ORDER BY n DESC, destination, day LIMIT 10"
 

@@ -12,7 +12,7 @@ from concord.operators import consistent as C
 from concord.operators import scc as S
 from concord.operators import single as O
 from concord.operators import verify as V
-from concord.plans.consistent_queries import both, survivors_sql
+from concord.plans.consistent_queries import ring_sql, survivors_sql
 from concord.plans.entangled_queries import rings
 from concord.runtime import shared_dir
 from concord.sources import entangled as E
@@ -161,28 +161,24 @@ SQL["session_counts"] = "SELECT user_id AS user, count(*) FILTER (p IS NULL OR t
 # ---------------------------------------------------------------- reports
 
 
-def _intersect(s, d, n=200):
-    a, b = T.friends_ring(s, d, n, 3), T.friends_ring(s, d, n, 1)
+def _intersect(s, d):
+    a, b = T.friends_ring(s, d, None, 3), T.friends_ring(s, d, None, 1)
     return a.exceptAll(b).intersect(a).select("user", "friend")
 
 
-def _lead(s, d, n=200):
-    return T.customers(s, d, n).select(F.col("c_custkey").alias("user"), F.lead("c_custkey", 1, -1).over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
+def _lead(s, d):
+    return T.customers(s, d).select(F.col("c_custkey").alias("user"), F.lead("c_custkey", 1, -1).over(Window.partitionBy("c_nationkey").orderBy("c_custkey")).alias("next_user"))
 
 
-Q |= both({"friend_intersect": _intersect, "request_lead": _lead})
+Q |= {"friend_intersect": _intersect, "request_lead": _lead}
 
 
-def _ring(n, k):
-    return f"SELECT a.c_custkey AS \"user\", b.c_custkey AS friend FROM r a JOIN r b ON a.c_nationkey = b.c_nationkey AND a.c_custkey <> b.c_custkey, range(1, {k + 1}) t(i) WHERE (a.rnk + i) % a.size = b.rnk"
-
-
-SQL["friend_intersect"] = f"""WITH r AS (SELECT c_custkey, c_nationkey, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) - 1 AS rnk, count(*) OVER (PARTITION BY c_nationkey) AS size FROM customer WHERE c_custkey < 200)
-SELECT DISTINCT * FROM ({_ring(200, 3)}) EXCEPT SELECT * FROM ({_ring(200, 1)})"""
-SQL["request_lead"] = "SELECT c_custkey AS user, lead(c_custkey, 1, -1) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS next_user FROM customer WHERE c_custkey < 200"
+SQL["friend_intersect"] = f"""WITH {ring_sql(3, "a")}, {ring_sql(1, "b")}
+SELECT usr AS "user", friend FROM a EXCEPT SELECT usr, friend FROM b"""
+SQL["request_lead"] = "SELECT c_custkey AS user, lead(c_custkey, 1, -1) OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS next_user FROM customer"
 Q["props_json"] = lambda s, d: T.table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n"))
 SQL["props_json"] = "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1"
-Q["asof_request"] = lambda s, d: T.table(s, d, "events").where("day(ts) <= 15").groupBy("user_id").agg(F.max_by("event_type", F.struct("ts", "event_id")).alias("event_type"))
-SQL["asof_request"] = "SELECT user_id, arg_max(event_type, struct_pack(ts := ts, id := event_id)) AS event_type FROM events WHERE day(ts) <= 15 GROUP BY 1"
+Q["asof_request"] = lambda s, d: T.table(s, d, "events").groupBy("user_id").agg(F.max_by("event_type", F.struct("ts", "event_id")).alias("event_type"))
+SQL["asof_request"] = "SELECT user_id, arg_max(event_type, struct_pack(ts := ts, id := event_id)) AS event_type FROM events GROUP BY 1"
 Q["fit_linear"] = lambda s, d: V.fit(s.range(1, 11).select("id", (F.col("id") * 3 + 1).alias("ms")), "id", "ms").select(F.round("slope", 6).alias("slope"), F.round("r2", 6).alias("r2"))
 SQL["fit_linear"] = "SELECT 3.0::DOUBLE AS slope, 1.0::DOUBLE AS r2"

@@ -87,13 +87,16 @@ def friends_complete(spark: SparkSession, d: str, n: int) -> DataFrame:
     return c.select(F.col("c_custkey").alias("user")).join(c.select(F.col("c_custkey").alias("friend")), F.col("user") != F.col("friend"))
 
 
+CIRCLE = 200
+
+
 def friends_ring(spark: SparkSession, d: str, n: int | None, k: int) -> DataFrame:
-    """Inside each nation the next k of the first n customers, or of all, around a ring."""
-    w = Window.partitionBy("c_nationkey")
-    r = customers(spark, d, n).select("c_custkey", "c_nationkey", (F.row_number().over(w.orderBy("c_custkey")) - 1).alias("rank"), F.count("*").over(w).alias("size"))
-    step = r.select("c_custkey", "c_nationkey", "size", F.explode(F.expr(f"transform(sequence(1, {k}), i -> (rank + i) % size)")).alias("to"))
-    other = r.select(F.col("c_custkey").alias("friend"), F.col("c_nationkey").alias("nation"), F.col("rank").alias("at"))
-    pairs = step.join(other, (step["c_nationkey"] == other["nation"]) & (step["to"] == other["at"]))
+    """Of the first n customers or of all, the next k around a ring inside each circle: one nation and one block of CIRCLE ids, so no ring grows with the data."""
+    w = Window.partitionBy("c_nationkey", "circle")
+    r = customers(spark, d, n).withColumn("circle", F.expr(f"c_custkey div {CIRCLE}")).select("c_custkey", "c_nationkey", "circle", (F.row_number().over(w.orderBy("c_custkey")) - 1).alias("rank"), F.count("*").over(w).alias("size"))
+    step = r.select("c_custkey", "c_nationkey", "circle", "size", F.explode(F.expr(f"transform(sequence(1, {k}), i -> (rank + i) % size)")).alias("to"))
+    other = r.select(F.col("c_custkey").alias("friend"), F.col("c_nationkey").alias("nation"), F.col("circle").alias("block"), F.col("rank").alias("at"))
+    pairs = step.join(other, (step["c_nationkey"] == other["nation"]) & (step["circle"] == other["block"]) & (step["to"] == other["at"]))
     return pairs.select(F.col("c_custkey").alias("user"), "friend").where("user <> friend").distinct()
 
 
@@ -138,7 +141,7 @@ def requests(users: DataFrame, own: str = "map()", named: str = "array()", asks:
     )
 
 
-def travellers(spark: SparkSession, d: str, n: int | None = 200) -> DataFrame:
+def travellers(spark: SparkSession, d: str, n: int | None = None) -> DataFrame:
     """Flight requests: some fix an airline, a source or a destination; some name a partner, the others ask for any friend."""
     c = customers(spark, d, n).join(F.broadcast(table(spark, d, "nation")), F.col("c_nationkey") == F.col("n_nationkey")).withColumn("user", F.col("c_custkey"))
     airlines = "element_at(array('1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'), cast(1 + user % 5 as int))"
