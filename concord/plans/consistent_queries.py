@@ -144,8 +144,8 @@ def travel(select: Selection | None = None, order: str = "n DESC", n: int | None
     )
 
 
-def _parts(spark: SparkSession, d: str):
-    w = travel()
+def _parts(spark: SparkSession, d: str, w: Workload | None = None):
+    w = w or travel()
     requests, friends = w.requests(spark, d), w.friends(spark, d)
     vq = C.options(requests, w.data(spark, d), w.coord, friends)
     return w, requests, friends, vq
@@ -185,17 +185,6 @@ register("cons_vip", travel(containing(8)), "best")
 register("cons_first", travel(first(), ""), "best")
 
 
-def _clean_by_rounds(spark, d):
-    w, requests, friends, vq = _parts(spark, d)
-    vq = keep(vq)
-    edges = cut(C.pruned_graph(requests, friends, vq))
-    return shown(C.value_sets(C.clean(vq, edges, requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
-
-
-Q["clean_rounds"] = _clean_by_rounds
-SQL["clean_rounds"] = travel().sql() + "SELECT destination, CAST(day AS VARCHAR) AS day, n, members FROM sets"
-
-
 def _calls(spark, d):
     r = travel().run(spark, d)
     return C.call_counts(T.travellers(spark, d), r.best).select(F.col("options").alias("option_queries"), F.col("friends").alias("friend_queries"), F.col("final").cast("long").alias("final_queries"))
@@ -259,14 +248,15 @@ def _titles(spark, d):
     return T.requests(c, "map('title', element_at(names, cast(1 + user % size(names) as int)))")
 
 
-register("cons_movies", Workload(
+MOVIES = Workload(
     _titles, T.movies, "movie_id", ["cinema"], lambda s, d: T.friends_ring(s, d, None, 2),
     ["data AS (SELECT p_partkey AS movie_id, p_brand AS cinema, p_name AS title FROM part)", ring_sql(2),
      f"""names AS (SELECT list_sort(list(DISTINCT p_name)) AS l FROM part),
 req AS (SELECT c_custkey AS qid, 0.0 AS weight, l[1 + c_custkey % len(l)] AS title FROM customer, names),
 named AS (SELECT 0 AS qid, 0 AS partner WHERE false), ask AS (SELECT qid, 'friends' AS rel, 1 AS k FROM req)"""],
     "r.title = s.title",
-), "sets")
+)
+register("cons_movies", MOVIES, "sets")
 
 EVEN_AIRLINE = f"map_filter(map('airline', case when user % 2 = 0 then element_at(array('1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'), cast(1 + user % 5 as int)) end), (k, v) -> v is not null)"  # noqa: F541
 
@@ -328,15 +318,8 @@ def _memory(spark, d):
     return m.select("edges", "option_rows", F.col("values"))
 
 
-def _rounds(spark, d):
-    """Requests that fall out in each round of cleaning."""
-    r = travel().run(spark, d)
-    return C.cleaning_rounds(r.nodes.join(r.patterns, "pid").select("qid", *r.coord), r.edges, T.travellers(spark, d), r.coord).agg(F.sum("removed").alias("removed"))
-
-
-Q |= {"cons_memory": _memory, "cons_cleaning": _rounds}
+Q["cons_memory"] = _memory
 SQL["cons_memory"] = travel().sql() + "SELECT (SELECT count(*) FROM edge) AS edges, (SELECT count(*) FROM vq) AS option_rows, (SELECT count(DISTINCT vid) FROM vq) AS values"
-SQL["cons_cleaning"] = travel().sql() + "SELECT count(*) AS removed FROM dead"
 
 
 def _parties() -> Workload:
@@ -354,6 +337,26 @@ register("cons_parties", _parties(), "sets")
 Q["cons_pack_values"] = _pack
 
 
+def by_rounds(spark: SparkSession, d: str, w: Workload) -> DataFrame:
+    """All values of a workload, cleaned by rounds over tables."""
+    w, requests, friends, vq = _parts(spark, d, w)
+    vq = keep(vq)
+    edges = cut(C.pruned_graph(requests, friends, vq))
+    return shown(C.value_sets(C.clean(vq, edges, requests, w.coord, "rounds"), requests, w.coord), *w.coord, "n", "members")
+
+
+def _removed(spark, d):
+    """Requests that fall out in all rounds of cleaning."""
+    w = MOVIES
+    r = w.run(spark, d)
+    return C.cleaning_rounds(r.nodes.join(r.patterns, "pid").select("qid", *r.coord), r.edges, w.requests(spark, d), r.coord).agg(F.coalesce(F.sum("removed"), F.lit(0)).alias("removed"))
+
+
+Q |= {"clean_rounds": lambda spark, d: by_rounds(spark, d, MOVIES), "cons_cleaning": _removed}
+SQL["clean_rounds"] = SQL["cons_movies"]
+SQL["cons_cleaning"] = MOVIES.sql() + "SELECT count(*) AS removed FROM dead"
+
+
 def _composite(spark, d):
     return shown(_parties().run(spark, d).assignment, "user", "party_type", "party_day")
 

@@ -176,9 +176,10 @@ def test_packing_ends_when_no_set_is_left(spark):
 
 
 def test_rounds_clean_every_value(spark, tmp_path):
-    from concord.plans import catalogue
+    from concord.plans import consistent_queries as Q
 
     for t in ("nation", "customer", "orders"):
         spark.read.parquet(f"{D}/{t}.parquet").where("o_orderkey % 40 = 0" if t == "orders" else "true").write.parquet(f"{tmp_path}/{t}.parquet")
-    rounds, local = (sorted(map(tuple, catalogue.queries()[q](spark, str(tmp_path)).collect())) for q in ("clean_rounds", "clean_survivors"))
+    rounds = sorted(map(tuple, Q.by_rounds(spark, str(tmp_path), Q.travel()).collect()))
+    local = sorted(map(tuple, Q.Q["clean_survivors"](spark, str(tmp_path)).collect()))
     assert rounds == local and len({day[:7] for _, day, _, _ in rounds}) > 1
