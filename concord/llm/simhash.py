@@ -12,7 +12,8 @@ one bit of the second segment. The join condition then tries the third budget, w
 full Hamming check, so only links leave the join, each from its first viable chain. Nothing is capped.
 
 Exact copies of a fingerprint are merged before the join, so the join sees distinct fingerprints
-only, and the size of a group of copies never enters it. Defined results: a null text is an empty one;
+only, and the size of a group of copies never enters it. Tables of fingerprints or ids grow with the documents, so their joins are sort-merge joins:
+a broadcast would collect them on the driver. Defined results: a null text is an empty one;
 a text without words has fingerprint zero and is linked like any other; ids may repeat; a null id counts
 for a component only if it has no other id.
 """
@@ -83,7 +84,7 @@ def _met(prints: DataFrame) -> DataFrame:
     left = ring.select(F.col("fp").alias("a"), F.expr(key).alias("key"))
     flips = F.array(F.lit(0).cast("long"), *[F.lit(1 << b).cast("long") for b in range(16)])
     right = ring.select(F.col("fp").alias("b"), F.expr(key).alias("key")).select("b", F.explode(F.transform(flips, lambda m: F.col("key").bitwiseXOR(m))).alias("key"))
-    return left.join(right, "key").where("a < b").withColumn("start", F.expr("shiftright(key, 32)"))
+    return left.join(right.hint("merge"), "key").where("a < b").withColumn("start", F.expr("shiftright(key, 32)"))
 
 
 def links(prints: DataFrame) -> DataFrame:
@@ -104,15 +105,15 @@ def components(prints: DataFrame) -> DataFrame:
     """(fp, component_id) of every distinct fingerprint in (doc_id, fp): the least id reachable over links."""
     nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
     groups = weak_components(links(nodes), "a", "b")
-    joined = nodes.join(groups.select(F.col("node").alias("fp"), "comp_id"), "fp", "left").withColumn("comp_id", F.coalesce("comp_id", "fp"))
+    joined = nodes.join(groups.select(F.col("node").alias("fp"), "comp_id").hint("merge"), "fp", "left").withColumn("comp_id", F.coalesce("comp_id", "fp"))
     least = joined.groupBy("comp_id").agg(F.min("least").alias("component_id"))
-    return joined.select("fp", "comp_id").join(least, "comp_id").select("fp", "component_id")
+    return joined.select("fp", "comp_id").join(least.hint("merge"), "comp_id").select("fp", "component_id")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id."""
     prints = keep(fingerprints(docs, shingle))
-    return prints.join(keep(components(prints)), "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return prints.join(keep(components(prints)).hint("merge"), "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def first_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
@@ -123,7 +124,7 @@ def first_of_each(docs: DataFrame, shingle: int = 3) -> DataFrame:
     own = {c: docs[c] for c in docs.columns}
     near = near_duplicates(docs.select("doc_id", "text"), shingle).select("doc_id", "component_id")
     chosen = near.where("doc_id = component_id").select("doc_id").distinct()
-    with_id = docs.where(own["doc_id"].isNotNull()).join(chosen, "doc_id", "left_semi").select(*docs.columns)
+    with_id = docs.where(own["doc_id"].isNotNull()).join(chosen.hint("merge"), "doc_id", "left_semi").select(*docs.columns)
     again = not docs.where(own["doc_id"].isNotNull()).groupBy("doc_id").count().where("count > 1").isEmpty()
     if again:
         with_id = with_id.dropDuplicates(["doc_id"])
