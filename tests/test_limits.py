@@ -2,6 +2,8 @@
 
 import random
 
+from pyspark.sql import functions as F
+
 from concord.llm import simhash
 from concord.operators import graph as G
 
@@ -19,3 +21,42 @@ def test_fingerprint_joins_are_not_broadcast(spark):
         assert made.count() >= 7
         plan = made._jdf.queryExecution().executedPlan().toString()
         assert "Broadcast" not in plan and "SortMergeJoin" in plan
+
+
+def test_rows_of_bits_against_cleaning_by_pattern(spark, monkeypatch):
+    from concord.operators import consistent as C
+    from concord.operators.select import containing, most_weight
+    from concord.sources import tables as T
+
+    monkeypatch.setattr(C, "BUCKET", 20)
+    d = "/root/testdata/sf0.001"
+    requests, data = T.travellers(spark, d, 80), T.flights(spark, d).where("month(day) <= 3")
+    asks = "transform(any_friend, a -> named_struct('rel', a.rel, 'k', cast(1 + user % 3 as int)))"
+    requests = requests.withColumn("any_friend", F.expr(asks))
+    friends = T.friends_ring(spark, d, 80, 4)
+    some = C.consistent_coordinate(requests, data, "flight_id", ["destination", "day"], friends, mode="local").survivors.agg(F.max("qid")).first()[0]
+    for select in (most_weight(), containing(some)):
+        runs = [C.consistent_coordinate(requests, data, "flight_id", ["destination", "day"], friends, select, mode=m) for m in ("bits", "local")]
+        assert runs[0].bits is not None and runs[1].bits is None
+        plain = lambda df: sorted(tuple(str(x) for x in r) for r in df.collect())
+        for what in ("survivors", "assignment"):
+            assert plain(getattr(runs[0], what)) == plain(getattr(runs[1], what)) != []
+        for what in ("sets", "best"):
+            one, two = (plain(getattr(r, what).select("destination", "day", "n", F.round("weight", 6), "members", "ids")) for r in runs)
+            assert one == two != []
+        assert plain(runs[0].sizes.select("destination", "day", "n")) == plain(runs[1].sets.select("destination", "day", "n"))
+
+
+def test_sizes_need_no_members(spark):
+    """The best set of many requests over many values: what is kept are sizes by pattern, so nothing grows with requests times values."""
+    from concord.operators import consistent as C
+    from concord.sources import tables as T
+
+    users = spark.range(4000).select(F.col("id").alias("user"))
+    data = spark.range(1500).select(F.col("id").alias("key"), F.concat(F.lit("p"), F.col("id")).alias("place"), (F.col("id") % 997).cast("string").alias("kind"))
+    own = "map_filter(map('kind', case when user % 2 = 0 then cast(user % 997 as string) end), (k, v) -> v is not null)"
+    friends = spark.range(4000).select(F.col("id").alias("user"), F.expr("id ^ 1").alias("friend"))
+    run = C.consistent_coordinate(T.requests(users, own), data, "key", ["place"], friends)
+    # 2,000 open requests at 1,500 places, of which those live whose partner asks for the kind of the place
+    assert run.bits is not None and run.best.first()["n"] == 2 * 3
+    assert run.sizes.count() == 1500
