@@ -102,14 +102,21 @@ WIDTHS = _widths(FULL, FIRST, 9)
 
 def lzw_pack(lives: list[list[int]]) -> bytes:
     """Codes to little-endian bits: a clear before each life, the end code after the last."""
-    parts, widths = [np.array([CLEAR])], [np.array([9])]
+    flat, widths = [CLEAR], [WIDTHS[:1]]
     for k, codes in enumerate(lives):
-        tail = END if k == len(lives) - 1 else CLEAR
-        parts.append(np.append(np.array(codes, dtype=np.int64), tail))
+        flat += codes
+        flat.append(END if k == len(lives) - 1 else CLEAR)
         widths.append(WIDTHS[: len(codes) + 1])
-    code, width = np.concatenate(parts), np.concatenate(widths)
-    bit = np.arange(12)
-    return np.packbits(((code[:, None] >> bit) & 1).astype(np.uint8)[bit < width[:, None]], bitorder="little").tobytes()
+    ends = np.cumsum(np.concatenate(widths))
+    at = np.concatenate(([0], ends[:-1]))
+    code = np.array(flat, dtype=np.int64) << (at & 7)
+    first = at >> 3
+    # a code lies in up to three bytes, and no two codes share a bit, so sums put them together
+    n = int(ends[-1] + 7) // 8
+    packed = np.bincount(first, code & 255, n + 2)
+    packed[1:] += np.bincount(first, code >> 8 & 255, n + 1)[: n + 1]
+    packed[2:] += np.bincount(first, code >> 16, n)[:n]
+    return packed[:n].astype(np.uint8).tobytes()
 
 
 def lzw_decode(stream: bytes, code_size: int, limit: int) -> bytes:
@@ -260,21 +267,21 @@ def decode(data: bytes | None) -> Image:
 
 def compose(image: Image) -> Iterator[tuple[int, np.ndarray]]:
     """(start time in centiseconds, RGBA canvas) of each frame, after the disposal of those before it."""
-    canvas = np.zeros((image.height, image.width, 4), dtype=np.uint8)
+    canvas = np.zeros((image.height, image.width), dtype=np.uint32)  # RGBA, four bytes a pixel
     clock = 0
     for f in image.frames:
         before = canvas.copy() if f.disposal == 3 else None
-        colours = np.zeros((256, 3), dtype=np.uint8)
+        colours = np.zeros((256, 4), dtype=np.uint8)
+        colours[:, 3] = 255
         entries = np.frombuffer(f.palette[: len(f.palette) // 3 * 3], dtype=np.uint8).reshape(-1, 3)
-        colours[: len(entries)] = entries
+        colours[: len(entries), :3] = entries
         index = np.frombuffer(f.samples, dtype=np.uint8).reshape(f.height, f.width)
         high, wide = min(f.height, max(0, image.height - f.top)), min(f.width, max(0, image.width - f.left))
         index = index[:high, :wide]
         area = canvas[f.top : f.top + high, f.left : f.left + wide]
-        shown = np.ones(index.shape, bool) if f.transparent is None else index != f.transparent
-        area[shown, :3] = colours[index[shown]]
-        area[shown, 3] = 255
-        yield clock, canvas.copy()
+        shown = True if f.transparent is None else index != f.transparent
+        np.copyto(area, colours.view(np.uint32)[:, 0][index], where=shown)
+        yield clock, canvas.copy().view(np.uint8).reshape(image.height, image.width, 4)
         clock += f.delay_cs
         if f.disposal == 2:
             area[:] = 0
@@ -284,9 +291,8 @@ def compose(image: Image) -> Iterator[tuple[int, np.ndarray]]:
 
 def histogram(canvas: np.ndarray) -> list[int]:
     """Opaque pixels by the two leading bits of each of red, green and blue (64 bins)."""
-    seen = canvas[canvas[..., 3] == 255]
-    key = (seen[:, 0] >> 6).astype(np.int64) << 4 | (seen[:, 1] >> 6) << 2 | seen[:, 2] >> 6
-    return np.bincount(key, minlength=64).tolist()
+    key = canvas[..., 0] >> 2 & 48 | canvas[..., 1] >> 4 & 12 | canvas[..., 2] >> 6 | (canvas[..., 3] != 255).view(np.uint8) << 6
+    return np.bincount(key.ravel(), minlength=65)[:64].tolist()
 
 
 FRAMES = "error string, frame int, start_cs long, delay_cs int, disposal int, width int, height int, opaque long, histogram array<long>, rgba binary"
