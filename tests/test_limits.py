@@ -81,3 +81,29 @@ def test_former_literal_queries_follow_the_given_tables(spark, tmp_path):
         assert rows[0] == rows[1] and len(rows[0]) > (0 if name == "fit_linear" else 2), name
         if name.startswith("sat_"):
             assert len(set(got[got.columns[1]])) == 2, name
+
+
+def _small_run(spark, monkeypatch, mode="auto"):
+    from concord.operators import consistent as C
+    from concord.sources import tables as T
+
+    monkeypatch.setattr(C, "BUCKET", 5)
+    users = spark.range(120).select(F.col("id").alias("user"))
+    data = spark.range(700).select(F.col("id").alias("key"), F.concat(F.lit("p"), F.col("id")).alias("place"), F.when(F.col("id") % 7 > 0, "x").otherwise("y").alias("kind"))
+    friends = spark.range(120).select(F.col("id").alias("user"), F.expr("id ^ 1").alias("friend"))
+    requests = T.requests(users, "map_filter(map('kind', case when user % 2 = 0 then 'x' end), (k, v) -> v is not null)", weight="user / 8")
+    return requests, data, C.consistent_coordinate(requests, data, "key", ["place"], friends, mode=mode)
+
+
+def test_values_of_one_pattern_are_written_by_several_tasks(spark, monkeypatch):
+    from concord.operators import consistent as C
+
+    monkeypatch.setattr(C, "SHARE", 200)
+    monkeypatch.setattr(C, "ALONE", 60_000)
+    _, _, run = _small_run(spark, monkeypatch)
+    _, _, other = _small_run(spark, monkeypatch, mode="local")
+    plain = lambda df: sorted((r["place"], r["n"], r["weight"], r["members"], tuple(r["ids"])) for r in df.collect())
+    assert len(plain(run.sets)) == 600 and plain(run.sets) == plain(other.sets)
+    # 600 places in three tasks, and nothing else in them
+    tasks = run.sets.groupBy(F.spark_partition_id().alias("task")).agg(F.countDistinct("members").alias("texts")).collect()
+    assert len(tasks) == 3 and {r["texts"] for r in tasks} == {1}
