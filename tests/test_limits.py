@@ -95,6 +95,27 @@ def _small_run(spark, monkeypatch, mode="auto"):
     return requests, data, C.consistent_coordinate(requests, data, "key", ["place"], friends, mode=mode)
 
 
+def test_option_lists_read_the_relation_once(spark):
+    """Several sets of constrained attributes: the joins behind the relation are not made anew for each."""
+    from concord.operators import consistent as C
+    from concord.sources import tables as T
+
+    d = "/root/testdata/sf0.001"
+    requests, data = T.travellers(spark, d), T.flights(spark, d)
+    lists = C.option_lists(requests, data, ["destination", "day"])
+    assert lists.inputFiles() and not set(lists.inputFiles()) & set(data.inputFiles())
+
+
+def test_sizes_leave_a_task_once_for_each_pattern(spark, monkeypatch):
+    from concord.runtime import partitions
+
+    _, _, run = _small_run(spark, monkeypatch)
+    assert run.bits.people.select("bucket").distinct().count() > partitions(spark)
+    parts = run.bits.partial_sizes()
+    assert parts.count() <= partitions(spark) * run.shapes.count()
+    assert sorted(map(tuple, run.sizes.groupBy("n", "weight").count().collect())) == [(120, 120 * 119 / 16, 600)]
+
+
 def test_values_of_one_pattern_are_written_by_several_tasks(spark, monkeypatch):
     from concord.operators import consistent as C
 
