@@ -35,8 +35,8 @@ def no_cycle_search():
         gc.enable()
 
 
-def map_text(df: DataFrame, start: Callable[[], Callable[[str | None], tuple]], columns: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Row-wise text operator: ``start()`` runs once per task and gives a function of one whole text.
+def map_text(df: DataFrame, start: Callable[[], Callable], columns: str, id_col: str = "doc_id", text_col: str = "text", together: bool = False) -> DataFrame:
+    """Row-wise text operator: ``start()`` runs once per task and gives a function of one whole text, or if ``together`` of a list of whole texts (a slice).
 
     The result has the id column and the given columns (DDL), in row order; other input columns are not
     read. Ids may be null or repeat: rows are never joined or grouped here.
@@ -48,7 +48,8 @@ def map_text(df: DataFrame, start: Callable[[], Callable[[str | None], tuple]],
         with no_cycle_search():
             one = start()
             for piece in slices(batches):
-                made = [one(t) for t in piece.column(1).to_pylist()]
+                texts = piece.column(1).to_pylist()
+                made = one(texts) if together else [one(t) for t in texts]
                 cols = [piece.column(0).cast(arrow.field(0).type)]
                 cols += [pa.array(c, type=arrow.field(k + 1).type) for k, c in enumerate(zip(*made, strict=True))]
                 yield pa.RecordBatch.from_arrays(cols, schema=arrow)

@@ -589,6 +589,37 @@ def test_toxicity_on_held_out_labels(spark):
     assert all(0 <= r["score"] <= 1 and r["predicted"] == (r["score"] >= 0.7) for r in told)
 
 
+def test_toxicity_of_many_texts_at_once(monkeypatch):
+    """Gains as by compressing window by window; windows that texts share reach each dictionary once, in one call."""
+    rnd, asked = random.Random(4), []
+    content = [" ".join(rnd.choice(WORDS) for _ in range(400)).encode() for _ in range(2)]
+    texts = [r[1] for r in awkward()]
+    monkeypatch.setattr(toxicity, "TOGETHER", 97)
+
+    def alone(t):
+        lengths = []
+        for c in content:
+            packer = zstandard.ZstdCompressor(level=15, dict_data=zstandard.ZstdCompressionDict(c), write_content_size=False, write_checksum=False, write_dict_id=False)
+            lengths.append([len(packer.compress(w)) for w in toxicity.windows(t)])
+        return [a - b for a, b in zip(*lengths, strict=True)]
+
+    assert toxicity.scorer(*content)(texts) == [toxicity.summary(alone(t)) for t in texts]
+    assert toxicity.scorer(*content)([None, ""]) == [toxicity.summary(alone(None))] * 2 and toxicity.scorer(*content)([]) == []
+
+    def counting(content, real=toxicity.compressed):
+        lengths = real(content)
+        return lambda found: (asked.append(list(found)), lengths(found))[1]
+
+    monkeypatch.setattr(toxicity, "compressed", counting)
+    features = toxicity.scorer(*content)
+    every = sorted({w for t in texts for w in toxicity.windows(t)})
+    first = features(texts)
+    assert len(asked) == 2 and asked[0] == asked[1] and sorted(asked[0]) == every
+    assert features(texts[::-1]) == first[::-1] and asked[2:] == [[], []]  # remembered
+    monkeypatch.setattr(toxicity, "REMEMBERED", len(every) - 1)
+    assert features(texts) == first and sorted(asked[4]) == sorted(asked[5]) == every  # begun anew
+
+
 def test_toxicity_by_hand(spark, docs):
     """Dictionaries, calibration and scores again, in plain Python over lists."""
     table = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
