@@ -42,3 +42,19 @@ def test_writers_are_fitted_to_wide_rows_only(spark, writer):
     spark.conf.set(SET[1], "3000000")
     runtime.wide_rows(spark, 2_000_000)
     assert writer() == ["2", "3000000"]
+
+
+def test_rows_of_one_text_are_made_one_at_a_time(spark, writer, tmp_path):
+    """60,000 members (1.1 MB of text) at 1,500 values: 1.7 GB of rows that no task holds, and one text in a file."""
+    users = spark.range(60_000).select((F.col("id") + 10**17).alias("user"))
+    data = spark.range(1500).select(F.col("id").alias("key"), F.concat(F.lit("p"), F.col("id")).alias("place"))
+    friends = users.select("user", F.expr("user ^ 1").alias("friend"))
+    run = C.consistent_coordinate(T.requests(users), data, "key", ["place"], friends)
+    out = str(tmp_path / "sets")
+    run.sets.select("place", "n", "members").write.parquet(out)
+    assert sum(p.stat().st_size for p in (tmp_path / "sets").glob("*.parquet")) < 4_000_000
+    want = ",".join(str(i + 10**17) for i in range(60_000))
+    got = spark.read.parquet(out).groupBy("n", F.crc32("members").alias("sum"), F.length("members").alias("size")).agg(F.countDistinct("place").alias("places")).collect()
+    import zlib
+
+    assert [tuple(r) for r in got] == [(60_000, zlib.crc32(want.encode()), len(want), 1500)]
