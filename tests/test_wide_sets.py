@@ -36,6 +36,21 @@ def test_bits_held_for_a_chunk_are_bounded(spark, monkeypatch):
     assert len({r[3] for r in want}) > 10 and all(r == want for r in runs.values())
 
 
+def test_a_task_has_one_chunk(spark, monkeypatch):
+    """Where there are more chunks than partitions."""
+    monkeypatch.setattr(C, "HELD", 1)
+    users, given = spark.range(30).withColumnRenamed("id", "user"), spark.conf.get("spark.sql.shuffle.partitions")
+    data = spark.range(30).select(F.col("id").alias("key"), F.concat(F.lit("p"), F.col("id")).alias("place"), F.col("id").cast("string").alias("kind"))
+    spark.conf.set("spark.sql.shuffle.partitions", 2)
+    try:
+        run = C.consistent_coordinate(T.requests(users, "map('kind', cast(user as string))", asks=T.NO_ASK), data, "key", ["place"], users.select("user", F.col("user").alias("friend")))
+        rows = run.bits.sets().select("members", F.spark_partition_id().alias("task"), (F.col("pid") / run.bits.chunk).cast("int").alias("chunk")).collect()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", given)
+    assert sorted(int(r["members"]) for r in rows) == list(range(30)) and run.bits.chunk == 8
+    assert len({r["chunk"] for r in rows}) == len({r["task"] for r in rows}) == len({(r["chunk"], r["task"]) for r in rows}) == 4
+
+
 def test_writers_are_fitted_to_wide_rows_only(spark, writer):
     runtime.wide_rows(spark, 2000)
     assert writer() == [None, None]
